@@ -54,9 +54,25 @@ def columns(batch: pa.RecordBatch, *names: str) -> list[list]:
     return [batch.column(batch.schema.get_field_index(n)).to_pylist() for n in names]
 
 
+def sliced(batches: Iterator[pa.RecordBatch], column: str = "text", most: int = 4_000_000) -> Iterator[pa.RecordBatch]:
+    """The same rows in slices of about ``most`` bytes of text, so that memory follows that and not the batch."""
+    import pyarrow.compute as pc
+
+    for b in batches:
+        sizes = pc.fill_null(pc.binary_length(b.column(b.schema.get_field_index(column))), 0).to_pylist()
+        start = size = 0
+        for i, n in enumerate(sizes, 1):
+            size += n
+            if size >= most:
+                yield b.slice(start, i - start)
+                start, size = i, 0
+        if start < len(sizes):
+            yield b.slice(start)
+
+
 def text_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[list, list[str]]]:
     """(doc_id, text) batches as lists; a null text counts as the empty one."""
-    for b in batches:
+    for b in sliced(batches):
         ids, texts = columns(b, "doc_id", "text")
         yield ids, [t or "" for t in texts]
 

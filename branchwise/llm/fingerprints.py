@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, columns, documents, settled, worker_cache
+from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
 
 BITS = 64
 CACHE_WORDS = 300_000
@@ -84,7 +84,7 @@ def edited(text: str, following: str) -> str:
 
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
     def run(batches):
-        for b in batches:
+        for b in sliced(batches):
             ids, texts = columns(b, "doc_id", "text")
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array([fingerprint(t or "") for t in texts], pa.int64())], names=["doc_id", "fp"])
 
@@ -115,7 +115,7 @@ def with_following(docs: DataFrame, ranges: int | None = None) -> DataFrame:
 
     def run(batches):
         before = None  # doc_id, text, bucket, fp of the row that waits for its next one
-        for b in batches:
+        for b in sliced(batches):
             out = []
             for i, text, bucket, guest in zip(*columns(b, "doc_id", "text", "bucket", "guest")):
                 fp = fingerprint(text)

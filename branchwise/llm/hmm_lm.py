@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, documents, id_mod, settled
+from .common import WORD_RE, documents, id_mod, settled, sliced
 
 LOOKUP, OWN, SHARED, COARSE_OWN, COARSE_SHARED, CUT = 1 << 17, 4096, 1024, 256, 256, 256
 END = "\n"  # no word has it
@@ -55,11 +55,11 @@ def word_counts(texts: DataFrame) -> DataFrame:
             total.clear()
             return part
 
-        for b in batches:
+        for b in sliced(batches):
             for t in b.column(0).to_pylist():
                 total.update(tokens_of(t or ""))
             total[END] += b.num_rows
-            if len(total) > 400_000:
+            if len(total) > 250_000:
                 yield out()
         yield out()
 
@@ -113,45 +113,45 @@ def vocabulary(counts: DataFrame) -> Vocabulary:
 
 def encode(docs: DataFrame, vocab: Vocabulary, held_out) -> DataFrame:
     """row, doc_id, held_out, n_tokens, and of the frequent words n_known and base; classes; rare words with their counts."""
-    cast = vocab.own, vocab.frequent, vocab.total
-    box = docs.sparkSession.sparkContext.broadcast(cast)
+    logs = {w: math.log10((c + ALPHA) / vocab.total) for w, c in vocab.frequent.items()}
+    box = docs.sparkSession.sparkContext.broadcast((vocab.own, logs))
 
     def run(batches):
         from pyspark import TaskContext
 
-        own, frequent, total = box.value
-        logs = {w: math.log10((c + ALPHA) / total) for w, c in frequent.items()}
+        own, logs = box.value
         end = logs.get(END)
         classes: dict[str, int] = dict(own)
         row = TaskContext.get().partitionId() << 33
-        rare_type = pa.list_(pa.struct([("word", pa.string()), ("n", pa.int64())]))
-        for b in batches:
+        for b in sliced(batches, most=2_000_000):
             ids, held, texts = (b.column(k) for k in range(3))
-            out = []
+            out, rare, times, until = [], [], [], [0]
+            if len(classes) > 150_000:
+                classes = dict(own)
             for text in texts.to_pylist():
                 words = tokens_of(text or "")
-                known, base, rare = 0, 0.0, []
+                known, base = 0, 0.0
                 for w, n in Counter(words).items():
                     log = logs.get(w)
                     if log is None:
-                        rare.append({"word": w, "n": n})
+                        rare.append(w), times.append(n)
                     else:
                         known, base = known + n, base + n * log
                     if w not in classes:
-                        if len(classes) > 400_000:
-                            classes = dict(own)
-                            classes.update((x, 1 + zlib.crc32(x[-3:].encode("utf-8", "surrogatepass")) % SHARED) for x in words if x not in own)
-                        classes[w] = 1 + zlib.crc32(w[-3:].encode("utf-8", "surrogatepass")) % SHARED if w not in own else own[w]
+                        classes[w] = 1 + zlib.crc32(w[-3:].encode("utf-8", "surrogatepass")) % SHARED
                 if end is None:
-                    rare.append({"word": END, "n": 1})
+                    rare.append(END), times.append(1)
                 else:
                     known, base = known + 1, base + end
                 seq = np.zeros(len(words) + 1, "<u2")
                 seq[:-1] = np.fromiter(map(classes.__getitem__, words), np.uint16, len(words))
-                out.append((row, len(seq), known, base, seq.tobytes(), rare))
+                out.append((row, len(seq), known, base, seq.tobytes()))
+                until.append(len(rare))
                 row += 1
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.binary(), rare_type]
-            yield pa.RecordBatch.from_arrays([ids, held, *(pa.array([r[k] for r in out], t) for k, t in enumerate(kinds))], names=["doc_id", "held_out", "row", "n_tokens", "n_known", "base", "classes", "rare"])
+            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.binary()]
+            pairs = pa.StructArray.from_arrays([pa.array(rare, pa.string()), pa.array(times, pa.int64())], names=["word", "n"])
+            lists = pa.ListArray.from_arrays(pa.array(until, pa.int32()), pairs)
+            yield pa.RecordBatch.from_arrays([ids, held, *(pa.array([r[k] for r in out], t) for k, t in enumerate(kinds)), lists], names=["doc_id", "held_out", "row", "n_tokens", "n_known", "base", "classes", "rare"])
 
     kind = docs.schema["doc_id"].dataType.simpleString()
     return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"doc_id {kind}, held_out boolean, row bigint, n_tokens bigint, n_known bigint, base double, classes binary, rare array<struct<word: string, n: bigint>>")
@@ -186,7 +186,7 @@ def first_model(train: DataFrame, vocab: Vocabulary, states: int, rounds: int =
 
     def run(batches):
         total = np.zeros(k * k)
-        for b in batches:
+        for b in sliced(batches, "classes"):
             flat, off = _sequences(b)
             c = coarse[flat]
             inside = np.ones(max(len(c) - 1, 0), bool)
@@ -220,7 +220,7 @@ def first_model(train: DataFrame, vocab: Vocabulary, states: int, rounds: int =
     return Model(start, joint / joint.sum(1, keepdims=True), fine)
 
 
-def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 2048):
+def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024):
     """(start, transition, emission) counts of one batch by scaled forward-backward over pieces of at most CUT tokens."""
     s = len(model.start)
     steady = model.start
@@ -276,7 +276,7 @@ def baum_welch(train: DataFrame, model: Model, vocab: Vocabulary, prior: float =
     def run(batches):
         model = Model(*box.value)
         begin, trans, emit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape)
-        for b in batches:
+        for b in sliced(batches, "classes"):
             x = expected_counts(*_sequences(b), model)
             begin, trans, emit = begin + x[0], trans + x[1], emit + x[2]
         # Rows: -1 the starts, -2 - i the moves from state i, else a class.
@@ -326,7 +326,7 @@ def score(encoded: DataFrame, model: Model, vocab: Vocabulary) -> DataFrame:
     def run(batches):
         *parts, logs = box.value
         model = Model(*parts)
-        for b in batches:
+        for b in sliced(batches, "classes"):
             flat, off = _sequences(b)
             unigram = np.concatenate([[0.0], np.cumsum(logs[flat])])
             value = forward(flat, off, model) / math.log(10) - (unigram[off[1:]] - unigram[off[:-1]])

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, columns, documents, settled, worker_cache
+from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
 
 WORDS, THRESHOLD, RECALL, SIGMAS = 5, 0.8, 0.99998, 4.5
 BLOCK = 256
@@ -84,7 +84,7 @@ def signatures(docs: DataFrame, bands: int, rows: int, n: int = WORDS, seed: int
         from pyspark import TaskContext
 
         row = TaskContext.get().partitionId() << 33
-        for b in batches:
+        for b in sliced(batches):
             ids, keys, texts = columns(b, "doc_id", "text_key", "text")
             out = []
             for t in texts:
@@ -266,7 +266,7 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
     def run(batches):
         import xxhash
 
-        for b in batches:
+        for b in sliced(batches):
             key, size, node, want, text = columns(b, "key", "n", "node", "set_hash", "text")
             grams = [shingles(t or "", n).tobytes() for t in text]
             ok = [i for i, g in enumerate(grams) if xxhash.xxh3_128_digest(g) == want[i]]

@@ -56,17 +56,16 @@ def pieces(docs: DataFrame, most: int = 1024, end_id: int = 2, file: str = token
 
         encoder, salt = tokens.encoder(file), TaskContext.get().partitionId() << 33
         for ids, texts in text_rows(batches):
-            for a, b in tokens.slices(texts):
-                rows = []
-                for i, raw in zip(ids[a:b], encoder.encode(texts[a:b])):
-                    raw += end
-                    for k, (s, n) in enumerate(cut(len(raw) // 4, most)):
-                        part = raw[4 * s : 4 * (s + n)]
-                        rows.append((i, k, s, n, crc32(part), salt, *([np.frombuffer(part, "<i4")] if with_ids else [])))
-                        salt += 1
-                kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32())]
-                names = ["doc_id", "piece", "start", "length", "ids_crc32", "salt", "ids"]
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=names[: 6 + with_ids])
+            rows = []
+            for i, raw in zip(ids, encoder.encode(texts)):
+                raw += end
+                for k, (s, n) in enumerate(cut(len(raw) // 4, most)):
+                    part = raw[4 * s : 4 * (s + n)]
+                    rows.append((i, k, s, n, crc32(part), salt, *([np.frombuffer(part, "<i4")] if with_ids else [])))
+                    salt += 1
+            kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32())]
+            names = ["doc_id", "piece", "start", "length", "ids_crc32", "salt", "ids"]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), kinds)], names=names[: 6 + with_ids])
 
     return id_text(docs).mapInArrow(run, PIECES + ", ids array<int>" * with_ids)
 

@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, documents, id_mod, settled
+from .common import WORD_RE, documents, id_mod, settled, sliced
 from .quality_rules import count_text
 
 FEATURES = ("log_words", "word_length", "symbols", "dup_lines", "repeats", "line_words", "upper", "marks", "stutters", "stops", "distinct", "digits")
@@ -45,7 +45,7 @@ def featurize(docs: DataFrame) -> DataFrame:
     """doc_id and x, the features of each row's whole text."""
 
     def run(batches):
-        for b in batches:
+        for b in sliced(batches):
             x = np.array([features(t or "") for t in b.column(1).to_pylist()], float).reshape(-1, len(FEATURES))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(pa.array(np.arange(0, x.size + 1, len(FEATURES), dtype=np.int32)), pa.array(x.ravel()))], names=["doc_id", "x"])
 

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, settled
+from .common import WORD_RE, settled, sliced
 
 COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_marks", "n_stutters")
 SYMBOLS, MARKS = "#*$%&|<>", "!?~^=_\\{}[]"
@@ -79,7 +79,7 @@ def count_documents(docs: DataFrame, keys: tuple[str, ...] = ("doc_id", "lang",
     """One row per row of docs: the keys and the integer counts of its whole text."""
 
     def run(batches):
-        for b in batches:
+        for b in sliced(batches):
             found = [count_text(t or "") for t in b.column(len(keys)).to_pylist()]
             cols = [pa.array(c, pa.int64()) for c in zip(*found)] if found else [pa.array([], pa.int64())] * len(COUNTS)
             yield pa.RecordBatch.from_arrays([*b.columns[: len(keys)], *cols], names=[*keys, *COUNTS])

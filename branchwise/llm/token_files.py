@@ -31,12 +31,11 @@ def encode_rows(docs: DataFrame, end_id: int, file: str = tokens.DEFAULT_FILE) -
     def run(batches):
         encoder = tokens.encoder(file)
         for ids, texts in text_rows(batches):
-            for a, b in tokens.slices(texts):
-                found = [np.frombuffer(x + end, "<i4") for x in encoder.encode(texts[a:b])]
-                sizes = np.array([len(x) for x in found], np.int64)
-                offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
-                lists = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(found)))
-                yield pa.RecordBatch.from_arrays([pa.array(ids[a:b], pa.int64()), pa.array(sizes), lists], names=["doc_id", "n_tokens", "ids"])
+            found = [np.frombuffer(x + end, "<i4") for x in encoder.encode(texts)]
+            sizes = np.array([len(x) for x in found], np.int64)
+            offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
+            lists = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(found)))
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(sizes), lists], names=["doc_id", "n_tokens", "ids"])
 
     return docs.mapInArrow(run, SCHEMA)
 

@@ -72,15 +72,3 @@ def encoder(file: str = DEFAULT_FILE) -> Encoder:
     if file not in kept:
         kept[file] = Encoder(file)
     return kept[file]
-
-
-def slices(texts: list[str], most: int = 4_000_000):
-    """Runs of texts of about ``most`` characters, so that memory follows that and not the batch."""
-    start = size = 0
-    for i, t in enumerate(texts):
-        size += len(t)
-        if size >= most:
-            yield start, i + 1
-            start, size = i + 1, 0
-    if start < len(texts):
-        yield start, len(texts)

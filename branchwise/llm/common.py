@@ -45,8 +45,11 @@ def settled(df: DataFrame, name: str) -> DataFrame:
 
 
 def worker_cache(name: str) -> dict:
-    """A dictionary that outlives one task in a reused Python worker."""
+    """A dictionary that outlives one task in a reused Python worker. A new name drops the older ones, so operators don't add up."""
     box = sys.modules.setdefault("_branchwise_worker", types.ModuleType("_branchwise_worker"))
+    if name not in box.__dict__:
+        for other in [k for k, v in box.__dict__.items() if isinstance(v, dict) and k[:2] != "__"]:
+            del box.__dict__[other]
     return box.__dict__.setdefault(name, {})
 
 

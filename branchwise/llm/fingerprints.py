@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
 
 BITS = 64
-CACHE_WORDS = 300_000
+CACHE_WORDS = 150_000
 
 
 def word_hashes(words: list[str]) -> np.ndarray:

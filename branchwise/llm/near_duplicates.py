@@ -31,7 +31,7 @@ from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
 
 WORDS, THRESHOLD, RECALL, SIGMAS = 5, 0.8, 0.99998, 4.5
 BLOCK = 256
-CACHE_WORDS = 300_000
+CACHE_WORDS = 150_000
 LOWEST = -(2**63)
 
 

@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import documents, fresh_path, id_text, settled, text_rows
+from .common import documents, fresh_path, id_text, settled, sliced
 
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, salt bigint"
 
@@ -47,20 +47,18 @@ def cut(n: int, most: int) -> list[tuple[int, int]]:
 
 def pieces(docs: DataFrame, most: int = 1024, end_id: int = 2, file: str = tokens.DEFAULT_FILE, with_ids: bool = False) -> DataFrame:
     """One row per piece; with_ids adds the ids themselves. salt numbers the rows of a task, so equal rows spread."""
-    end = int(end_id).to_bytes(4, "little")
-
     def run(batches):
         from zlib import crc32
 
         from pyspark import TaskContext
 
         encoder, salt = tokens.encoder(file), TaskContext.get().partitionId() << 33
-        for ids, texts in text_rows(batches):
-            rows = []
-            for i, raw in zip(ids, encoder.encode(texts)):
-                raw += end
-                for k, (s, n) in enumerate(cut(len(raw) // 4, most)):
-                    part = raw[4 * s : 4 * (s + n)]
+        for b in sliced(batches):
+            ids, offsets = encoder.encode_array(b.column(1), end_id)
+            rows, raw = [], memoryview(ids.astype("<u4", copy=False).tobytes())
+            for i, at, until in zip(b.column(0).to_pylist(), offsets.tolist(), offsets[1:].tolist()):
+                for k, (s, n) in enumerate(cut(until - at, most)):
+                    part = raw[4 * (at + s) : 4 * (at + s + n)]
                     rows.append((i, k, s, n, crc32(part), salt, *([np.frombuffer(part, "<i4")] if with_ids else [])))
                     salt += 1
             kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.list_(pa.int32())]

@@ -19,23 +19,19 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import documents, fresh_path, id_text, text_rows
+from .common import documents, fresh_path, id_text, sliced
 
 WRITER = {"compression": "zstd", "parquet.writer.version": "v2", "parquet.enable.dictionary": "false", "parquet.block.size": str(32 << 20), "parquet.page.size": str(256 << 10), "parquet.page.row.count.limit": "2000"}
 SCHEMA = "doc_id bigint, n_tokens bigint, ids array<int>"
 
 
 def encode_rows(docs: DataFrame, end_id: int, file: str = tokens.DEFAULT_FILE) -> DataFrame:
-    end = int(end_id).to_bytes(4, "little")
-
     def run(batches):
         encoder = tokens.encoder(file)
-        for ids, texts in text_rows(batches):
-            found = [np.frombuffer(x + end, "<i4") for x in encoder.encode(texts)]
-            sizes = np.array([len(x) for x in found], np.int64)
-            offsets = pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32))
-            lists = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(found)))
-            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(sizes), lists], names=["doc_id", "n_tokens", "ids"])
+        for b in sliced(batches):
+            ids, offsets = encoder.encode_array(b.column(1), end_id)
+            lists = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(ids.view("<i4")))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(np.diff(offsets)), lists], names=["doc_id", "n_tokens", "ids"])
 
     return docs.mapInArrow(run, SCHEMA)
 

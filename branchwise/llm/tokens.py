@@ -3,7 +3,7 @@
 The byte-level tokenizer first cuts a text into pre-tokens and then encodes each by itself.
 Texts within Latin-1 (the usual case) are cut here by the same rule, so that frequent
 pre-tokens come from a bounded per-worker cache and only the others go to the tokenizers
-library, in one call per batch. Other texts are cut just at lone spaces between two other
+library, in few calls per batch. Other texts are cut just at lone spaces between two other
 characters, where a pre-token always ends. The ids equal those of the whole text (tested).
 """
 
@@ -13,11 +13,14 @@ import os
 import re
 from array import array
 
+import numpy as np
+import pyarrow as pa
+
 from .common import worker_cache
 
 DEFAULT_FILE = "byte_bpe_50k.json"
-#: Once so many pre-tokens are cached, the cache stays as it is: what is frequent came early.
-CACHE_SIZE = 300_000
+#: Once the cache is so large it stays as it is: what is frequent came early.
+CACHE_SIZE = 400_000
 #: Longer ones are rare and large, so they stay out of the cache.
 LONGEST_CACHED = 48
 # Latin-1 members of the classes of letters, numbers and white space.
@@ -26,6 +29,8 @@ NUMBERS = "0-9\xb2\xb3\xb9\xbc-\xbe"
 SPACES = "\x09-\x0d \x85\xa0"
 _LATIN = re.compile(rf" ?[{LETTERS}]+|'(?:s|t|re|ve|m|ll|d)| ?[{NUMBERS}]+| ?[^{SPACES}{LETTERS}{NUMBERS}]+|[{SPACES}]+(?![^{SPACES}])|[{SPACES}]+")
 _CUT = re.compile(r"(?<=\S)(?= \S)")
+#: Pre-tokens of these characters alone can be joined by line feeds and still be encoded one by one.
+_JOINABLE = re.compile(rf" ?(?:[{LETTERS}]+|[{NUMBERS}]+)")
 
 
 def parts(text: str) -> list[str]:
@@ -38,8 +43,6 @@ def parts(text: str) -> list[str]:
 
 
 class Encoder:
-    """texts -> one bytes object of little-endian unsigned 32-bit ids each."""
-
     def __init__(self, file: str = DEFAULT_FILE):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         import public_tokenizers
@@ -47,25 +50,43 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(public_tokenizers.path(file) if os.sep not in file else file)
         self.tokenizer.encode_special_tokens = True
-        self.cache: dict[str, bytes] = {}
+        self.words: dict[str, bytes] = {}
+        self.feed = np.uint32(self.tokenizer.encode("\n", add_special_tokens=False).ids[0])
 
-    def _encode(self, chunks: list[str]):
-        for i in range(0, len(chunks), 20_000):
-            for c, e in zip(chunks[i : i + 20_000], self.tokenizer.encode_batch_fast(chunks[i : i + 20_000], add_special_tokens=False)):
+    def _encode(self, pretokens: list[str]):
+        joined = [c for c in pretokens if _JOINABLE.fullmatch(c)]
+        whole = ["\n".join(joined[i : i + 50]) for i in range(0, len(joined), 50)]
+        for i, e in enumerate(self.tokenizer.encode_batch_fast(whole, add_special_tokens=False)):
+            ids = np.array(e.ids, "<u4")
+            raw, cuts = ids.tobytes(), (4 * np.flatnonzero(ids == self.feed)).tolist()
+            start = 0
+            for c, at in zip(joined[50 * i : 50 * i + 50], [*cuts, len(raw)]):
+                yield c, raw[start:at]
+                start = at + 4
+        if len(joined) < len(pretokens):
+            rest = list(set(pretokens).difference(joined))
+            for c, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)):
                 yield c, array("I", e.ids).tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        split = [parts(t) for t in texts]
-        missing = list(set().union(*split).difference(self.cache))
-        kept = len(self.cache) < CACHE_SIZE
-        self.cache.update(self._encode(missing))
-        get = self.cache.__getitem__
+        """Little-endian unsigned 32-bit ids of each text."""
+        split, words = [parts(t) for t in texts], self.words
+        missing = list({c for chunks in split for c in chunks if c not in words})
+        kept = len(words) < CACHE_SIZE
+        words.update(self._encode(missing))
+        get = words.__getitem__
         found = [b"".join(map(get, chunks)) for chunks in split]
         for c in missing:
             if not kept or len(c) > LONGEST_CACHED:
-                del self.cache[c]
+                del words[c]
         return found
 
+    def encode_array(self, texts: pa.StringArray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        """All ids, each text followed by end_id, and the offsets of the texts."""
+        end = int(end_id).to_bytes(4, "little")
+        found = [x + end for x in self.encode(texts.to_pylist())]
+        return np.frombuffer(b"".join(found), "<u4"), np.concatenate([[0], np.cumsum([len(x) // 4 for x in found])])
+
 
 def encoder(file: str = DEFAULT_FILE) -> Encoder:
     kept = worker_cache("encoders")

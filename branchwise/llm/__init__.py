@@ -1,11 +1 @@
-"""Operators of a training-data pipeline; nothing else in the library imports this package.
-
-The functions that run in Python workers are pickled by value, so executors need neither
-this repository on their path nor a shared code folder.
-"""
-
-import sys
-
-from pyspark import cloudpickle
-
-cloudpickle.register_pickle_by_value(sys.modules[__name__])
+"""Operators of a training-data pipeline; nothing else in the library imports this package."""

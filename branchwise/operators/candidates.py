@@ -62,7 +62,7 @@ def arc_consistency(g: LabeledGraph, p: PatternGraph, dom: DataFrame, rounds: in
         return dom
     if rounds is not None:
         for _ in range(rounds):
-            dom = _semi(g, dom, pairs)
+            dom = cut(_semi(g, dom, pairs))
         return dom
     dom = cut(dom)
     size = dom.count()
@@ -87,9 +87,9 @@ def tree_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame, root: int = 1)
     """A sweep up a breadth-first tree, then one down."""
     tree = p.bfs_tree(root)
     for a, c in reversed(tree):
-        dom = _semi(g, dom, [(a, c)])
+        dom = cut(_semi(g, dom, [(a, c)]))
     for a, c in tree:
-        dom = _semi(g, dom, [(c, a)])
+        dom = cut(_semi(g, dom, [(c, a)]))
     return dom
 
 

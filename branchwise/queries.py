@@ -1,6 +1,335 @@
-"""Queries of the matching engine and their SQL."""
+"""Queries of the matching engine over the given tables, each with its SQL where SQL can say it."""
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
+
+from branchwise.operators import candidates as cand
+from branchwise.operators import dfs, joins, regions, waves, workloads
+from branchwise.operators.graph import LabeledGraph
+from branchwise.plans.pattern import PatternGraph
+from branchwise.plans.sqlgen import to_sql
+from branchwise.sources import graphs as src
+from branchwise.streaming import deltas
+
+A, B, C = "Brand#4", "Brand#19", "Brand#2"
+
+GRAPHS = {
+    "gd": (lambda s, d: src.part_pairs(s, d, "flag", "p_brand"), src.part_pairs_sql("flag", "p_brand")),
+    "gs": (lambda s, d: src.part_pairs(s, d, "flag_half", "p_brand"), src.part_pairs_sql("flag_half", "p_brand")),
+    "gs_name": (lambda s, d: src.part_pairs(s, d, "flag_half", "p_name"), src.part_pairs_sql("flag_half", "p_name")),
+    "gd_type": (lambda s, d: src.part_pairs(s, d, "flag", "split(p_type, ' ')[0]"), src.part_pairs_sql("flag", "split_part(p_type, ' ', 1)")),
+    "gs_type": (lambda s, d: src.part_pairs(s, d, "flag_half", "split(p_type, ' ')[0]"), src.part_pairs_sql("flag_half", "split_part(p_type, ' ', 1)")),
+    "gd_size": (lambda s, d: src.part_pairs(s, d, "flag", "p_size"), src.part_pairs_sql("flag", "p_size")),
+    "gc": (lambda s, d: src.part_pairs(s, d, "order", "p_brand"), src.part_pairs_sql("order", "p_brand")),
+    "gt": (lambda s, d: src.trade_entities(s, d, "o_orderpriority", "p_brand"), src.trade_entities_sql("o_orderpriority", "p_brand")),
+    "gt_kind": (src.trade_entities, src.trade_entities_sql()),
+    "ge": (src.vector_proximity, src.vector_proximity_sql()),
+    "gu": (src.user_proximity, src.user_proximity_sql()),
+    "gk": (src.shared_lines, src.shared_lines_sql()),
+    "gp": (src.page_links, src.page_links_sql()),
+    "gv": (src.turn_chain, src.turn_chain_sql()),
+}
+
+
+def path(*labels: str) -> PatternGraph:
+    return PatternGraph(labels, tuple((i, i + 1) for i in range(1, len(labels))))
+
+
+def cycle(*labels: str) -> PatternGraph:
+    return PatternGraph(labels, tuple((i, i % len(labels) + 1) for i in range(1, len(labels) + 1)))
+
+
+#: key -> graph, pattern, options of join_match and to_sql.
+PATTERNS: dict[str, tuple[str, PatternGraph]] = {
+    "q_edge": ("gs", path(A, B)),
+    "q_path3": ("gd", path(A, B, C)),
+    "q_path4_abca": ("gd", path(A, B, C, A)),
+    "q_path4_abca_sparse": ("gs", path(A, B, C, A)),
+    "q_path4_size": ("gd_size", path("2", "35", "48", "2")),
+    "q_triangle_abc": ("gd", cycle(A, B, C)),
+    "q_triangle_aab": ("gd", cycle(A, A, B)),
+    "q_cycle4": ("gd", cycle(A, B, A, B)),
+    "q_star3": ("gd", PatternGraph((A, B, B, B), ((1, 2), (1, 3), (1, 4)))),
+    "q_diamond": ("gd", PatternGraph((A, B, A, B), ((1, 2), (2, 3), (3, 4), (4, 1), (1, 3)))),
+    "q_tailed_triangle": ("gd", PatternGraph((A, B, C, A), ((1, 2), (2, 3), (3, 1), (3, 4)))),
+    "q_clique4": ("gd", PatternGraph((A, B, C, A), ((1, 2), (1, 3), (1, 4), (2, 3), (2, 4), (3, 4)))),
+    "q_clique4_dense": ("gc", PatternGraph((A, B, C, A), ((1, 2), (1, 3), (1, 4), (2, 3), (2, 4), (3, 4)))),
+    "q_bowtie": ("gd", PatternGraph((A, B, C, B, C), ((1, 2), (2, 3), (3, 1), (1, 4), (4, 5), (5, 1)))),
+    "q_tree6": ("gd", PatternGraph((A, B, C, A, B, C), ((1, 2), (1, 3), (2, 4), (2, 5), (3, 6)))),
+    "q_path6": ("gd", path(A, B, C, A, B, C)),
+    "q_house5": ("gd", PatternGraph((A, B, C, A, B), ((1, 2), (2, 3), (3, 4), (4, 1), (1, 5), (2, 5)))),
+    "q_trade_pair": ("gt", path("customer", "1-URGENT", A, "1-URGENT", "customer")),
+    "q_trade_local": ("gt_kind", cycle("customer", "nation", "supplier", "order")),
+    "q_vector_wedge": ("ge", path("0", "1", "0")),
+    "q_vector_triangle": ("ge", cycle("0", "0", "0")),
+    "q_user_wedge": ("gu", path("click", "view", "click")),
+    "q_doc_copies": ("gk", cycle("es", "es", "es")),
+    "q_page_host_fan": ("gp", cycle("page", "host", "page", "href")),
+    "q_turn_chain": ("gv", path("system", "user", "assistant")),
+    "q_turn_chain4": ("gv", path("user", "assistant", "user", "assistant")),
+    "q_single_vertex": ("gs", PatternGraph((A,), ())),
+    "q_missing_label": ("gs", path(A, "no such brand")),
+    "q_disconnected": ("gs", PatternGraph((A, B, C), ((2, 3),))),
+    "w_label_sweep_type": ("gs_type", path("MEDIUM", "STANDARD", "LARGE", "MEDIUM")),
+    "w_label_sweep_name": ("gs_name", path("red plate", "small widget", "hot plate")),
+    "w_degree_sweep_dense": ("gc", cycle(A, B, C)),
+}
+
 QUERIES: dict = {}
 ORACLE_SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f):
+        QUERIES[name] = f
+        if sql is not None:
+            ORACLE_SQL[name] = sql
+        return f
+
+    return add
+
+
+def graph(name: str, spark, sf_dir) -> LabeledGraph:
+    return GRAPHS[name][0](spark, sf_dir)
+
+
+for _key, (_name, _p) in PATTERNS.items():
+    query(_key, f"{GRAPHS[_name][1]} {to_sql(_p)}")(lambda s, d, n=_name, p=_p: joins.join_match(graph(n, s, d), p))
+
+# Variants of the problem, and all engines on the same patterns.
+_TYPE4 = path("MEDIUM", "STANDARD", "LARGE", "MEDIUM")
+query("q_capped_1000", f"{GRAPHS['gd_type'][1]} {to_sql(_TYPE4, 1000)}")(lambda s, d: joins.join_match(graph("gd_type", s, d), _TYPE4, limit=1000))
+query("q_capped_1000_dfs", f"{GRAPHS['gd_type'][1]} {to_sql(_TYPE4, 1000)}")(lambda s, d: dfs.dfs_match(graph("gd_type", s, d), _TYPE4, cap=1000))
+query("q_count", f"{GRAPHS['gs_type'][1]} {to_sql(_TYPE4, select='count(*) AS n_found')}")(lambda s, d: joins.count_matches(graph("gs_type", s, d), _TYPE4))
+query("q_homomorphism", f"{GRAPHS['gs'][1]} {to_sql(path(A, B, A), injective=False)}")(lambda s, d: joins.join_match(graph("gs", s, d), path(A, B, A), injective=False))
+
+
+@query("q_exists", f"{GRAPHS['gd'][1]} SELECT count(*) > 0 AS found FROM ({to_sql(cycle(A, B, C))})")
+def q_exists(spark, sf_dir):
+    return spark.createDataFrame([(joins.exists_match(graph("gd", spark, sf_dir), cycle(A, B, C)),)], "found boolean")
+
+
+@query("q_count_estimate")
+def q_count_estimate(spark, sf_dir):
+    return workloads.estimate_count(graph("gs_type", spark, sf_dir), _TYPE4, 0.5)
+
+
+def _wide(arrays: DataFrame, n: int) -> DataFrame:
+    return joins.as_wide(arrays, n)
+
+
+ENGINES = {
+    "level": lambda g, p: _wide(joins.level_match(g, joins.query_set(g.vertices.sparkSession, [p])), p.n),
+    "dfs": dfs.dfs_match,
+    "dfs_plain": lambda g, p: dfs.dfs_match(g, p, "plain"),
+    "dfs_no_lookup": lambda g, p: dfs.dfs_match(g, p, "no_lookup"),
+    "dfs_subset": lambda g, p: dfs.dfs_match(g, p, dfs.Method(match="subset")),
+    "dfs_all_patterns": lambda g, p: dfs.dfs_match(g, p, dfs.Method(store="set")),
+    "dfs_unit_roots": lambda g, p: dfs.dfs_match(g, p, dfs.Method(unit_roots=8)),
+    "structure_first": lambda g, p: dfs.dfs_match(g, p, "structure_first"),
+    "rare_edge_order": lambda g, p: dfs.dfs_match(g, p, "rare_edge_order"),
+    "profile_refine": lambda g, p: dfs.dfs_match(g, p, "profile_refine"),
+    "region": regions.region_match,
+    "region_split": lambda g, p: regions.region_match(g, p, split=3),
+    "wave": lambda g, p: waves.wave_match(g, p)[0],
+}
+_AGREE = {"gd": PATTERNS["q_tailed_triangle"][1], "gs": path(A, B, C, A)}
+for _e, _f in ENGINES.items():
+    for _n, _q in _AGREE.items():
+        query(f"q_engine_agree_{_e}_{_n}", f"{GRAPHS[_n][1]} {to_sql(_q)}")(lambda s, d, f=_f, n=_n, p=_q: f(graph(n, s, d), p))
+for _o in ("smallest", "join_size", "tree_path", "dense", "rare_edge"):
+    query(f"q_order_{_o}", f"{GRAPHS['gd'][1]} {to_sql(_AGREE['gd'])}")(lambda s, d, o=_o: dfs.dfs_match(graph("gd", s, d), _AGREE["gd"], dfs.Method(order=o)))
+
+
+# Worked examples on inline graphs.
+def inline(spark, vertices: dict[str, list[int]], pairs: list[tuple[int, int]]) -> LabeledGraph:
+    rows = [(v, x) for x, ids in vertices.items() for v in ids]
+    return LabeledGraph.from_edges(spark.createDataFrame(rows, "vid bigint, label string"), spark.createDataFrame(pairs, "a bigint, b bigint"))
+
+
+def inline_sql(vertices: dict[str, list[int]], pairs: list[tuple[int, int]]) -> str:
+    v = ", ".join(f"({i}, '{x}')" for x, ids in vertices.items() for i in ids)
+    e = ", ".join(f"({a}, {b}), ({b}, {a})" for a, b in pairs)
+    return f"WITH v(vid, label) AS (SELECT CAST(a AS BIGINT), b FROM (VALUES {v}) AS t(a, b)), e(src, dst) AS (SELECT CAST(a AS BIGINT), CAST(b AS BIGINT) FROM (VALUES {e}) AS t(a, b))"
+
+
+X1 = ({"a": [1, 8], "b": [2, 3, 4], "c": [5, 6, 7]}, [(1, 2), (1, 3), (1, 4), *((i, j) for i in (2, 3, 4) for j in (5, 6, 7)), (5, 8), (6, 1), (7, 1)])
+X2 = ({"a": [1, 5], "b": [2, 3], "c": [4]}, [(1, 2), (1, 3), (1, 4), (3, 5)])
+X1_PATTERN, X2_PATTERN = path(*"abca"), PatternGraph(tuple("abca"), ((1, 2), (1, 3), (2, 4)))
+query("q_worked_example", f"{inline_sql(*X1)} {to_sql(X1_PATTERN)}")(lambda s, d: dfs.dfs_match(inline(s, *X1), X1_PATTERN, dfs.Method()))
+query("q_reuse_trap", f"{inline_sql(*X2)} {to_sql(X2_PATTERN)}")(lambda s, d: dfs.dfs_match(inline(s, *X2), X2_PATTERN, dfs.Method()))
+
+
+@query("q_worked_example_calls", "SELECT * FROM (VALUES ('plain', 18), ('no_lookup', 18), ('learned', 14)) AS t(method, search_calls)")
+def q_worked_example_calls(spark, sf_dir):
+    found = workloads.run_experiment(inline(spark, *X1), joins.query_set(spark, [X1_PATTERN]), {m: dfs.Method(m) for m in ("plain", "no_lookup", "learned")})
+    return found.select("method", F.col("search_calls").cast("int").alias("search_calls"))
+
+
+@query("q_nogoods", "SELECT * FROM (VALUES (0, 8, 1, 0), (2, 6, 5, 1), (2, 7, 5, 1)) AS t(pos, vid, reason, prefix_len)")
+def q_nogoods(spark, sf_dir):
+    found = dfs.dfs_search(inline(spark, *X1), joins.query_set(spark, [X1_PATTERN]), {"learned": dfs.Method()}, nogoods=True).filter("kind = 'nogood'")
+    return found.select("pos", *(F.col(c).cast("int").alias(c) for c in ("vid", "reason", "prefix_len")))
+
+
+@query("q_nogoods_sound", "SELECT 0 AS violations")
+def q_nogoods_sound(spark, sf_dir):
+    """Embeddings that agree with a nogood of the wave engine at all its positions: there must be none."""
+    g, p = graph("gs", spark, sf_dir), path(A, B, C, A)
+    found, learnt, _ = waves.wave_match(g, p)
+    rows = joins.as_array(joins.join_match(g, p))
+    masks = [r.reason for r in learnt.select("reason").distinct().collect()] or [0]
+    probes = rows.withColumn("reason", F.explode(F.array(*(F.lit(m).cast("bigint") for m in masks)))).select("reason", waves._values("reason").alias("vals"))
+    return probes.join(learnt, ["reason", "vals"], "left_semi").agg(F.count(F.lit(1)).cast("int").alias("violations"))
+
+
+_LEVELS = path(A, B, C, A)
+_level_sql = " UNION ALL ".join(f"SELECT {k} AS level, count(*) AS rows FROM ({to_sql(PatternGraph(_LEVELS.labels[:k], tuple(e for e in _LEVELS.edges if max(e) <= k)))})" for k in range(1, 5))
+
+
+@query("q_level_sizes", f"{GRAPHS['gd'][1]} {_level_sql}")
+def q_level_sizes(spark, sf_dir):
+    return joins.level_sizes(graph("gd", spark, sf_dir), joins.query_set(spark, [_LEVELS])).select("level", "rows")
+
+
+@query("q_plain_calls", f"{GRAPHS['gd'][1]} SELECT 1 + CAST(sum(rows) AS BIGINT) AS search_calls FROM ({_level_sql})")
+def q_plain_calls(spark, sf_dir):
+    found = workloads.run_experiment(graph("gd", spark, sf_dir), joins.query_set(spark, [_LEVELS]), {"plain": dfs.Method("plain")}, cap=None)
+    return found.select("search_calls")
+
+
+# Candidate filters as relations, on the tailed triangle.
+_T = PATTERNS["q_tailed_triangle"][1]
+_DOM = "dom AS (SELECT pos, vid FROM v JOIN (VALUES " + ", ".join(f"({i}, '{x}')" for i, x in enumerate(_T.labels, 1)) + ") AS l(pos, x) ON label = x)"
+_LINKS = "links(a, b) AS (VALUES " + ", ".join(f"({a}, {b}), ({b}, {a})" for a, b in _T.edges) + ")"
+_GD = GRAPHS["gd"][1]
+
+
+def _arc(name: str, of: str) -> str:
+    return f"{name} AS (SELECT pos, vid FROM {of} d WHERE NOT EXISTS (SELECT 1 FROM links k WHERE k.a = d.pos AND NOT EXISTS (SELECT 1 FROM e JOIN {of} o ON o.vid = e.dst WHERE e.src = d.vid AND o.pos = k.b)))"
+
+
+def _dom(f, graph_name="gd"):
+    return lambda s, d: (lambda g: f(g, _T, cand.label_domains(g, _T)))(graph(graph_name, s, d))
+
+
+query("q_label_domains", f"{_GD}, {_DOM} SELECT * FROM dom")(_dom(lambda g, p, dom: dom))
+query("q_degree_filter", f"{_GD}, {_DOM}, {_LINKS} SELECT pos, vid FROM dom WHERE (SELECT count(*) FROM e WHERE src = vid) >= (SELECT count(*) FROM links WHERE a = pos)")(_dom(cand.degree_filter))
+_NEED = f"need AS (SELECT a AS pos, l.x AS label, count(*) AS n FROM links JOIN (VALUES {', '.join(f'({i}, {chr(39)}{x}{chr(39)})' for i, x in enumerate(_T.labels, 1))}) AS l(pos, x) ON l.pos = b GROUP BY ALL), has AS (SELECT src AS vid, label, count(*) AS n FROM e JOIN v ON v.vid = e.dst GROUP BY ALL)"
+_nlf = "SELECT pos, vid FROM dom WHERE NOT EXISTS (SELECT 1 FROM need WHERE need.pos = dom.pos AND NOT EXISTS (SELECT 1 FROM has WHERE has.vid = dom.vid AND has.label = need.label{}))"
+query("q_nlf_filter", f"{_GD}, {_DOM}, {_LINKS}, {_NEED} {_nlf.format(' AND has.n >= need.n')}")(_dom(cand.neighbor_label_filter))
+query("q_nlf_set_filter", f"{_GD}, {_DOM}, {_LINKS}, {_NEED} {_nlf.format('')}")(_dom(lambda g, p, dom: cand.neighbor_label_filter(g, p, dom, counts=False)))
+query("q_arc_consistent", f"{_GD}, {_DOM}, {_LINKS}, {_arc('r1', 'dom')}, {_arc('r2', 'r1')} SELECT * FROM r2")(_dom(lambda g, p, dom: cand.arc_consistency(g, p, dom, 2)))
+query("q_arc_fixpoint", f"{_GD}, {_DOM}, {_LINKS}, " + ", ".join(_arc(f"r{i}", f"r{i - 1}" if i > 1 else "dom") for i in range(1, 9)) + " SELECT * FROM r8")(_dom(cand.arc_consistency))
+query("q_tree_filter")(_dom(cand.tree_filter))
+query("q_bipartite_filter")(_dom(cand.bipartite_filter))
+query("q_cand_edges", f"{_GD}, {_DOM}, {_LINKS} SELECT a, b, src, dst FROM e JOIN dom x ON x.vid = src JOIN dom y ON y.vid = dst JOIN links ON a = x.pos AND b = y.pos")(_dom(cand.candidate_edges))
+
+
+@query("o_domain_shrink")
+def o_domain_shrink(spark, sf_dir):
+    g = graph("gd", spark, sf_dir)
+    out = None
+    for name, filters in {"label": (), "degree": ("degree",), "labels": ("labels",), "labels+arcs": ("labels", "arcs"), "tree": ("tree",), "bipartite": ("labels", "bipartite")}.items():
+        part = cand.build_domains(g, _T, filters).groupBy("pos").agg(F.count(F.lit(1)).alias("vertices")).select(F.lit(name).alias("filters"), "pos", "vertices")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+# Experiment workloads.
+def _experiment(graph_name: str, sizes: list[int], methods: list[str], count: int, induced: bool = False, budget: float = 0.5):
+    def run(spark, sf_dir):
+        g = graph(graph_name, spark, sf_dir)
+        queries = cand.cut(workloads.random_walk_patterns(g, sizes, count, seed=1, induced=induced))
+        return workloads.run_experiment(g, queries, methods, query_budget_s=budget)
+
+    return run
+
+
+_SPARSE, _DENSE = _experiment("gs_name", [4, 8, 12, 16, 20, 24], ["learned", "structure_first", "rare_edge_order", "profile_refine"], 10), _experiment("gd_size", [4, 6, 8, 10, 12], ["learned", "structure_first", "rare_edge_order", "profile_refine"], 5)
+query("w_time_sparse")(lambda s, d: workloads.summarise(_SPARSE(s, d)))
+query("w_time_dense")(lambda s, d: workloads.summarise(_DENSE(s, d)))
+query("w_calls_sparse")(lambda s, d: workloads.compare(_experiment("gs_type", [4, 8, 12, 16, 18, 20], ["learned", "no_lookup"], 10)(s, d), "no_lookup", "learned"))
+query("w_calls_dense")(lambda s, d: workloads.compare(_experiment("gd_size", [4, 6, 8, 9], ["learned", "no_lookup"], 10)(s, d), "no_lookup", "learned"))
+query("w_dnf")(lambda s, d: workloads.summarise(_experiment("gd_size", [12, 14], ["learned", "no_lookup", "plain"], 3, budget=0.2)(s, d)).select("size", "method", "queries", "dnf_share", "capped_share"))
+
+
+@query("w_walk_patterns")
+def w_walk_patterns(spark, sf_dir):
+    return workloads.random_walk_patterns(graph("gs_name", spark, sf_dir), [4, 8, 12], 20)
+
+
+def _variants(graph_name: str, methods: dict, sizes: list[int], count: int = 6):
+    def run(spark, sf_dir):
+        g = graph(graph_name, spark, sf_dir)
+        queries = cand.cut(workloads.random_walk_patterns(g, sizes, count, seed=2, induced=False))
+        return workloads.summarise(workloads.run_experiment(g, queries, methods, query_budget_s=0.5)).select("size", "method", "queries", "search_calls", "n_found", "slot_hits", "slots_used", "avg_ms", "dnf_share")
+
+    return run
+
+
+_M = dfs.Method
+query("w_unit_size")(_variants("gs_type", {f"roots_{k or 'all'}": _M(filters=dfs.STRUCTURAL, order="tree_path", unit_roots=k) for k in (1, 8, 64, 0)}, [6, 10]))
+query("w_slot_policy")(_variants("gs_type", {f"{m}_{p}_{t}": _M(filters=dfs.STRUCTURAL, order="tree_path", match=m, policy=p, store=t) for m in ("prefix", "subset") for p in ("last", "smallest") for t in ("slots", "set")}, [6, 10]))
+query("w_scale", "SELECT 'gd' AS graph, (SELECT count(*) FROM (SELECT DISTINCT least(x.l_partkey, y.l_partkey), greatest(x.l_partkey, y.l_partkey) FROM lineitem x JOIN lineitem y USING (l_orderkey, l_returnflag) WHERE x.l_partkey <> y.l_partkey)) AS n_edges")(lambda s, d: graph("gd", s, d).stats().select(F.lit("gd").alias("graph"), "n_edges"))
+
+# Relational surface.
+query("o_edges_closed", f"{GRAPHS['gs'][1]} SELECT src, dst FROM e")(lambda s, d: graph("gs", s, d).edges.select("src", "dst"))
+query("o_degree", f"{_GD} SELECT src AS vid, count(*) AS deg FROM e GROUP BY src")(lambda s, d: graph("gd", s, d).degrees())
+query("o_degree_hist", f"{_GD} SELECT deg, count(*) AS vertices FROM (SELECT count(*) AS deg FROM e GROUP BY src) GROUP BY deg")(lambda s, d: graph("gd", s, d).degrees().groupBy("deg").agg(F.count(F.lit(1)).alias("vertices")))
+_PAIRS = "pl AS (SELECT x.label AS src_label, y.label AS dst_label FROM e JOIN v x ON x.vid = src JOIN v y ON y.vid = dst)"
+for _kind, _f in {"rollup": lambda e: e.rollup("src_label", "dst_label"), "cube": lambda e: e.cube("src_label", "dst_label"), "grouping_sets": lambda e: e.groupingSets([[F.col("src_label")], [F.col("dst_label")]], "src_label", "dst_label"), "pairs": lambda e: e.groupBy("src_label", "dst_label")}.items():
+    _by = {"rollup": "ROLLUP (src_label, dst_label)", "cube": "CUBE (src_label, dst_label)", "grouping_sets": "GROUPING SETS ((src_label), (dst_label))", "pairs": "src_label, dst_label"}[_kind]
+    query("o_label_pairs" if _kind == "pairs" else f"o_label_{_kind}", f"{_GD}, {_PAIRS} SELECT src_label, dst_label, count(*) AS n FROM pl GROUP BY {_by}")(lambda s, d, f=_f: f(graph("gd", s, d).edges).agg(F.count(F.lit(1)).alias("n")).select("src_label", "dst_label", "n"))
+query("o_adjacency_lists", f"{GRAPHS['gs'][1]} SELECT src AS vid, string_agg(CAST(dst AS VARCHAR), ',' ORDER BY dst) AS nbrs FROM e GROUP BY src")(lambda s, d: graph("gs", s, d).adjacency().select("vid", F.array_join("nbrs", ",").alias("nbrs")))
+query("o_semi_has_neighbor", f"{_GD} SELECT vid FROM v WHERE EXISTS (SELECT 1 FROM e JOIN v w ON w.vid = dst WHERE src = v.vid AND w.label = '{B}')")(lambda s, d: (lambda g: g.vertices.join(g.edges.filter(F.col("dst_label") == B).select(F.col("src").alias("vid")), "vid", "left_semi").select("vid"))(graph("gd", s, d)))
+query("o_anti_no_neighbor", f"{_GD} SELECT vid FROM v WHERE NOT EXISTS (SELECT 1 FROM e JOIN v w ON w.vid = dst WHERE src = v.vid AND w.label = '{B}')")(lambda s, d: (lambda g: g.vertices.join(g.edges.filter(F.col("dst_label") == B).select(F.col("src").alias("vid")), "vid", "left_anti").select("vid"))(graph("gd", s, d)))
+
+
+@query("o_common_neighbors", f"{GRAPHS['gs'][1]} SELECT x.src AS a, y.src AS b, count(*) AS common FROM e x JOIN e y USING (dst) WHERE x.src < y.src GROUP BY ALL")
+def o_common_neighbors(spark, sf_dir):
+    e = graph("gs", spark, sf_dir).edges.select("src", "dst")
+    return e.withColumnRenamed("src", "a").join(e.withColumnRenamed("src", "b"), "dst").filter("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"))
+
+
+query("o_time_proximity", f"{GRAPHS['gu'][1]} SELECT a, b FROM pairs")(lambda s, d: src.user_pairs(src.table(s, d, "events")))
+query("o_cross_domains", f"{GRAPHS['gs'][1]} {to_sql(PatternGraph((A, B), ()))}")(lambda s, d: joins.join_match(graph("gs", s, d), PatternGraph((A, B), ())))
+
+
+@query("o_top_degree_per_label", f"{_GD}, d AS (SELECT src AS vid, label, count(*) AS deg FROM e JOIN v ON vid = src GROUP BY ALL) SELECT label, vid, deg FROM (SELECT *, row_number() OVER (PARTITION BY label ORDER BY deg DESC, vid) AS r FROM d) WHERE r <= 3")
+def o_top_degree_per_label(spark, sf_dir):
+    g = graph("gd", spark, sf_dir)
+    ranked = F.row_number().over(Window.partitionBy("label").orderBy(F.desc("deg"), "vid"))
+    return g.degrees().join(g.vertices, "vid").withColumn("r", ranked).filter("r <= 3").select("label", "vid", "deg")
+
+
+query("o_rank_labels", "SELECT p_brand, n, dense_rank() OVER (ORDER BY n DESC) AS r FROM (SELECT p_brand, count(*) AS n FROM part GROUP BY p_brand)")(lambda s, d: src.table(s, d, "part").groupBy("p_brand").agg(F.count(F.lit(1)).alias("n")).withColumn("r", F.dense_rank().over(Window.orderBy(F.desc("n")))))
+query("o_lag_turn", "SELECT conv_id, turn, role, lag(role) OVER (PARTITION BY conv_id ORDER BY turn) AS before FROM conversations")(lambda s, d: src.table(s, d, "conversations").select("conv_id", "turn", "role", F.lag("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("before")))
+query("o_rolling_events", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN 4 PRECEDING AND CURRENT ROW) AS n FROM events")(lambda s, d: src.table(s, d, "events").select("event_id", F.count(F.lit(1)).over(Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(-4, 0)).alias("n")))
+_E2 = {"gs2": GRAPHS["gs"][1].replace("WITH li", "WITH li").replace("li AS", "li2 AS").replace("FROM li x JOIN li y", "FROM li2 x JOIN li2 y").replace("pairs AS", "pairs2 AS").replace("FROM pairs", "FROM pairs2").replace("e AS (", "e2 AS (").replace(" v AS", " v2 AS")[len("WITH ") :]}
+for _op, _spark_op in {"UNION": lambda a, b: a.union(b).distinct(), "INTERSECT": lambda a, b: a.intersect(b), "EXCEPT": lambda a, b: a.exceptAll(b)}.items():
+    query(f"o_edges_{_op.lower()}", f"{_GD}, {_E2['gs2']} SELECT src, dst FROM e {_op} SELECT src, dst FROM e2")(lambda s, d, f=_spark_op: f(graph("gd", s, d).edges.select("src", "dst"), graph("gs", s, d).edges.select("src", "dst")))
+query("o_href_tokens", "SELECT DISTINCT page_id, unnest(regexp_extract_all(html, 'href=\"([^\"]+)\"', 1)) AS href FROM pages")(lambda s, d: src.table(s, d, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]+)"'), 1)).alias("href")).distinct())
+query("o_host_lang", "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/]+)', 1) AS host, regexp_extract(url, '^[a-z]+://[^/]+/([^/]+)', 1) AS lang FROM pages")(lambda s, d: src.table(s, d, "pages").select("page_id", F.regexp_extract("url", "^[a-z]+://([^/]+)", 1).alias("host"), F.regexp_extract("url", "^[a-z]+://[^/]+/([^/]+)", 1).alias("lang")))
+query("o_json_prop")(lambda s, d: src.table(s, d, "events").select("event_id", F.explode(F.from_json("props", "map<string,string>")).alias("key", "value")))
+query("o_embedding_arrays", f"{_GD} SELECT array_to_string([m1, m2, m3], ',') AS asg FROM ({to_sql(cycle(A, B, C))})")(lambda s, d: joins.as_array(joins.join_match(graph("gd", s, d), cycle(A, B, C))).select(F.array_join("asg", ",").alias("asg")))
+query("o_embedding_map", f"{_GD} SELECT unnest([1, 2, 3]) AS u, unnest([m1, m2, m3]) AS vid FROM ({to_sql(cycle(A, B, C))})")(lambda s, d: joins.as_map(joins.join_match(graph("gd", s, d), cycle(A, B, C))).select(F.explode("mapping").alias("u", "vid")))
+query("o_reason_bits")(lambda s, d: waves.explain_empty(inline(s, *X1), X1_PATTERN).select("level", "reason", F.bit_count("reason").alias("bits"), "rows"))
+query("o_explain_empty")(lambda s, d: waves.explain_empty(graph("gd", s, d), PATTERNS["q_clique4"][1]))
+query("o_wave_stats")(lambda s, d: waves.wave_match(graph("gd", s, d), PATTERNS["q_clique4"][1])[2])
+query("o_triangle_per_vertex", f"{_GD} SELECT m1 AS vid, count(*) AS triangles FROM ({to_sql(cycle(A, B, C))}) GROUP BY m1")(lambda s, d: joins.join_match(graph("gd", s, d), cycle(A, B, C)).groupBy(F.col("m1").alias("vid")).agg(F.count(F.lit(1)).alias("triangles")))
+query("o_distinct_images", f"{GRAPHS['gk'][1]} SELECT DISTINCT array_to_string(list_sort([m1, m2, m3]), ',') AS image FROM ({to_sql(cycle('es', 'es', 'es'))})")(lambda s, d: joins.distinct_images(joins.join_match(graph("gk", s, d), cycle("es", "es", "es"))).select(F.array_join("image", ",").alias("image")))
+_window = "SELECT event_type, epoch(time_bucket(INTERVAL '{size}', ts)) AS start, count(*) AS n FROM events GROUP BY ALL"
+query("o_window_tumbling", _window.format(size="10 minutes").replace("epoch(", "CAST(epoch(").replace(", ts))", ", ts)) AS BIGINT)"))(lambda s, d: deltas.windowed_activity(src.table(s, d, "events")).select("event_type", F.unix_seconds("w.start").alias("start"), "n"))
+query("o_window_sliding")(lambda s, d: deltas.windowed_activity(src.table(s, d, "events"), "sliding").select("event_type", F.unix_seconds("w.start").alias("start"), "n"))
+query("o_window_session")(lambda s, d: deltas.windowed_activity(src.table(s, d, "events"), "session").select("event_type", F.unix_seconds("w.start").alias("start"), "n"))
+
+
+@query("o_delta_match", f"{_GD} SELECT m1, m2, m3 FROM ({to_sql(cycle(A, B, C))}) WHERE (m1 + m2) % 4 = 0 OR (m2 + m3) % 4 = 0 OR (m1 + m3) % 4 = 0")
+def o_delta_match(spark, sf_dir):
+    """Edges whose ends sum to a multiple of 4 arrive later: exactly the embeddings on such an edge are new."""
+    g = graph("gd", spark, sf_dir)
+    late = (F.col("src") + F.col("dst")) % 4 == 0
+    return deltas.delta_match(LabeledGraph(g.vertices, g.edges.filter(~late)), g.edges.filter(late & (F.col("src") < F.col("dst"))).select(F.col("src").alias("a"), F.col("dst").alias("b")), cycle(A, B, C))

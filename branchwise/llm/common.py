@@ -37,10 +37,15 @@ def fresh_path(spark: SparkSession, name: str) -> str:
     return f"{work_dir(spark)}/branchwise/{name}-{uuid.uuid4().hex}"
 
 
-def settled(df: DataFrame, name: str) -> DataFrame:
-    """Write once to the shared folder and read back: later steps no longer depend on the executors that made it."""
+def compact(df: DataFrame) -> DataFrame:
+    """At most four partitions per core of the cluster: small shuffled results don't become thousands of tiny files."""
+    return df.coalesce(4 * df.sparkSession.sparkContext.defaultParallelism)
+
+
+def settled(df: DataFrame, name: str, small: bool = False) -> DataFrame:
+    """Write once to the shared folder and read back: later steps no longer depend on the executors that made it. small: in few files."""
     path = fresh_path(df.sparkSession, name)
-    df.write.parquet(path)
+    (compact(df) if small else df).write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

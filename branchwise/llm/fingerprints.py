@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
+from .common import WORD_RE, columns, compact, documents, settled, sliced, worker_cache
 
 BITS = 64
 CACHE_WORDS = 150_000
@@ -155,10 +155,10 @@ def near_counts(fps: DataFrame, queries, radius: int = 3, blocks: int = 6) -> Da
 
 
 def op8(spark, sf_dir, radius: int = 3) -> DataFrame:
-    rows = settled(with_following(documents(spark, sf_dir)), "fingerprints")
+    rows = settled(with_following(documents(spark, sf_dir)), "fingerprints", small=True)
     asked = F.coalesce(F.col("doc_id") % 20 == 0, F.lit(False))
     near = near_counts(rows.select("doc_id", "fp"), asked, radius).withColumnsRenamed({"fp": "near_fp"})
     like = lambda a, b: F.greatest(F.lit(0.0), F.cos(F.lit(math.pi / BITS) * F.bit_count(F.col(a).bitwiseXOR(F.col(b)))))
     hexed = lambda c: F.lower(F.lpad(F.hex(c), 16, "0"))
     joined = rows.withColumn("asked_fp", F.when(asked, F.col("fp"))).join(near, F.col("asked_fp") == F.col("near_fp"), "left")
-    return joined.select("doc_id", "n_chars", "edited_sha256", hexed("fp").alias("fingerprint"), hexed("edited_fp").alias("edited_fingerprint"), like("fp", "edited_fp").alias("near_edited"), like("fp", "next_fp").alias("near_next"), (F.col("n_near") - 1).alias("n_near"))
+    return joined.select("doc_id", "n_chars", "edited_sha256", hexed("fp").alias("fingerprint"), hexed("edited_fp").alias("edited_fingerprint"), like("fp", "edited_fp").alias("near_edited"), like("fp", "next_fp").alias("near_next"), (F.col("n_near") - 1).alias("n_near")).transform(compact)

@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, documents, id_mod, settled, sliced
+from .common import WORD_RE, compact, documents, id_mod, settled, sliced
 
 LOOKUP, OWN, SHARED, COARSE_OWN, COARSE_SHARED, CUT = 1 << 17, 4096, 1024, 256, 256, 256
 END = "\n"  # no word has it
@@ -338,9 +338,9 @@ def score(encoded: DataFrame, model: Model, vocab: Vocabulary) -> DataFrame:
 
 
 def train_and_score(docs: DataFrame, held_out, states: int = 12, rounds: int = 2) -> DataFrame:
-    counts = settled(word_counts(docs.filter(~held_out)), "lm-counts")
+    counts = settled(word_counts(docs.filter(~held_out)), "lm-counts", small=True)
     vocab = vocabulary(counts)
-    encoded = settled(encode(docs, vocab, held_out), "lm-encoded")
+    encoded = settled(encode(docs, vocab, held_out), "lm-encoded", small=True)
     train = encoded.filter("NOT held_out")
     model = first_model(train, vocab, states)
     for _ in range(rounds):
@@ -351,4 +351,4 @@ def train_and_score(docs: DataFrame, held_out, states: int = 12, rounds: int = 2
 
 
 def op10(spark, sf_dir) -> DataFrame:
-    return train_and_score(documents(spark, sf_dir), id_mod("doc_id", 10) == 0)
+    return compact(train_and_score(documents(spark, sf_dir), id_mod("doc_id", 10) == 0))

@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, columns, documents, settled, sliced, worker_cache
+from .common import WORD_RE, columns, compact, documents, settled, sliced, worker_cache
 
 WORDS, THRESHOLD, RECALL, SIGMAS = 5, 0.8, 0.99998, 4.5
 BLOCK = 256
@@ -228,7 +228,7 @@ def verified(members: DataFrame, threshold: float) -> DataFrame:
 
 def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
     """(node, root) of all nodes with an edge; root is the least node of the component. Alternating stars, settled each round."""
-    now = settled(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges")
+    now = settled(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges", small=True)
     state = None
     for _ in range(rounds):
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -237,7 +237,7 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
         # Each node now sees only smaller ones; its smaller ones all go to the least of them.
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.withColumnRenamed("m", "b"))
-        now = settled(small.filter("a <> b").distinct(), "edges")
+        now = settled(small.filter("a <> b").distinct(), "edges", small=True)
         seen = tuple(now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
         if seen == state:
             return now.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "node")
@@ -252,13 +252,13 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
     bands, rows = choose_bands(threshold, recall)
     found = settled(signatures(docs, bands, rows, n), "signatures")
     at = F.coalesce("doc_id", F.lit(LOWEST))
-    sets = settled(found.filter("n_grams > 0").groupBy("set_hash").agg(F.min("row").alias("node"), F.min(at).alias("copy_id"), F.count(F.lit(1)).alias("n_copies"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")), "sets")
+    sets = settled(found.filter("n_grams > 0").groupBy("set_hash").agg(F.min("row").alias("node"), F.min(at).alias("copy_id"), F.count(F.lit(1)).alias("n_copies"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")), "sets", small=True)
     keyed = sets.select(F.explode("bands").alias("key"), "node")
     full = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
     buckets = keyed.join(full, "key").join(sets.select("node", "sketch"), "node")
     cut = threshold - SIGMAS * math.sqrt(threshold * (1 - threshold) / (bands * rows))
-    clusters = components(settled(candidate_stars(dealt(buckets, "key", "node", 4 * block), cut), "candidates"))
-    clusters = settled(clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct()), "clusters")
+    clusters = components(settled(candidate_stars(dealt(buckets, "key", "node", 4 * block), cut), "candidates", small=True))
+    clusters = settled(clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct()), "clusters", small=True)
     sizes = clusters.groupBy("root").agg(F.count(F.lit(1)).alias("n"))
     members = clusters.join(sizes, "root").join(sets.select("node", "copy_id", "set_hash"), "node")
     texts = docs.select(at.alias("copy_id"), "text").join(members, "copy_id")
@@ -273,12 +273,12 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
             yield pa.RecordBatch.from_arrays([pa.array([c[i] for i in ok], k) for c, k in ((key, pa.int64()), (size, pa.int64()), (node, pa.int64()), (grams, pa.binary()))], names=["key", "n", "node", "grams"])
 
     full_sets = texts.select(F.col("root").alias("key"), "n", "node", "set_hash", "text").mapInArrow(run, "key bigint, n bigint, node bigint, grams binary").dropDuplicates(["node"])
-    linked = settled(verified(dealt(full_sets, "key", "node", block), threshold), "links")
+    linked = settled(verified(dealt(full_sets, "key", "node", block), threshold), "links", small=True)
     roots = components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")))
     roots = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
     counts = linked.groupBy("node").agg(F.sum("links").alias("n_links"))
     of = sets.select("set_hash", "node", "copy_id", "n_copies").join(counts, "node", "left").join(roots, "node", "left")
-    of = settled(of.withColumn("root", F.coalesce("root", "node")), "classes")
+    of = settled(of.withColumn("root", F.coalesce("root", "node")), "classes", small=True)
     least = of.filter("n_links > 0").groupBy("root").agg(F.min("copy_id").alias("class_id"))
     of = of.join(least, "root", "left").select("set_hash", "copy_id", "n_copies", F.coalesce("class_id", "copy_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     given = F.col("doc_id") if null_ids else at
@@ -289,7 +289,7 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """docs without all but the first row (by doc_id, then text) of each group; columns as given."""
-    found = settled(similarity_classes(docs, null_ids=False, **options), "near-classes").filter("n_grams > 0")
+    found = settled(similarity_classes(docs, null_ids=False, **options), "near-classes", small=True).filter("n_grams > 0")
     first = found.groupBy("class_id").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), "text_key")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
     many = found.join(first, "class_id")
     key = F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), F.col("text_key"))
@@ -298,10 +298,10 @@ def keep_one(docs: DataFrame, **options) -> DataFrame:
     named = docs.withColumn("_key", F.xxhash64("text"))
     rest = named.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.col("_key") == F.col("gone_key")), "left_anti")
     if again.isEmpty():
-        return rest.select(*docs.columns)
+        return compact(rest.select(*docs.columns))
     same = F.col("doc_id").eqNullSafe(F.col("again_id")) & (F.col("_key") == F.col("again_key"))
     return rest.join(again, same, "left_anti").unionByName(rest.join(again, same, "left_semi").dropDuplicates(["doc_id", "_key"])).select(*docs.columns)
 
 
 def op1(spark, sf_dir) -> DataFrame:
-    return similarity_classes(documents(spark, sf_dir)).drop("text_key")
+    return compact(similarity_classes(documents(spark, sf_dir)).drop("text_key"))

@@ -162,8 +162,8 @@ def row_key():
 
 def judge(docs: DataFrame, measures=MEASURES, min_rows: int = 200, reach: int = 4) -> DataFrame:
     keyed = docs.select("doc_id", "lang", "source", row_key(), "text")
-    counts = settled(count_documents(keyed, ("doc_id", "lang", "source", "row_key")), "quality-counts")
-    limits = settled(thresholds(sketches(counts, measures), measures, min_rows, reach), "quality-limits")
+    counts = settled(count_documents(keyed, ("doc_id", "lang", "source", "row_key")), "quality-counts", small=True)
+    limits = settled(thresholds(sketches(counts, measures), measures, min_rows, reach), "quality-limits", small=True)
     return verdicts(counts, limits, measures)
 
 

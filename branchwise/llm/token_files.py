@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import documents, fresh_path, id_text, sliced
+from .common import compact, documents, fresh_path, id_text, sliced
 
 WRITER = {"compression": "zstd", "parquet.writer.version": "v2", "parquet.enable.dictionary": "false", "parquet.block.size": str(32 << 20), "parquet.page.size": str(256 << 10), "parquet.page.row.count.limit": "2000"}
 SCHEMA = "doc_id bigint, n_tokens bigint, ids array<int>"
@@ -88,4 +88,4 @@ def checksums(stored: DataFrame) -> DataFrame:
 def op5(spark, sf_dir) -> DataFrame:
     path = fresh_path(spark, "tokens")
     write_tokens(documents(spark, sf_dir), path, end_id=0)
-    return placed(checksums(spark.read.schema(SCHEMA).parquet(path))).select("doc_id", "start", "n_tokens", "ids_crc32")
+    return placed(checksums(spark.read.schema(SCHEMA).parquet(path))).select("doc_id", "start", "n_tokens", "ids_crc32").transform(compact)

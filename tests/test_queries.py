@@ -74,7 +74,7 @@ def test_experiment_measures(spark):
 
 def test_wave_nogoods_are_sound(spark):
     assert queries.QUERIES["q_nogoods_sound"](spark, DATA).first()[0] == 0
-    found, _, stats = waves.wave_match(queries.inline(spark, *queries.X1), queries.X1_PATTERN, 2, 3)
+    found, _, stats = waves.wave_match(queries.inline(spark, *queries.X1), queries.X1_PATTERN, 2, 7)
     assert found.count() == 3
     assert stats.filter("cause = 'KNOWN'").agg(F.sum("rows")).first()[0] == 4
 

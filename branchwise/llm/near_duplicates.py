@@ -248,7 +248,8 @@ def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
 def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = WORDS, recall: float = RECALL, block: int = BLOCK, null_ids: bool = True) -> DataFrame:
     """Per row: doc_id, text_key, n_grams, copy_id (least doc_id with the same set), n_copies (rows with that set),
     class_id (least doc_id of the group), n_links (other sets at or above the threshold). A null doc_id counts as the
-    least number, and is given back as null, or as that number where null_ids is false."""
+    least number, and is given back as null, or where null_ids is false as that number and with root, which tells
+    groups apart even where doc_ids repeat."""
     bands, rows = choose_bands(threshold, recall)
     found = settled(signatures(docs, bands, rows, n), "signatures")
     at = F.coalesce("doc_id", F.lit(LOWEST))
@@ -280,18 +281,18 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
     of = sets.select("set_hash", "node", "copy_id", "n_copies").join(counts, "node", "left").join(roots, "node", "left")
     of = settled(of.withColumn("root", F.coalesce("root", "node")), "classes", small=True)
     least = of.filter("n_links > 0").groupBy("root").agg(F.min("copy_id").alias("class_id"))
-    of = of.join(least, "root", "left").select("set_hash", "copy_id", "n_copies", F.coalesce("class_id", "copy_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    of = of.join(least, "root", "left").select("set_hash", "root", "copy_id", "n_copies", F.coalesce("class_id", "copy_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
     given = F.col("doc_id") if null_ids else at
     back = lambda c: F.coalesce(F.nullif(F.col(c), F.lit(LOWEST)), given) if null_ids else F.coalesce(F.col(c), given)
     joined = found.select("doc_id", "text_key", "n_grams", "set_hash").join(of, "set_hash", "left")
-    return joined.select("doc_id", "text_key", "n_grams", back("copy_id").alias("copy_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"), back("class_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return joined.select("doc_id", "text_key", "n_grams", back("copy_id").alias("copy_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"), back("class_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"), *([] if null_ids else ["root"]))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
     """docs without all but the first row (by doc_id, then text) of each group; columns as given."""
     found = settled(similarity_classes(docs, null_ids=False, **options), "near-classes", small=True).filter("n_grams > 0")
-    first = found.groupBy("class_id").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), "text_key")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-    many = found.join(first, "class_id")
+    first = found.groupBy("root").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), "text_key")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    many = found.join(first, "root")
     key = F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), F.col("text_key"))
     gone = many.filter(key != F.col("first")).select(F.col("doc_id").alias("gone_id"), F.col("text_key").alias("gone_key")).distinct()
     again = many.filter(key == F.col("first")).groupBy("doc_id", "text_key").count().filter("count > 1").select(F.col("doc_id").alias("again_id"), F.col("text_key").alias("again_key"))

@@ -1,10 +1,11 @@
-"""Token ids of whole texts by a public tokenizer file, with a cache of pre-tokens.
-
-The byte-level tokenizer first cuts a text into pre-tokens and then encodes each by itself.
-Texts within Latin-1 (the usual case) are cut here by the same rule, so that frequent
-pre-tokens come from a bounded per-worker cache and only the others go to the tokenizers
-library, in few calls per batch. Other texts are cut just at lone spaces between two other
-characters, where a pre-token always ends. The ids equal those of the whole text (tested).
+"""Token ids of whole texts by a public tokenizer file, with tables of what was encoded before.
+
+The byte-level tokenizer first cuts a text into pre-tokens and then merges each by itself.
+Texts within Latin-1 (the usual case) are cut here by the same rule; each pre-token is looked
+up in a bounded per-worker table, and one that is missing goes to the library's merge model
+alone, without its cutting. Other texts are cut just at lone spaces between two other
+characters, where a pre-token always ends, and missing parts go through the whole tokenizer.
+The ids equal those of the whole text (tested).
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ from __future__ import annotations
 import os
 import re
 from array import array
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -19,27 +21,37 @@ import pyarrow as pa
 from .common import worker_cache
 
 DEFAULT_FILE = "byte_bpe_50k.json"
-#: Once the cache is so large it stays as it is: what is frequent came early.
-CACHE_SIZE = 400_000
-#: Longer ones are rare and large, so they stay out of the cache.
-LONGEST_CACHED = 48
+#: Once a table is so large it stays as it is: what is frequent came early.
+PRETOKENS, PARTS = 400_000, 100_000
+#: Longer ones are rare and large, so they stay out of the tables.
+LONGEST_KEPT = 48
 # Latin-1 members of the classes of letters, numbers and white space.
 LETTERS = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\xff"
 NUMBERS = "0-9\xb2\xb3\xb9\xbc-\xbe"
 SPACES = "\x09-\x0d \x85\xa0"
 _LATIN = re.compile(rf" ?[{LETTERS}]+|'(?:s|t|re|ve|m|ll|d)| ?[{NUMBERS}]+| ?[^{SPACES}{LETTERS}{NUMBERS}]+|[{SPACES}]+(?![^{SPACES}])|[{SPACES}]+")
 _CUT = re.compile(r"(?<=\S)(?= \S)")
-#: Pre-tokens of these characters alone can be joined by line feeds and still be encoded one by one.
-_JOINABLE = re.compile(rf" ?(?:[{LETTERS}]+|[{NUMBERS}]+)")
+# Bytes that stand for themselves in the byte-level alphabet; the others follow from code point 256 on.
+SHOWN = [*range(33, 127), *range(161, 173), *range(174, 256)]
+
+
+def byte_alphabet() -> str:
+    """Character of each of the 256 bytes."""
+    hidden = [b for b in range(256) if b not in SHOWN]
+    return "".join(chr(b) if b in SHOWN else chr(256 + hidden.index(b)) for b in range(256))
+
 
+class Table(dict):
+    """Encoded strings as little-endian unsigned 32-bit ids; a missing one is encoded, and kept while there is room."""
 
-def parts(text: str) -> list[str]:
-    """Parts of a text that the tokenizer encodes independently of each other."""
-    try:
-        text.encode("latin-1")
-    except UnicodeEncodeError:
-        return _CUT.split(text)
-    return _LATIN.findall(text)
+    def __init__(self, ids_of: Callable[[str], list[int]], most: int):
+        self.ids_of, self.most = ids_of, most
+
+    def __missing__(self, key: str) -> bytes:
+        found = array("I", self.ids_of(key)).tobytes()
+        if len(self) < self.most and len(key) <= LONGEST_KEPT:
+            self[key] = found
+        return found
 
 
 class Encoder:
@@ -50,36 +62,20 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(public_tokenizers.path(file) if os.sep not in file else file)
         self.tokenizer.encode_special_tokens = True
-        self.words: dict[str, bytes] = {}
-        self.feed = np.uint32(self.tokenizer.encode("\n", add_special_tokens=False).ids[0])
-
-    def _encode(self, pretokens: list[str]):
-        joined = [c for c in pretokens if _JOINABLE.fullmatch(c)]
-        whole = ["\n".join(joined[i : i + 50]) for i in range(0, len(joined), 50)]
-        for i, e in enumerate(self.tokenizer.encode_batch_fast(whole, add_special_tokens=False)):
-            ids = np.array(e.ids, "<u4")
-            raw, cuts = ids.tobytes(), (4 * np.flatnonzero(ids == self.feed)).tolist()
-            start = 0
-            for c, at in zip(joined[50 * i : 50 * i + 50], [*cuts, len(raw)]):
-                yield c, raw[start:at]
-                start = at + 4
-        if len(joined) < len(pretokens):
-            rest = list(set(pretokens).difference(joined))
-            for c, e in zip(rest, self.tokenizer.encode_batch_fast(rest, add_special_tokens=False)):
-                yield c, array("I", e.ids).tobytes()
+        whole, merge, alphabet = self.tokenizer.encode, self.tokenizer.model.tokenize, byte_alphabet()
+        self.pretokens = Table(lambda c: [t.id for t in merge((c if c.isascii() else c.encode().decode("latin-1")).translate(alphabet))], PRETOKENS)
+        self.parts = Table(lambda c: whole(c, add_special_tokens=False).ids, PARTS)
+
+    def _encode(self, text: str) -> bytes:
+        try:
+            text.encode("latin-1")
+        except UnicodeEncodeError:
+            return b"".join(map(self.parts.__getitem__, _CUT.split(text)))
+        return b"".join(map(self.pretokens.__getitem__, _LATIN.findall(text)))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        split, words = [parts(t) for t in texts], self.words
-        missing = list({c for chunks in split for c in chunks if c not in words})
-        kept = len(words) < CACHE_SIZE
-        words.update(self._encode(missing))
-        get = words.__getitem__
-        found = [b"".join(map(get, chunks)) for chunks in split]
-        for c in missing:
-            if not kept or len(c) > LONGEST_CACHED:
-                del words[c]
-        return found
+        return [self._encode(t) for t in texts]
 
     def encode_array(self, texts: pa.StringArray, end_id: int) -> tuple[np.ndarray, np.ndarray]:
         """All ids, each text followed by end_id, and the offsets of the texts."""

@@ -3,11 +3,15 @@
 Validated spans (kinds email, ip, card, phone) come from expressions plus checks (ranges, digit
 counts, Luhn) and always stay. Beside them, generators of high recall propose further spans,
 which may overlap: runs of digits and separators, dotted numbers, spelled-out addresses, and
-account-like codes. Each gets bounded format and context features, packed into a cell number
-below ``CELLS``. Over all rows, candidates are counted by cell, with those that meet a
-validated span as weak positives: at most CELLS rows reach the driver, where trees of depth
-two are boosted on the counts (the same as boosting on the candidates). The trees become one
-SQL expression; the threshold is the least score at which weak precision is still ``precision``.
+account-like codes. Each generator has a check of its own (``SURE``: the sum of an account code,
+the ending of a spelled-out address, a naming word right before a local number); what passes is
+always proposed. Each candidate gets bounded format and context features, packed into a cell
+number below ``CELLS``. Over all rows, candidates are counted by cell, with those that meet a
+validated span or pass their check as weak positives: at most CELLS rows reach the driver, where
+trees of depth two are boosted on the counts (the same as boosting on the candidates). The trees
+become one SQL expression. Each generator has its own threshold, the least score at which weak
+precision is still ``precision`` among its candidates outside validated spans, which are the ones
+that can be added; the thresholds are folded into the scores, so that zero is the bound for all.
 
 Matches get their offsets from the pieces between them: ``split`` and ``regexp_extract_all``
 walk alike. Expressions are possessive and anchored at run starts, so long runs cost linear time.
@@ -45,9 +49,13 @@ GENERATORS = {
 ADDED = tuple(GENERATORS)
 KINDS = (*BASE, *ADDED)
 CONTEXT = r"(?i)(?:phone|tel|call|mobile|fax|card|visa|account|iban|ssn|mail|contact|address|host|server|\\bip\\b)"
+#: A word that names a personal number, and what may stand between it and the number.
+NAMED = r"(?i)(?<![a-z0-9])(?:(?:tele|cell|mobile )?phone|tel|telephone|mobile|cell|fax|call|text|whatsapp|ssn|social security|passport|(?:national|personal|tax) id|id (?:card|number|no|nr))(?: (?:card|number|no|nr|me|us|at|on|is|under))*+[\x20.:#=(-]{1,4}$"
 # Sizes of the features: generator, digits, separators, leading sign, keyword before, letter beside.
 SIZES = (len(GENERATORS), 7, 3, 2, 2, 2)
 CELLS = math.prod(SIZES)
+#: Added to the score where a generator has nothing precise enough, and to what passes its own check: both outweigh any sum of trees.
+NEVER, SURER = -1e6, 1e7
 SPAN = "array<struct<kind: string, start: bigint, end: bigint, value: string>>"
 
 
@@ -83,33 +91,55 @@ VALID = {
 }
 
 
+def iban(v: str) -> str:
+    """SQL: the code, its first four characters moved to the end and letters read as 10 to 35, leaves 1 modulo 97."""
+    w = f"concat(substr({v}, 5), substr({v}, 1, 4))"
+    return f"length({v}) BETWEEN 15 AND 34 AND aggregate(transform(sequence(1, length({v})), i -> ascii(substr({w}, i, 1))), 0, (a, c) -> CASE WHEN c < 58 THEN (a * 10 + c - 48) % 97 ELSE (a * 100 + c - 55) % 97 END) = 1"
+
+
+BEFORE = "substring(text, greatest(x.start - 31, 1), least(x.start, 32))"
+BESIDE = r"(rlike(substring(text, x.start, least(x.start, 1L)), '[A-Za-z0-9_]') OR rlike(substring(text, x.end + 1, 1), '[A-Za-z0-9_]'))"
+#: The own check of each generator. A dotted number of valid parts is a base span already, so no other has a check.
+SURE = {
+    "number": f"length({digits('x.value')}) BETWEEN 7 AND 15 AND rlike({BEFORE}, {_literal(NAMED)}) AND NOT {BESIDE}",
+    "dotted": "false",
+    "address": "rlike(x.value, '(?i)^[a-z0-9].*[^a-z][a-z]{2,}$')",
+    "account": iban("replace(x.value, ' ', '')"),
+}
+
+
+def _int(sql: str) -> str:
+    """start and end are bigint, substring takes int."""
+    return sql.replace("x.start", "cast(x.start as int)").replace("x.end", "cast(x.end as int)").replace("1L", "1")
+
+
 def with_spans(docs: DataFrame) -> DataFrame:
-    """Adds base (validated spans by kind and start) and candidates (spans with their cell)."""
+    """Adds base (validated spans by kind and start) and candidates (spans with their cell, hit: meets a base span, sure: passes its own check)."""
     text = docs.withColumn("_given", F.col("text")).withColumn("text", F.coalesce("text", F.lit("")))
     found = text.withColumns({f"_{k}": _spans(k, *g) for k, g in {**PATTERNS, **GENERATORS}.items()})
     valid = F.concat(*(F.expr(f"filter(_{k}, x -> {VALID[k]})") for k in BASE))
     proposed = F.concat(*(F.col(f"_{k}") for k in ADDED))
     found = found.withColumn("base", valid).withColumn("candidates", proposed)
-    cells = F.expr(f"transform(candidates, x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'cell', {_cell()}, 'hit', cast(exists(base, b -> b.start < x.end AND x.start < b.end) as int)))")
+    sure = _int("CASE x.kind " + " ".join(f"WHEN '{k}' THEN {check}" for k, check in SURE.items()) + " END")
+    cells = F.expr(f"transform(candidates, x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'cell', {_cell()}, 'hit', cast(exists(base, b -> b.start < x.end AND x.start < b.end) as int), 'sure', cast({sure} as int)))")
     return found.withColumn("candidates", cells).drop("text", *(f"_{k}" for k in KINDS)).withColumnRenamed("_given", "text")
 
 
 def _cell() -> str:
     """SQL: the packed features of candidate x."""
-    d, before = f"length({digits('x.value')})", "substring(text, greatest(x.start - 31, 1), least(x.start, 32))"
+    d = f"length({digits('x.value')})"
     parts = [
         "CASE x.kind " + " ".join(f"WHEN '{k}' THEN {i}" for i, k in enumerate(ADDED)) + " END",
         f"CASE WHEN {d} < 7 THEN 0 WHEN {d} < 9 THEN 1 WHEN {d} < 12 THEN 2 WHEN {d} < 13 THEN 3 WHEN {d} < 16 THEN 4 WHEN {d} < 20 THEN 5 ELSE 6 END",
         r"CASE WHEN rlike(x.value, '^[+(]?[A-Za-z0-9]+$') THEN 0 WHEN rlike(x.value, '^[+(]?[A-Za-z0-9 ]+$') THEN 1 ELSE 2 END",
         "cast(rlike(x.value, '^[+(]') as int)",
-        f"cast(rlike({before}, '{CONTEXT}') as int)",
-        r"cast(rlike(substring(text, x.start, least(x.start, 1L)), '[A-Za-z0-9_]') OR rlike(substring(text, x.end + 1, 1), '[A-Za-z0-9_]') as int)",
+        f"cast(rlike({BEFORE}, '{CONTEXT}') as int)",
+        f"cast({BESIDE} as int)",
     ]
     cell = parts[0]
     for size, p in zip(SIZES[1:], parts[1:]):
         cell = f"({cell}) * {size} + ({p})"
-    # start and end are bigint, substring takes int
-    return f"cast({cell} as int)".replace("x.start", "cast(x.start as int)").replace("x.end", "cast(x.end as int)").replace("1L", "1")
+    return _int(f"cast({cell} as int)")
 
 
 def unpack(cell: int) -> tuple[int, ...]:
@@ -150,8 +180,8 @@ class Trees:
         return " + ".join([f"{self.bias!r}D", *(f"({value(t)})" for t in self.trees)])
 
 
-def boost(cells: dict[int, tuple[int, int]], rounds: int = 12, rate: float = 0.5, ridge: float = 1.0, precision: float = 0.9) -> Trees:
-    """cells: cell -> (candidates, weak positives). Newton boosting on the counts."""
+def boost(cells: dict[int, tuple[int, int]], free: dict[int, tuple[int, int]] | None = None, rounds: int = 12, rate: float = 0.5, ridge: float = 1.0, precision: float = 0.9) -> Trees:
+    """cells: cell -> (candidates, weak positives); free: the same of those outside base spans, by default all. Newton boosting on the counts."""
     if not cells:
         return Trees(0.0, (), math.inf)
     at = sorted(cells)
@@ -190,26 +220,34 @@ def boost(cells: dict[int, tuple[int, int]], rounds: int = 12, rate: float = 0.5
         trees.append(tree)
         one = Trees(0.0, (tree,), 0.0)
         f = [v + one.score(c) for v, c in zip(f, at)]
-    # Calibration: cells by falling score; the threshold is the last score at which precision so far holds.
-    seen = hit = 0
-    threshold = math.inf
-    for v, i in sorted(zip(f, range(len(at))), key=lambda z: (-z[0], z[1])):
-        seen, hit = seen + n[i], hit + y[i]
-        if hit >= precision * seen:
-            threshold = v - 1e-9
-    return Trees(bias, tuple(trees), threshold)
+    # Calibration, by generator: cells by falling score; the threshold is the last score at which precision so far holds.
+    free = cells if free is None else free
+    for g in range(len(GENERATORS)):
+        seen = hit = 0
+        threshold = None
+        levels: dict[float, list[int]] = {}
+        for v, c in zip(f, at):
+            if unpack(c)[0] == g and free.get(c, (0, 0))[0]:
+                levels.setdefault(v, []).append(c)
+        for v in sorted(levels, reverse=True):
+            seen, hit = seen + sum(free[c][0] for c in levels[v]), hit + sum(free[c][1] for c in levels[v])
+            if hit >= precision * seen:
+                threshold = v - 1e-9
+        trees.append((0, frozenset([g]), NEVER if threshold is None else -threshold, 0.0))
+    return Trees(bias, tuple(trees), 0.0)
 
 
 def fit(docs: DataFrame, **options) -> Trees:
-    """Counts of all candidates by cell: CELLS rows at most."""
-    one = with_spans(docs.select("text")).filter(F.size("candidates") > 0).select(F.explode("candidates").alias("x")).select("x.cell", "x.hit")
-    return boost({r.cell: (r.n, r.y) for r in one.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.sum("hit").alias("y")).collect()}, **options)
+    """Counts of all candidates by cell, and of those outside base spans: CELLS rows at most."""
+    one = with_spans(docs.select("text")).filter(F.size("candidates") > 0).select(F.explode("candidates").alias("x")).select("x.cell", "x.hit", "x.sure")
+    counts = one.groupBy("cell").agg(F.count(F.lit(1)).alias("n"), F.sum(F.greatest("hit", "sure")).alias("y"), F.expr("count_if(hit = 0)").alias("n_free"), F.expr("count_if(hit = 0 AND sure = 1)").alias("y_free")).collect()
+    return boost({r.cell: (r.n, r.y) for r in counts}, {r.cell: (r.n_free, r.y_free) for r in counts}, **options)
 
 
 def detect(docs: DataFrame, model: Trees) -> DataFrame:
-    """docs with base and spans: base and the chosen candidates, by kind as in KINDS, then start. A candidate gives way to base spans and to better or earlier candidates."""
+    """docs with base and spans: base and the chosen candidates, by kind as in KINDS, then start. Chosen is what passes its own check or scores high enough. A candidate gives way to base spans and to better or earlier candidates."""
     score = model.sql("x.cell")
-    chosen = f"filter(transform(filter(candidates, x -> x.hit = 0), x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'score', {score})), x -> x.score >= {model.threshold!r}D)" if math.isfinite(model.threshold) else "cast(array() as array<struct<kind: string, start: bigint, end: bigint, score: double>>)"
+    chosen = f"filter(transform(filter(candidates, x -> x.hit = 0), x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'score', {score} + {SURER}D * x.sure)), x -> x.score >= {model.threshold!r}D)" if math.isfinite(model.threshold) else "cast(array() as array<struct<kind: string, start: bigint, end: bigint, score: double>>)"
     found = with_spans(docs).withColumn("candidates", F.expr(chosen))
     better = "y.start < x.end AND x.start < y.end AND (y.score > x.score OR y.score = x.score AND (y.end - y.start > x.end - x.start OR y.end - y.start = x.end - x.start AND (y.start < x.start OR y.start = x.start AND y.kind < x.kind)))"
     plain = "transform({}, x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end))"

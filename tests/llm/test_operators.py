@@ -277,6 +277,27 @@ def test_pii(spark, docs, rows):
     assert clean[0] == "[EMAIL][EMAIL]" and base_pii(clean[3]) == "" and clean[10] == ""
 
 
+def test_added_kinds_are_found_and_clean_numbers_are_not(spark):
+    """Amid many ordinary digit runs, codes and dotted numbers that nothing speaks for."""
+    kinds = {
+        "account": ["GB82 WEST 1234 5698 7654 32", "DE89370400440532013000"], "address": ["jane.doe [at] mail [dot] org", "bob(at)web.example.com"],
+        "number": ["phone: 555-123-4567", "call me at 020 7946 0958", "SSN 123-45-6789", "id number 98765432"],
+    }
+    planted = [(k, f"é some words {v} and more") for k, vs in kinds.items() for v in vs]
+    clean = [f"lot {x} of" for i in range(300) for x in (5530133646708580 + i * 10 + (i % 2), 20240000 + i, f"v300.{i}.400.2", f"GB00 WEST 1234 5698 {7000 + i} 32")]
+    base = [f"card 4111 1111 1111 1111 or +1 234 567 {i + 8000}" for i in range(50)]
+    df = spark.createDataFrame(list(enumerate([t for _, t in planted] + base + clean)), "doc_id bigint, text string")
+    found = {r.doc_id: r for r in pii.detect(df, pii.fit(df)).collect()}
+    for i, (k, t) in enumerate(planted):
+        (x,) = found[i].spans
+        start = min(t.find(d) for d in (["GB82", "DE89", "jane", "bob"] if k != "number" else ["555-", "020 ", "123-4", "9876"]) if d in t)
+        assert (x.kind, x.start, x.end) == (k, start, t.index(" and more")), t
+    wrong = [t for i, t in enumerate(clean, len(planted) + 50) if len(found[i].spans) > len(found[i].base)]
+    codes = [t[4:-3] for t in clean if "GB00" in t]
+    whole = lambda c: int("".join(str(int(x, 36)) for x in (c[4:] + c[:4]).replace(" ", ""))) % 97 == 1
+    assert wrong == [f"lot {c} of" for c in codes if whole(c)]
+
+
 def test_boosting_scores_alike_in_sql(spark):
     cells = {c: (5 + c % 7, (5 + c % 7) if c % 6 < 3 else 0) for c in range(0, pii.CELLS, 11)}
     model = pii.boost(cells)

@@ -1,20 +1,22 @@
 """Hidden Markov language model over whole texts, trained by Baum-Welch counts from all training rows.
 
-Vocabulary: counts of every training word are aggregated in Spark and stay there. Only words
-with a share of at least 1 / LOOKUP of all tokens reach the driver and the tasks (so at most
-LOOKUP words, whatever the corpus); other words are looked up by a join on the word.
-
-Model: states emit word classes, classes emit words. A word with a share of at least
-1 / OWN has a class of its own, as has the end of a text; other words share a class by their
-last three characters, and each such class keeps a place for unknown words. Inside a class
-a word has its share of the smoothed unigram mass, so
-    log P(text) = log P(classes under the states) + sum of log unigram - sum of log class mass.
-The tables of the model are bounded by states x classes.
-
-Training: (1) counts of neighbouring coarse classes over all training rows give the first
-states (an EM on that bounded matrix); (2) full Baum-Welch rounds: tasks run scaled
-forward-backward over their sequences, cut at ``CUT`` tokens, and emit expected counts, which Spark adds
-up by class. Scoring runs the scaled forward recursion over each uncut sequence, in float64.
+Vocabulary: counts of every training word are aggregated in Spark and stay there, as do the
+expected counts of every training word by state, so what is gathered grows with the corpus.
+Only words with a share of at least 1 / OWN of all tokens reach the driver.
+
+Model: states emit words. With E(w, s) the expected count of word w in state s and n(w) its count,
+    P(s | w) = (E(w, s) + KAPPA P(s | ending of w)) / (n(w) + KAPPA),
+where all words with the same last three characters (of SHARED hashed endings) give the share of an
+ending; a word not met in training has n = E = 0. Each ending keeps a place for unknown words. With
+the smoothed unigram share u(w), P(w | s) = u(w) P(s | w) / P(s), so forward-backward needs only the
+ratios P(s | w) / P(s), and log P(text) = sum of log unigram + log likelihood of the ratios.
+
+Training: (1) counts of neighbouring coarse classes (frequent words and endings) over all training
+rows give the first states (an EM on that bounded matrix); (2) full Baum-Welch rounds. Rows are
+encoded in blocks, each with the list of its distinct words. In a round the words of all blocks meet
+their counts by a join on the word, each block gets the counts of its own words only, tasks run scaled
+forward-backward over the sequences, cut at ``CUT`` tokens, and emit expected counts, which Spark adds up by
+word. Scoring meets the counts alike and runs the scaled forward recursion over each uncut sequence, in float64.
 
 Defined cases: null or empty text is just the end token; repeated rows each count and each get
 a row; without training rows every word is unknown; an empty table gives no row; further columns are ignored.
@@ -26,6 +28,7 @@ import math
 import zlib
 from collections import Counter
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -34,9 +37,14 @@ from pyspark.sql import functions as F
 
 from .common import WORD_RE, compact, documents, id_mod, settled, sliced
 
-LOOKUP, OWN, SHARED, COARSE_OWN, COARSE_SHARED, CUT = 1 << 17, 4096, 1024, 256, 256, 256
+OWN, SHARED, COARSE_OWN, COARSE_SHARED, CUT = 4096, 1024, 256, 256, 256
 END = "\n"  # no word has it
 ALPHA = 0.1
+KAPPA = 5.0
+#: A block of rows ends once it has so many characters of text.
+BLOCK = 16_000_000
+#: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, four to a number.
+STEPS = 65535
 
 
 def tokens_of(text: str) -> list[str]:
@@ -70,7 +78,6 @@ def word_counts(texts: DataFrame) -> DataFrame:
 class Vocabulary:
     n: int
     v: int
-    frequent: dict[str, int]
     mass: np.ndarray  # of each class; class 0 is the end, then SHARED shared ones, then own ones
     own: dict[str, int]
 
@@ -94,8 +101,8 @@ class Vocabulary:
 def vocabulary(counts: DataFrame) -> Vocabulary:
     n, v = counts.agg(F.sum("n"), F.count(F.lit(1))).first()
     n = n or 0
-    frequent = {r.word: r.n for r in counts.filter(F.col("n") * LOOKUP >= n).collect()} if n else {}  # at most LOOKUP words
-    ranked = sorted((w for w, c in frequent.items() if c * OWN >= n and w != END), key=lambda w: (-frequent[w], w))
+    frequent = {r.word: r.n for r in counts.filter(F.col("n") * OWN >= n).collect()} if n else {}  # at most OWN words
+    ranked = sorted((w for w in frequent if w != END), key=lambda w: (-frequent[w], w))
     own = {w: 1 + SHARED + i for i, w in enumerate(ranked)}
     total = n + ALPHA * (v + 1)
     mass = np.full(1 + SHARED + len(own), ALPHA / total)
@@ -108,68 +115,65 @@ def vocabulary(counts: DataFrame) -> Vocabulary:
         mass[r.c] += (r.n + ALPHA * r.v) / total
     for w, c in own.items():
         mass[c] = (frequent[w] + ALPHA) / total
-    return Vocabulary(n, v, frequent, mass, own)
+    return Vocabulary(n, v, mass, own)
+
+
+def ending(word: str) -> int:
+    return zlib.crc32(word[-3:].encode("utf-8", "surrogatepass")) % SHARED
 
 
 def encode(docs: DataFrame, vocab: Vocabulary, held_out) -> DataFrame:
-    """row, doc_id, held_out, n_tokens, and of the frequent words n_known and base; classes; rare words with their counts."""
-    logs = {w: math.log10((c + ALPHA) / vocab.total) for w, c in vocab.frequent.items()}
-    box = docs.sparkSession.sparkContext.broadcast((vocab.own, logs))
+    """doc_id, held_out, n_tokens, classes; block, and seq: the tokens as places in the word list of the block, their low
+    two bytes before their high one (two where wide). The list comes in pieces, as words from place first, on some rows of the block."""
+    box = docs.sparkSession.sparkContext.broadcast(vocab.own)
 
     def run(batches):
         from pyspark import TaskContext
 
-        own, logs = box.value
-        end = logs.get(END)
-        classes: dict[str, int] = dict(own)
-        row = TaskContext.get().partitionId() << 33
+        own = box.value
+        block = TaskContext.get().partitionId() << 33
+        place, kinds, size = {END: 0}, [0], 0
+        listed = 0
         for b in sliced(batches, most=2_000_000):
             ids, held, texts = (b.column(k) for k in range(3))
-            out, rare, times, until = [], [], [], [0]
-            if len(classes) > 150_000:
-                classes = dict(own)
+            if size > BLOCK:
+                block, place, kinds, size, listed = block + 1, {END: 0}, [0], 0, 0
+            seqs = []
             for text in texts.to_pylist():
+                size += len(text or "")
                 words = tokens_of(text or "")
-                known, base = 0, 0.0
-                for w, n in Counter(words).items():
-                    log = logs.get(w)
-                    if log is None:
-                        rare.append(w), times.append(n)
-                    else:
-                        known, base = known + n, base + n * log
-                    if w not in classes:
-                        classes[w] = 1 + zlib.crc32(w[-3:].encode("utf-8", "surrogatepass")) % SHARED
-                if end is None:
-                    rare.append(END), times.append(1)
-                else:
-                    known, base = known + 1, base + end
-                seq = np.zeros(len(words) + 1, "<u2")
-                seq[:-1] = np.fromiter(map(classes.__getitem__, words), np.uint16, len(words))
-                out.append((row, len(seq), known, base, seq.tobytes()))
-                until.append(len(rare))
-                row += 1
-            kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.binary()]
-            pairs = pa.StructArray.from_arrays([pa.array(rare, pa.string()), pa.array(times, pa.int64())], names=["word", "n"])
-            lists = pa.ListArray.from_arrays(pa.array(until, pa.int32()), pairs)
-            yield pa.RecordBatch.from_arrays([ids, held, *(pa.array([r[k] for r in out], t) for k, t in enumerate(kinds)), lists], names=["doc_id", "held_out", "row", "n_tokens", "n_known", "base", "classes", "rare"])
+                for w in words:
+                    if w not in place:
+                        place[w] = len(kinds)
+                        kinds.append(own[w] if w in own else 1 + ending(w))
+                seq = np.zeros(len(words) + 1, np.int64)
+                seq[:-1] = np.fromiter(map(place.__getitem__, words), np.int64, len(words))
+                seqs.append(seq)
+            wide, lookup = len(kinds) > 1 << 24, np.array(kinds, "<u2")
+            new = list(place)[listed:]
+            pieces = pa.ListArray.from_arrays(pa.array([0] * len(seqs) + [len(new)], pa.int32()), pa.array(new, pa.string()))
+            cols = {
+                "doc_id": ids, "held_out": held, "n_tokens": pa.array([len(x) for x in seqs], pa.int64()), "classes": pa.array([lookup[x].tobytes() for x in seqs], pa.binary()),
+                "block": pa.array([block] * len(seqs), pa.int64()), "wide": pa.array([wide] * len(seqs), pa.bool_()), "seq": pa.array([x.astype("<u2").tobytes() + (x >> 16).astype("<u2" if wide else "u1").tobytes() for x in seqs], pa.binary()),
+                "first": pa.array([listed] * len(seqs), pa.int64()), "words": pieces,
+            }
+            listed = len(kinds)
+            yield pa.RecordBatch.from_arrays(list(cols.values()), names=list(cols))
 
     kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"doc_id {kind}, held_out boolean, row bigint, n_tokens bigint, n_known bigint, base double, classes binary, rare array<struct<word: string, n: bigint>>")
+    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, classes binary, block bigint, wide boolean, seq binary, first bigint, words array<string>")
 
 
-def base_scores(encoded: DataFrame, counts: DataFrame, total: float) -> DataFrame:
-    """(row, rare_known, rare_base): rare words meet their counts by a join on the word."""
-    rare = encoded.select("row", F.explode("rare").alias("r")).select("row", "r.word", F.col("r.n").alias("times"))
-    joined = rare.join(counts, "word", "left")
-    log = F.log10((F.coalesce("n", F.lit(0)) + ALPHA) / F.lit(total))
-    return joined.groupBy("row").agg(F.sum(F.when(F.col("n").isNotNull(), F.col("times")).otherwise(0)).alias("rare_known"), F.sum(F.col("times") * log).alias("rare_base"))
+def block_words(encoded: DataFrame) -> DataFrame:
+    """(of, place, word): the distinct words of each block."""
+    return encoded.select("block", "first", F.posexplode("words").alias("i", "word")).select(F.col("block").alias("of"), (F.col("first") + F.col("i")).alias("place"), "word")
 
 
 @dataclass
 class Model:
     start: np.ndarray
     trans: np.ndarray
-    emit: np.ndarray  # classes x states, each column sums to 1
+    emit: np.ndarray  # symbols x states; a symbol may carry any factor of its own
 
 
 def _sequences(b: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
@@ -267,37 +271,113 @@ def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int =
     return begin, trans * model.trans, emit
 
 
-def baum_welch(train: DataFrame, model: Model, vocab: Vocabulary, prior: float = 50.0) -> Model:
-    """One round over all training rows; expected counts are added up by class in Spark."""
-    s = len(model.start)
-    box = train.sparkSession.sparkContext.broadcast((model.start, model.trans, model.emit))
-    names = [f"s{k}" for k in range(s)]
-
-    def run(batches):
-        model = Model(*box.value)
-        begin, trans, emit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape)
-        for b in sliced(batches, "classes"):
-            x = expected_counts(*_sequences(b), model)
-            begin, trans, emit = begin + x[0], trans + x[1], emit + x[2]
-        # Rows: -1 the starts, -2 - i the moves from state i, else a class.
-        rows = np.concatenate([begin[None], trans, emit])
-        key = np.concatenate([[-1], -2 - np.arange(s), np.arange(len(emit))])
-        at = rows.sum(1) > 0
-        yield pa.RecordBatch.from_arrays([pa.array(key[at]), *(pa.array(rows[at, k]) for k in range(s))], names=["key", *names])
+@dataclass
+class States:
+    """What tasks need beside the counts of their words: P(s | ending) and P(s), or ratios by class as long as no words are counted."""
 
-    begin, trans, emit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape)
-    found = train.select("classes").mapInArrow(run, "key bigint, " + ", ".join(f"{n} double" for n in names)).groupBy("key").agg(*(F.sum(n).alias(n) for n in names))
-    for r in found.collect():  # classes + states + 1 rows at most
-        v = np.array([r[n] for n in names])
-        if r.key == -1:
-            begin = v
-        elif r.key < 0:
-            trans[-2 - r.key] = v
-        else:
-            emit[r.key] = v
-    begin, trans = begin + 1 / s, trans + 1 / s
-    emit = emit + prior * (vocab.mass / vocab.mass.sum())[:, None]
-    return Model(begin / begin.sum(), trans / trans.sum(1, keepdims=True), emit / emit.sum(0, keepdims=True))
+    start: np.ndarray
+    trans: np.ndarray
+    endings: np.ndarray | None = None
+    share: np.ndarray | None = None
+    classes: np.ndarray | None = None
+
+    def local(self, words: list[str], n: np.ndarray, counts: np.ndarray, own: dict[str, int]) -> Model:
+        """The model whose symbols are the given words."""
+        if self.classes is not None:
+            return Model(self.start, self.trans, self.classes[[0 if w == END else own[w] if w in own else 1 + ending(w) for w in words]])
+        prior = self.endings[[ending(w) for w in words]]
+        return Model(self.start, self.trans, (counts + KAPPA * prior) / (n[:, None] + KAPPA) / self.share)
+
+
+def first_states(model: Model, vocab: Vocabulary) -> States:
+    return States(model.start, model.trans, classes=model.emit / vocab.mass[:, None])
+
+
+def packs(s: int) -> list[str]:
+    return [f"p{i}" for i in range(-(-s // 4))]
+
+
+def packed(counts: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
+    steps = np.rint(counts / n[:, None] * STEPS).clip(0, STEPS).astype(np.uint64)
+    out = []
+    for i in range(0, steps.shape[1], 4):
+        p = np.zeros(len(n), np.uint64)
+        for k, q in enumerate(steps[:, i : i + 4].T):
+            p |= q << np.uint64(16 * k)
+        out.append(p.view(np.int64))
+    return out
+
+
+def unpacked(packs: list[np.ndarray], n: np.ndarray, s: int) -> np.ndarray:
+    return np.stack([(packs[k // 4] >> 16 * (k % 4) & STEPS) * (n / STEPS) for k in range(s)], 1)
+
+
+def _block(left: pa.Table, right: pa.Table, states: States, own: dict[str, int]):
+    """Tokens, offsets, words, counts and model of one block."""
+    parts = []
+    for x, w in zip(left["seq"].to_pylist(), left["wide"].to_pylist()):
+        m = len(x) // (4 if w else 3)
+        parts.append(np.frombuffer(x, "<u2", m).astype(np.int64) | np.frombuffer(x, "<u2" if w else "u1", m, 2 * m).astype(np.int64) << 16)
+    off = np.concatenate([[0], np.cumsum([len(p) for p in parts])]).astype(np.int64)
+    flat = np.concatenate(parts)
+    order = np.argsort(right["place"].to_numpy(), kind="stable")
+    right = right.take(pa.array(order))
+    words, s = right["word"].to_pylist(), len(states.start)
+    known = "n" in right.column_names
+    n = right["n"].fill_null(0).to_numpy() if known else np.zeros(len(words), np.int64)
+    counts = unpacked([right[c].fill_null(0).to_numpy() for c in packs(s)], n, s) if known else np.zeros((len(words), s))
+    return flat, off, words, n, states.local(words, n, counts, own)
+
+
+def gathered(encoded: DataFrame, words: DataFrame, stats: DataFrame | None, left: list[str], run, out: str) -> DataFrame:
+    """run on every block: its rows, and its words with their counts."""
+    met = words if stats is None else words.join(stats, "word", "left")
+    return encoded.select("block", "wide", "seq", *left).groupBy("block").cogroup(met.groupBy("of")).applyInArrow(run, out)
+
+
+def baum_welch(train: DataFrame, words: DataFrame, stats: DataFrame | None, states: States, vocab: Vocabulary) -> tuple[DataFrame, States]:
+    """One round over all training rows: (word, n, packed expected counts by state) of every training word, and the new states."""
+    s = len(states.start)
+    box = train.sparkSession.sparkContext.broadcast((states, vocab.own))
+    kinds = [("key", pa.int64()), ("word", pa.string()), ("n", pa.int64()), ("value", pa.float64()), *((c, pa.int64()) for c in packs(s))]
+
+    def run(left, right):
+        if not left.num_rows:
+            return pa.table({k: pa.array([], t) for k, t in kinds})
+        flat, off, words, _, model = _block(left, right, *box.value)
+        begin, trans, emit = expected_counts(flat, off, model)
+        n = np.bincount(flat, minlength=len(words))
+        at = np.flatnonzero(n)
+        # Keys: 0 a word; below it the starts, then the moves.
+        rest = np.concatenate([begin, trans.ravel()])
+        none = np.zeros(len(rest), np.int64)
+        cols = [np.concatenate([-1 - np.arange(len(rest)), np.zeros(len(at), np.int64)]), [""] * len(rest) + [words[i] for i in at], np.concatenate([none, n[at]]), np.concatenate([rest, np.zeros(len(at))]), *(np.concatenate([none, p]) for p in packed(emit[at], n[at]))]
+        return pa.Table.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, kinds)], names=[k for k, _ in kinds])
+
+    one = gathered(train, words, stats, [], run, "key bigint, word string, n bigint, value double, " + ", ".join(f"{c} bigint" for c in packs(s)))
+    steps = [F.shiftrightunsigned(f"p{k // 4}", 16 * (k % 4)).bitwiseAND(STEPS) for k in range(s)]
+    # Partitioned first, as sums are wider than what they are of.
+    sums = one.repartition("word", "key").groupBy("word", "key").agg(F.sum("n").alias("n"), F.sum("value").alias("value"), *(F.sum(F.col("n") * q).alias(f"s{k}") for k, q in enumerate(steps)))
+    share = [F.when(F.col("n") > 0, F.round(F.col(f"s{k}") / F.col("n"))).otherwise(0).cast("bigint") for k in range(s)]
+    again = [reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(share[k], 16 * (k % 4)) for k in range(4 * i, min(4 * i + 4, s))]).alias(c) for i, c in enumerate(packs(s))]
+    both = settled(sums.select("key", "word", "n", "value", *again), "lm-expected", small=True)
+    rest = np.full(s * (s + 1), 1 / s)
+    for r in both.filter("key < 0").select("key", "value").collect():  # states x (states + 1) rows
+        rest[-1 - r.key] += r.value
+    begin, trans = rest[:s], rest[s:].reshape(s, s)
+    found = both.filter("key = 0").select("word", "n", *packs(s))
+    weight = (F.col("n") + ALPHA) / (F.col("n") + KAPPA)
+    sums = found.groupBy((F.crc32(F.substring("word", -3, 3).cast("binary")) % SHARED).alias("c")).agg(F.sum(weight * KAPPA).alias("b"), *(F.sum(F.col("n") * q / STEPS).alias(f"e{k}") for k, q in enumerate(steps)), *(F.sum(weight * F.col("n") * q / STEPS).alias(f"a{k}") for k, q in enumerate(steps)))
+    expected, own, rest = np.zeros((SHARED, s)), np.zeros(s), np.full(SHARED, ALPHA)
+    for r in sums.collect():  # at most SHARED rows
+        expected[r.c] = [r[f"e{k}"] for k in range(s)]
+        own += [r[f"a{k}"] for k in range(s)]
+        rest[r.c] += r.b
+    overall = expected.sum(0) + 1
+    endings = expected + overall / overall.sum()
+    endings /= endings.sum(1, keepdims=True)
+    share = (own + rest @ endings) / vocab.total
+    return found, States(begin / begin.sum(), trans / trans.sum(1, keepdims=True), endings, share)
 
 
 def forward(flat: np.ndarray, off: np.ndarray, model: Model) -> np.ndarray:
@@ -318,36 +398,33 @@ def forward(flat: np.ndarray, off: np.ndarray, model: Model) -> np.ndarray:
     return back
 
 
-def score(encoded: DataFrame, model: Model, vocab: Vocabulary) -> DataFrame:
-    """Adds hmm: log10 of the classes' likelihood less the sum of log10 class masses."""
-    logs = np.log10(vocab.mass)
-    box = encoded.sparkSession.sparkContext.broadcast((model.start, model.trans, model.emit, logs))
+def score(encoded: DataFrame, words: DataFrame, stats: DataFrame | None, states: States, vocab: Vocabulary) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, base: sum of log10 unigram shares, hmm: log10 likelihood of the ratios."""
+    box = encoded.sparkSession.sparkContext.broadcast((states, vocab.own, vocab.total))
+    kind = encoded.schema["doc_id"].dataType.simpleString()
+    given = ["doc_id", "held_out", "n_tokens"]
 
-    def run(batches):
-        *parts, logs = box.value
-        model = Model(*parts)
-        for b in sliced(batches, "classes"):
-            flat, off = _sequences(b)
-            unigram = np.concatenate([[0.0], np.cumsum(logs[flat])])
-            value = forward(flat, off, model) / math.log(10) - (unigram[off[1:]] - unigram[off[:-1]])
-            names = ["doc_id", "held_out", "row", "n_tokens", "n_known", "base"]
-            yield pa.RecordBatch.from_arrays([*(b.column(b.schema.get_field_index(c)) for c in names), pa.array(value)], names=[*names, "hmm"])
+    def run(left, right):
+        states, own, total = box.value
+        flat, off, words, n, model = _block(left, right, states, own)
+        logs = np.log10((n + ALPHA) / total)
+        known = np.add.reduceat((n > 0)[flat], off[:-1], dtype=np.int64)
+        new = [pa.array(known), pa.array(np.add.reduceat(logs[flat], off[:-1])), pa.array(forward(flat, off, model) / math.log(10))]
+        return pa.Table.from_arrays([*(left[c].combine_chunks() for c in given), *new], names=[*given, "n_known", "base", "hmm"])
 
-    kind = encoded.schema["doc_id"].dataType.simpleString()
-    return encoded.select("doc_id", "held_out", "row", "n_tokens", "n_known", "base", "classes").mapInArrow(run, f"doc_id {kind}, held_out boolean, row bigint, n_tokens bigint, n_known bigint, base double, hmm double")
+    return gathered(encoded, words, stats, given, run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, base double, hmm double")
 
 
 def train_and_score(docs: DataFrame, held_out, states: int = 12, rounds: int = 2) -> DataFrame:
     counts = settled(word_counts(docs.filter(~held_out)), "lm-counts", small=True)
     vocab = vocabulary(counts)
     encoded = settled(encode(docs, vocab, held_out), "lm-encoded", small=True)
-    train = encoded.filter("NOT held_out")
-    model = first_model(train, vocab, states)
+    train, words = encoded.filter("NOT held_out"), block_words(encoded)
+    now, stats = first_states(first_model(train, vocab, states), vocab), None
     for _ in range(rounds):
-        model = baum_welch(train, model, vocab)
-    scored = score(encoded, model, vocab).join(base_scores(encoded, counts, vocab.total), "row", "left")
-    base = F.col("base") + F.coalesce("rare_base", F.lit(0.0))
-    return scored.select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("rare_known", F.lit(0))).alias("n_known"), F.lit(vocab.n).cast("bigint").alias("train_tokens"), base.alias("base_score"), (base + F.col("hmm")).alias("score"))
+        stats, now = baum_welch(train, words, stats, now, vocab)
+    scored = score(encoded, words, stats, now, vocab)
+    return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(vocab.n).cast("bigint").alias("train_tokens"), F.col("base").alias("base_score"), (F.col("base") + F.col("hmm")).alias("score"))
 
 
 def op10(spark, sf_dir) -> DataFrame:

@@ -344,6 +344,30 @@ def test_language_model(spark, rows):
     assert sum(r.score for r in held) > sum(r.base_score for r in held)
 
 
+def test_every_training_word_has_expected_counts(spark):
+    """Rare words with the same ending get counts of their own: half of them stand where red does, half where blue does."""
+    texts = ["red blue " * 50] * 40 + [f"red blue {'red ' * (i % 2)}w{i}tion {'blue ' * (1 - i % 2)}red blue" for i in range(2000)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id bigint, text string").repartition(3)
+    counts = hmm_lm.word_counts(df).cache()
+    vocab = hmm_lm.vocabulary(counts)
+    rare = [f"w{i}tion" for i in range(2000)]
+    assert not set(rare) & set(vocab.own)
+    encoded = hmm_lm.encode(df, vocab, hmm_lm.F.lit(False)).cache()
+    now, stats = hmm_lm.first_states(hmm_lm.first_model(encoded, vocab, 4), vocab), None
+    for _ in range(3):
+        stats, now = hmm_lm.baum_welch(encoded, hmm_lm.block_words(encoded), stats, now, vocab)
+    found = {r.word: (r.n, hmm_lm.unpacked([np.array([r.p0])], np.array([r.n]), 4)[0]) for r in stats.collect()}
+    assert {w: n for w, (n, _) in found.items()} == {r.word: r.n for r in counts.collect()}
+    assert all(e.sum() == pytest.approx(n, rel=1e-4) for n, e in found.values())
+    even, odd = (np.mean([found[w][1] for w in rare[k::2]], 0) for k in (0, 1))
+    assert abs(even - odd).sum() > 0.5
+    # Shares of all words and of one unknown word per ending sum to one in every state.
+    words = sorted(found)
+    m = now.local(words, np.array([found[w][0] for w in words]), np.array([found[w][1] for w in words]), vocab.own)
+    u = (np.array([found[w][0] for w in words]) + 0.1) / vocab.total
+    assert u @ m.emit + 0.1 / vocab.total * (now.endings / now.share).sum(0) == pytest.approx(np.ones(4))
+
+
 def test_forward_and_counts_by_enumeration():
     rng = np.random.default_rng(0)
     m = hmm_lm.Model(rng.dirichlet([1, 1]), rng.dirichlet([1, 1], 2), rng.dirichlet([1, 1, 1], 2).T)

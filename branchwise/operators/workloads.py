@@ -73,10 +73,12 @@ def summarise(stats: DataFrame) -> DataFrame:
 
 
 def compare(stats: DataFrame, base: str, other: str) -> DataFrame:
-    """Per size: how many times more calls and time base takes than other, over the same queries."""
+    """Per size: how many times more calls and time base takes than other, over the queries both finished (null if there are none); an unfinished search has cut sums."""
     side = lambda m, s: stats.filter(F.col("method") == m).select("query_id", F.col("n_vertices").alias("size"), F.col("search_calls").alias(f"calls_{s}"), F.col("elapsed_ns").alias(f"ns_{s}"), F.col("n_found").alias(f"found_{s}"), F.col("dnf").alias(f"dnf_{s}"))
     both = side(base, "base").join(side(other, "other"), ["query_id", "size"])
-    return both.groupBy("size").agg(F.count(F.lit(1)).alias("queries"), F.sum("calls_base").alias("calls_base"), F.sum("calls_other").alias("calls_other"), (F.sum("calls_base") / F.sum("calls_other")).alias("call_ratio"), (F.sum("ns_base") / F.sum("ns_other")).alias("speedup"), F.count_if((F.col("found_base") != F.col("found_other")) & ~F.col("dnf_base") & ~F.col("dnf_other")).alias("differing"), F.count_if("dnf_base").alias("dnf_base"), F.count_if("dnf_other").alias("dnf_other"))
+    done = ~F.col("dnf_base") & ~F.col("dnf_other")
+    total = lambda c: F.sum(F.when(done, F.col(c)))
+    return both.groupBy("size").agg(F.count(F.lit(1)).alias("queries"), F.count_if(done).alias("finished"), total("calls_base").alias("calls_base"), total("calls_other").alias("calls_other"), (total("calls_base") / total("calls_other")).alias("call_ratio"), (total("ns_base") / total("ns_other")).alias("speedup"), F.count_if((F.col("found_base") != F.col("found_other")) & done).alias("differing"), F.count_if("dnf_base").alias("dnf_base"), F.count_if("dnf_other").alias("dnf_other"))
 
 
 def result_diff(a: DataFrame, b: DataFrame) -> DataFrame:

@@ -16,6 +16,7 @@ table gives no row; further columns are ignored.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -38,6 +39,11 @@ class Capacity:
     weights: tuple[float, float, float] = (1.0, 0.01, 0.05)
     score: str = "norm"
 
+    @property
+    def piece(self) -> int:
+        """The longest piece that a sequence of its own holds."""
+        return min(self.tokens, math.isqrt(self.attention))
+
 
 def cut(n: int, most: int) -> list[tuple[int, int]]:
     """(start, length) of the pieces of n tokens."""
@@ -127,19 +133,19 @@ def assign(found: DataFrame, cap: Capacity = Capacity(), group_rows: int = 40_00
         seq, off = pack(part["length"].to_numpy(), cap)
         return part.assign(sequence_id=seq + (part["group"].to_numpy().astype(np.int64) << 36), offset=off).drop(columns="group")
 
-    if any(n > cap.tokens for (n,) in found.agg(F.max("length")).collect() if n):
+    if any(n > cap.piece for (n,) in found.agg(F.max("length")).collect() if n):
         raise ValueError("a piece is longer than a sequence; cut the texts to the same capacity")
     dealt = found.withColumn("group", F.pmod(F.xxhash64("salt", "doc_id"), F.lit(groups)).cast("int"))
     return dealt.groupBy("group").applyInPandas(run, PIECES + ", sequence_id bigint, offset bigint")
 
 
 def pack_documents(docs: DataFrame, cap: Capacity = Capacity(), end_id: int = 2, file: str = tokens.DEFAULT_FILE, group_rows: int = 40_000) -> DataFrame:
-    return assign(settled(pieces(docs, cap.tokens, end_id, file), "pieces", small=True), cap, group_rows).drop("salt")
+    return assign(settled(pieces(docs, cap.piece, end_id, file), "pieces", small=True), cap, group_rows).drop("salt")
 
 
 def write_sequences(docs: DataFrame, path: str, cap: Capacity = Capacity(), end_id: int = 2, file: str = tokens.DEFAULT_FILE) -> None:
     """The packed sequences with their ids, one row each: sequence_id, ids, doc_ids, lengths."""
-    whole = settled(pieces(docs, cap.tokens, end_id, file, with_ids=True), "piece-ids")
+    whole = settled(pieces(docs, cap.piece, end_id, file, with_ids=True), "piece-ids")
     plan = assign(whole.drop("ids"), cap)
     rows = whole.select("salt", "ids").join(plan, "salt")
     ordered = F.array_sort(F.collect_list(F.struct("offset", "doc_id", "length", "ids")))

@@ -231,6 +231,15 @@ def test_packing_keeps_every_capacity(score):
     assert packing.pack(np.zeros(0, int), cap)[0].size == 0
 
 
+def test_documents_are_packed_under_binding_capacities(docs):
+    cap = packing.Capacity(1024, 3, 90_000)
+    by = defaultdict(list)
+    for r in packing.pack_documents(docs, cap).collect():
+        by[r.sequence_id].append(r.length)
+    assert all(sum(x) <= 1024 and len(x) <= 3 and sum(n * n for n in x) <= 90_000 for x in by.values())
+    assert any(len(x) == 3 for x in by.values()) and any(sum(n * n for n in x) == 90_000 for x in by.values())
+
+
 def base_secrets(t):
     out = [(m.start(), 0, m.end()) for m in re.finditer(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", t, re.I | re.A) if len(m[2]) >= 6]
     out += [(m.start(), 1, m.end()) for m in re.finditer("AKIA[A-Z0-9]+", t) if m.end() - m.start() >= 20]

@@ -33,20 +33,58 @@ def work_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+#: One name for everything a driver process settles, so that runs do not meet each other.
+_RUN = uuid.uuid4().hex
+#: Rows of a small table that one file holds.
+ROWS_A_FILE = 1_000_000
+#: A broadcast side has at most this many rows, by construction or by a count.
+FEW = 2_000
+
+
+def _filesystem(spark: SparkSession, path: str):
+    """The Hadoop path and its file system."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p, p.getFileSystem(spark._jsc.hadoopConfiguration())
+
+
 def fresh_path(spark: SparkSession, name: str) -> str:
-    return f"{work_dir(spark)}/branchwise/{name}-{uuid.uuid4().hex}"
+    """A new path in the shared folder; what is left there when the driver ends is deleted then."""
+    run = f"{work_dir(spark)}/branchwise/{_RUN}"
+    at, fs = _filesystem(spark, run)
+    if fs.mkdirs(at):
+        fs.deleteOnExit(at)
+    return f"{run}/{name}-{uuid.uuid4().hex}"
 
 
-def compact(df: DataFrame) -> DataFrame:
-    """At most four partitions per core of the cluster: small shuffled results don't become thousands of tiny files."""
-    return df.coalesce(4 * df.sparkSession.sparkContext.defaultParallelism)
+def compact(df: DataFrame, rows: int = 0) -> DataFrame:
+    """Shuffled results of so many narrow rows in four files per core, or one per ROWS_A_FILE rows where that is more.
+    Not for plans that end in work on texts: joining partitions would join their tasks."""
+    return df.coalesce(max(4 * df.sparkSession.sparkContext.defaultParallelism, rows // ROWS_A_FILE))
 
 
-def settled(df: DataFrame, name: str, small: bool = False) -> DataFrame:
-    """Write once to the shared folder and read back: later steps no longer depend on the executors that made it. small: in few files."""
+def settled(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+    """Write once to the shared folder and read back: later steps no longer depend on the executors that made it.
+    rows: in few files, by ``compact``; 0 for tables bounded by the model. Else each task writes its file."""
     path = fresh_path(df.sparkSession, name)
-    (compact(df) if small else df).write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    (df if rows is None else compact(df, rows)).write.parquet(path)
+    out = df.sparkSession.read.schema(df.schema).parquet(path)
+    out._settled = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Delete a settled table that nothing will read again."""
+    at, fs = _filesystem(df.sparkSession, df._settled)
+    fs.delete(at, True)
+
+
+def hot_join(left: DataFrame, right: DataFrame, key: str, hot: DataFrame, how: str = "inner") -> DataFrame:
+    """left joined to right (one row per key) where the keys in ``hot`` (key; at most FEW rows) may hold most rows of
+    left: their rows meet a broadcast copy and are not moved, the others are shuffled."""
+    hot = F.broadcast(hot.select(F.col(key).alias("_hot_key")))
+    is_hot = F.col(key) == F.col("_hot_key")
+    many = left.join(hot, is_hot, "left_semi").join(F.broadcast(right.join(hot, is_hot, "left_semi")), key, how)
+    return left.join(hot, is_hot, "left_anti").join(right, key, how).unionByName(many)
 
 
 def worker_cache(name: str) -> dict:

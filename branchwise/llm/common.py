@@ -62,11 +62,11 @@ def compact(df: DataFrame, rows: int = 0) -> DataFrame:
     return df.coalesce(max(4 * df.sparkSession.sparkContext.defaultParallelism, rows // ROWS_A_FILE))
 
 
-def settled(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+def settled(df: DataFrame, name: str, rows: int | None = None, **options: str) -> DataFrame:
     """Write once to the shared folder and read back: later steps no longer depend on the executors that made it.
-    rows: in few files, by ``compact``; 0 for tables bounded by the model. Else each task writes its file."""
+    rows: in few files, by ``compact``; 0 for tables bounded by the model. Else each task writes its file. options: of the writer."""
     path = fresh_path(df.sparkSession, name)
-    (df if rows is None else compact(df, rows)).write.parquet(path)
+    (df if rows is None else compact(df, rows)).write.options(**options).parquet(path)
     out = df.sparkSession.read.schema(df.schema).parquet(path)
     out._settled = path
     return out

@@ -1,8 +1,10 @@
 """Hidden Markov language model over whole texts, trained by Baum-Welch counts from all training rows.
 
-Vocabulary: counts of every training word are aggregated in Spark and stay there, as do the
-expected counts of every training word by state, so what is gathered grows with the corpus.
-Only words with a share of at least 1 / OWN of all tokens reach the driver.
+Rows are encoded once, in blocks of about ``BLOCK`` characters: one row a block, with its distinct words, how
+often its training texts hold each, and the tokens of its texts as places in that list. Counts of every training
+word are aggregated from the blocks in Spark and stay there, as do the expected counts of every training word
+by state, so what is gathered grows with the corpus. Only words with a share of at least 1 / OWN of all
+tokens reach the driver.
 
 Model: states emit words. With E(w, s) the expected count of word w in state s and n(w) its count,
     P(s | w) = (E(w, s) + KAPPA P(s | ending of w)) / (n(w) + KAPPA),
@@ -11,12 +13,14 @@ ending; a word not met in training has n = E = 0. Each ending keeps a place for
 the smoothed unigram share u(w), P(w | s) = u(w) P(s | w) / P(s), so forward-backward needs only the
 ratios P(s | w) / P(s), and log P(text) = sum of log unigram + log likelihood of the ratios.
 
-Training: (1) counts of neighbouring coarse classes (frequent words and endings) over all training
-rows give the first states (an EM on that bounded matrix); (2) full Baum-Welch rounds. Rows are
-encoded in blocks, each with the list of its distinct words. In a round the words of all blocks meet
-their counts by a join on the word, each block gets the counts of its own words only, tasks run scaled
-forward-backward over the sequences, cut at ``CUT`` tokens, and emit expected counts, which Spark adds up by
-word. Scoring meets the counts alike and runs the scaled forward recursion over each uncut sequence, in float64.
+Training: (1) counts of neighbouring coarse classes (frequent words and endings) over all training texts
+give the first states (an EM on that bounded matrix); (2) Baum-Welch rounds in which rare words with one
+ending share their emissions, until the gain in log likelihood a token is below ``gain`` or for ``rounds``
+rounds: tasks read blocks and emit one bounded table each; (3) a last round that counts every word by state
+for itself. Scaled forward-backward runs over each uncut sequence; of long ones only every ``SEGMENT``-th
+forward row is held, and the rows between are computed again on the way back, so that counts are those of the
+whole sequence in bounded memory. Scoring meets each block's words with their counts by a join and runs the
+scaled forward recursion over each uncut sequence, in float64.
 
 Defined cases: null or empty text is just the end token; repeated rows each count and each get
 a row; without training rows every word is unknown; an empty table gives no row; further columns are ignored.
@@ -26,7 +30,6 @@ from __future__ import annotations
 
 import math
 import zlib
-from collections import Counter
 from dataclasses import dataclass
 from functools import reduce
 
@@ -37,14 +40,15 @@ from pyspark.sql import functions as F
 
 from .common import WORD_RE, compact, documents, id_mod, settled, sliced
 
-OWN, SHARED, COARSE_OWN, COARSE_SHARED, CUT = 4096, 1024, 256, 256, 256
+OWN, SHARED, COARSE_OWN, COARSE_SHARED, SEGMENT = 4096, 1024, 256, 256, 256
 END = "\n"  # no word has it
 ALPHA = 0.1
 KAPPA = 5.0
-#: A block of rows ends once it has so many characters of text.
-BLOCK = 16_000_000
-#: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, four to a number.
-STEPS = 65535
+#: A block ends once it has so many characters of text. Small row groups, as a block is a large row.
+BLOCK = 4_000_000
+WRITER = {"parquet.block.size": str(8 << 20), "compression": "zstd"}
+#: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, eight to a number.
+STEPS = 255
 
 
 def tokens_of(text: str) -> list[str]:
@@ -52,26 +56,54 @@ def tokens_of(text: str) -> list[str]:
     return WORD_RE.findall(text.encode("utf-8", "surrogatepass").lower().decode("utf-8", "surrogatepass"))
 
 
-def word_counts(texts: DataFrame) -> DataFrame:
-    """(word, n) over the given rows, the end token included."""
+def ending(word: str) -> int:
+    return zlib.crc32(word[-3:].encode("utf-8", "surrogatepass")) % SHARED
+
+
+def encode(docs: DataFrame, held_out) -> DataFrame:
+    """One row a block: ids, held_out and sizes of its texts; words, the first being the end token, and n, how often the
+    training texts hold each; seq: per token the place of its word, all low two bytes before all high ones."""
+    kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
-        total: Counter[str] = Counter()
+        from pyspark import TaskContext
+
+        block = TaskContext.get().partitionId() << 33
+        ids, held, seqs, place, size = [], [], [], {END: 0}, 0
+
+        def out(id_type, block):
+            flat = np.concatenate(seqs)
+            sizes = np.array([len(x) for x in seqs], np.int64)
+            n = np.bincount(flat[np.repeat(~np.array(held), sizes)], minlength=len(place))
+            one = {
+                "block": pa.array([block], pa.int64()), "ids": pa.array([ids], pa.list_(id_type)), "held_out": pa.array([held], pa.list_(pa.bool_())), "sizes": pa.array([sizes], pa.list_(pa.int64())),
+                "words": pa.array([list(place)], pa.list_(pa.string())), "n": pa.array([n], pa.list_(pa.int64())), "seq": pa.array([flat.astype("<u2").tobytes() + (flat >> 16).astype("<u2").tobytes()], pa.binary()),
+            }
+            return pa.RecordBatch.from_arrays(list(one.values()), names=list(one))
+
+        for b in sliced(batches, most=BLOCK):
+            id_type = b.column(0).type
+            for i, h, text in zip(*(b.column(k).to_pylist() for k in range(3))):
+                words = tokens_of(text or "")
+                for w in set(words).difference(place):
+                    place[w] = len(place)
+                seq = np.zeros(len(words) + 1, np.uint32)
+                seq[:-1] = np.fromiter(map(place.__getitem__, words), np.uint32, len(words))
+                ids.append(i), held.append(h), seqs.append(seq)
+                size += len(text or "") + 1
+                if size > BLOCK:
+                    yield out(id_type, block)
+                    block, ids, held, seqs, place, size = block + 1, [], [], [], {END: 0}, 0
+        if ids:
+            yield out(id_type, block)
 
-        def out():
-            part = pa.RecordBatch.from_arrays([pa.array(list(total), pa.string()), pa.array(list(total.values()), pa.int64())], names=["word", "n"])
-            total.clear()
-            return part
+    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"block bigint, ids array<{kind}>, held_out array<boolean>, sizes array<bigint>, words array<string>, n array<bigint>, seq binary")
 
-        for b in sliced(batches):
-            for t in b.column(0).to_pylist():
-                total.update(tokens_of(t or ""))
-            total[END] += b.num_rows
-            if len(total) > 250_000:
-                yield out()
-        yield out()
 
-    return texts.select("text").mapInArrow(run, "word string, n bigint").groupBy("word").agg(F.sum("n").alias("n")).filter("n > 0")
+def word_counts(blocks: DataFrame) -> DataFrame:
+    """(word, n) over the training texts, the end token included."""
+    one = blocks.select(F.explode(F.arrays_zip("words", "n")).alias("x")).select("x.words", "x.n").filter("n > 0")
+    return one.groupBy(F.col("words").alias("word")).agg(F.sum("n").alias("n"))
 
 
 @dataclass
@@ -85,16 +117,18 @@ class Vocabulary:
     def total(self) -> float:
         return self.n + ALPHA * (self.v + 1)
 
-    def class_of(self, word: str) -> int:
-        found = self.own.get(word)
-        return 1 + zlib.crc32(word[-3:].encode("utf-8", "surrogatepass")) % SHARED if found is None else found
+    def classes(self, words: list[str]) -> np.ndarray:
+        own = self.own
+        return np.array([own[w] if w in own else 1 + ending(w) for w in words], np.int64)
 
     def coarse(self) -> np.ndarray:
         """Coarse class of each class: the most frequent own ones keep theirs, the others share by their ending."""
         to = np.zeros(len(self.mass), np.int64)
         to[1 : 1 + SHARED] = 1 + np.arange(SHARED) % COARSE_SHARED
-        for i, (w, c) in enumerate(self.own.items()):
-            to[c] = 1 + COARSE_SHARED + i if i < COARSE_OWN else 1 + (zlib.crc32(w[-3:].encode("utf-8", "surrogatepass")) % SHARED) % COARSE_SHARED
+        for w, c in self.own.items():
+            i = c - 1 - SHARED
+            if c:
+                to[c] = 1 + COARSE_SHARED + i if i < COARSE_OWN else 1 + ending(w) % COARSE_SHARED
         return to
 
 
@@ -103,9 +137,9 @@ def vocabulary(counts: DataFrame) -> Vocabulary:
     n = n or 0
     frequent = {r.word: r.n for r in counts.filter(F.col("n") * OWN >= n).collect()} if n else {}  # at most OWN words
     ranked = sorted((w for w in frequent if w != END), key=lambda w: (-frequent[w], w))
-    own = {w: 1 + SHARED + i for i, w in enumerate(ranked)}
+    own = {END: 0} | {w: 1 + SHARED + i for i, w in enumerate(ranked)}
     total = n + ALPHA * (v + 1)
-    mass = np.full(1 + SHARED + len(own), ALPHA / total)
+    mass = np.full(SHARED + len(own), ALPHA / total)
     ends = frequent.get(END)
     if n and ends is None:
         ends = counts.filter(F.col("word") == END).agg(F.sum("n")).first()[0]
@@ -114,61 +148,11 @@ def vocabulary(counts: DataFrame) -> Vocabulary:
     for r in shared.collect():  # at most SHARED rows
         mass[r.c] += (r.n + ALPHA * r.v) / total
     for w, c in own.items():
-        mass[c] = (frequent[w] + ALPHA) / total
+        if c:
+            mass[c] = (frequent[w] + ALPHA) / total
     return Vocabulary(n, v, mass, own)
 
 
-def ending(word: str) -> int:
-    return zlib.crc32(word[-3:].encode("utf-8", "surrogatepass")) % SHARED
-
-
-def encode(docs: DataFrame, vocab: Vocabulary, held_out) -> DataFrame:
-    """doc_id, held_out, n_tokens, classes; block, and seq: the tokens as places in the word list of the block, their low
-    two bytes before their high one (two where wide). The list comes in pieces, as words from place first, on some rows of the block."""
-    box = docs.sparkSession.sparkContext.broadcast(vocab.own)
-
-    def run(batches):
-        from pyspark import TaskContext
-
-        own = box.value
-        block = TaskContext.get().partitionId() << 33
-        place, kinds, size = {END: 0}, [0], 0
-        listed = 0
-        for b in sliced(batches, most=2_000_000):
-            ids, held, texts = (b.column(k) for k in range(3))
-            if size > BLOCK:
-                block, place, kinds, size, listed = block + 1, {END: 0}, [0], 0, 0
-            seqs = []
-            for text in texts.to_pylist():
-                size += len(text or "")
-                words = tokens_of(text or "")
-                for w in words:
-                    if w not in place:
-                        place[w] = len(kinds)
-                        kinds.append(own[w] if w in own else 1 + ending(w))
-                seq = np.zeros(len(words) + 1, np.int64)
-                seq[:-1] = np.fromiter(map(place.__getitem__, words), np.int64, len(words))
-                seqs.append(seq)
-            wide, lookup = len(kinds) > 1 << 24, np.array(kinds, "<u2")
-            new = list(place)[listed:]
-            pieces = pa.ListArray.from_arrays(pa.array([0] * len(seqs) + [len(new)], pa.int32()), pa.array(new, pa.string()))
-            cols = {
-                "doc_id": ids, "held_out": held, "n_tokens": pa.array([len(x) for x in seqs], pa.int64()), "classes": pa.array([lookup[x].tobytes() for x in seqs], pa.binary()),
-                "block": pa.array([block] * len(seqs), pa.int64()), "wide": pa.array([wide] * len(seqs), pa.bool_()), "seq": pa.array([x.astype("<u2").tobytes() + (x >> 16).astype("<u2" if wide else "u1").tobytes() for x in seqs], pa.binary()),
-                "first": pa.array([listed] * len(seqs), pa.int64()), "words": pieces,
-            }
-            listed = len(kinds)
-            yield pa.RecordBatch.from_arrays(list(cols.values()), names=list(cols))
-
-    kind = docs.schema["doc_id"].dataType.simpleString()
-    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, classes binary, block bigint, wide boolean, seq binary, first bigint, words array<string>")
-
-
-def block_words(encoded: DataFrame) -> DataFrame:
-    """(of, place, word): the distinct words of each block."""
-    return encoded.select("block", "first", F.posexplode("words").alias("i", "word")).select(F.col("block").alias("of"), (F.col("first") + F.col("i")).alias("place"), "word")
-
-
 @dataclass
 class Model:
     start: np.ndarray
@@ -176,23 +160,36 @@ class Model:
     emit: np.ndarray  # symbols x states; a symbol may carry any factor of its own
 
 
-def _sequences(b: pa.RecordBatch) -> tuple[np.ndarray, np.ndarray]:
-    """All classes in one array, and the offsets of the rows."""
-    parts = [np.frombuffer(x, "<u2") for x in b.column(b.schema.get_field_index("classes")).to_pylist()]
-    sizes = np.array([len(p) for p in parts], np.int64)
-    return (np.concatenate(parts) if parts else np.zeros(0, np.uint16)).astype(np.int64), np.concatenate([[0], np.cumsum(sizes)])
+def tokens_in(block: dict) -> tuple[np.ndarray, np.ndarray]:
+    """Places of all tokens of a block, and the offsets of its texts."""
+    raw = np.frombuffer(block["seq"], "<u2")
+    m = len(raw) // 2
+    return raw[:m] | raw[m:].astype(np.int64) << 16, np.concatenate([[0], np.cumsum(block["sizes"])]).astype(np.int64)
 
 
-def first_model(train: DataFrame, vocab: Vocabulary, states: int, rounds: int = 150, seed: int = 7) -> Model:
+def training_blocks(batches, columns=("held_out", "sizes", "words", "n", "seq")):
+    """Each block's words and counts, and the places and offsets of its training texts."""
+    for b in batches:
+        for i in range(b.num_rows):
+            row = {c: b.column(b.schema.get_field_index(c))[i].as_py() for c in columns}
+            flat, off = tokens_in(row)
+            keep = ~np.array(row["held_out"])
+            flat = flat[np.repeat(keep, row["sizes"])]
+            if len(flat):
+                yield row["words"], np.array(row["n"], np.int64), flat, np.concatenate([[0], np.cumsum(np.array(row["sizes"], np.int64)[keep])])
+
+
+def first_model(blocks: DataFrame, vocab: Vocabulary, states: int, rounds: int = 150, seed: int = 7) -> Model:
     """States from the counts of neighbouring coarse classes, (COARSE + 1) squared cells at most."""
     coarse = vocab.coarse()
     k = int(coarse.max()) + 1 if len(coarse) else 1
+    box = blocks.sparkSession.sparkContext.broadcast((vocab, coarse))
 
     def run(batches):
+        vocab, coarse = box.value
         total = np.zeros(k * k)
-        for b in sliced(batches, "classes"):
-            flat, off = _sequences(b)
-            c = coarse[flat]
+        for words, _, flat, off in training_blocks(batches):
+            c = coarse[vocab.classes(words)][flat]
             inside = np.ones(max(len(c) - 1, 0), bool)
             inside[off[1:-1] - 1] = False
             total += np.bincount((c[:-1] * k + c[1:])[inside], minlength=k * k)
@@ -200,7 +197,7 @@ def first_model(train: DataFrame, vocab: Vocabulary, states: int, rounds: int =
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["pair", "n"])
 
     pairs = np.zeros(k * k)
-    for r in train.select("classes").mapInArrow(run, "pair bigint, n double").groupBy("pair").agg(F.sum("n").alias("n")).collect():
+    for r in blocks.mapInArrow(run, "pair bigint, n double").groupBy("pair").agg(F.sum("n").alias("n")).collect():
         pairs[r.pair] = r.n
     pairs = pairs.reshape(k, k)
     rng = np.random.default_rng(seed)
@@ -221,153 +218,157 @@ def first_model(train: DataFrame, vocab: Vocabulary, states: int, rounds: int =
     fine = (emit[:, coarse] * share).T
     fine /= fine.sum(0, keepdims=True)
     start = joint.sum(1) / joint.sum()
-    return Model(start, joint / joint.sum(1, keepdims=True), fine)
+    return Model(start, joint / joint.sum(1, keepdims=True), fine / vocab.mass[:, None])
 
 
-def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024):
-    """(start, transition, emission) counts of one batch by scaled forward-backward over pieces of at most CUT tokens."""
-    s = len(model.start)
-    steady = model.start
-    starts = np.concatenate([np.arange(a, b, CUT) for a, b in zip(off, off[1:])]) if len(off) > 1 else np.zeros(0, np.int64)
-    first = np.isin(starts, off[:-1])
-    ends = np.minimum(starts + CUT, off[np.searchsorted(off, starts, "right")]) if len(starts) else starts
-    size = ends - starts
+def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024, segment: int | None = None):
+    """(start, transition, emission) counts and the log likelihood of whole sequences by scaled forward-backward,
+    up to ``rows`` sequences side by side, segment by segment."""
+    s, segment = len(model.start), segment or SEGMENT
+    size = np.diff(off)
     order = np.argsort(-size, kind="stable")
-    begin, trans, emit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape)
-    table, move = model.emit.astype(np.float32), model.trans.astype(np.float32)
+    begin, trans, emit, fit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape), 0.0
+    table, move, first = model.emit.astype(np.float32), model.trans.astype(np.float32), model.start.astype(np.float32)
     for p in range(0, len(order), rows):
-        at = order[p : p + rows]
-        n, length = size[at], int(size[at[0]])
-        live = np.searchsorted(-n, -np.arange(length), "left")  # rows longer than t
-        alpha, seen = np.zeros((length, len(at), s), np.float32), []
-        for t in range(length):
-            m = live[t]
-            e = table[flat[starts[at[:m]] + t]]
-            a = e * (steady.astype(np.float32) if t == 0 else alpha[t - 1, :m] @ move)
-            a /= a.sum(1, keepdims=True)
-            alpha[t, :m] = a
-            seen.append(e)
+        at = off[:-1][order[p : p + rows]]
+        n, length = size[order[p : p + rows]], int(size[order[p]])
+        live = np.searchsorted(-n, -np.arange(length), "left")  # sequences longer than t
+
+        def step(t, before):
+            e = table[flat[at[: live[t]] + t]]  # noqa: B023
+            a = e * (first if t == 0 else before[: live[t]] @ move)  # noqa: B023
+            z = a.sum(1, keepdims=True)
+            return e, a / z, z
+
+        starts = range(0, length, segment)
+        kept, a = {}, None
+        for t in range(starts[-1]):  # forward over all but the last segment: only what each segment starts from is kept
+            _, a, z = step(t, a)
+            fit += float(np.log(z).sum())
+            if t + 1 in starts:
+                kept[t + 1] = a
         beta = np.ones((len(at), s), np.float32)
-        for t in range(length - 1, -1, -1):
-            m = live[t]
-            gamma = alpha[t, :m] * beta[:m]
-            norm = gamma.sum(1, keepdims=True)
-            gamma /= norm
-            if t == 0:
-                begin += gamma[first[at[:m]]].sum(0)
-            else:
-                back = seen[t] * beta[:m]
-                step = alpha[t - 1, :m]
-                z = ((step @ move) * back).sum(1, keepdims=True)
-                trans += (step / z).T.astype(float) @ back
-                beta[:m] = (back / z) @ move.T
-            alpha[t, :m] = gamma
-        for t0 in range(0, length, 64):
-            ts = range(t0, min(t0 + 64, length))
-            cls = np.concatenate([flat[starts[at[: live[t]]] + t] for t in ts])
-            g = np.concatenate([alpha[t, : live[t]] for t in ts])
+        for t0 in reversed(starts):
+            until = min(t0 + segment, length)
+            alpha, seen, a = [], [], kept.pop(t0, None)
+            before = a
+            for t in range(t0, until):
+                e, a, z = step(t, a)
+                alpha.append(a), seen.append(e)
+                if t0 == starts[-1]:
+                    fit += float(np.log(z).sum())
+            for t in range(until - 1, t0 - 1, -1):
+                m = live[t]
+                gamma = alpha[t - t0] * beta[:m]
+                gamma /= gamma.sum(1, keepdims=True)
+                if t == 0:
+                    begin += gamma.sum(0)
+                else:
+                    back, come = seen[t - t0] * beta[:m], (alpha[t - t0 - 1] if t > t0 else before)[:m]
+                    z = ((come @ move) * back).sum(1, keepdims=True)
+                    trans += (come / z).T.astype(float) @ back
+                    beta[:m] = (back / z) @ move.T
+                alpha[t - t0] = gamma
+            symbols, which = np.unique(np.concatenate([flat[at[: live[t]] + t] for t in range(t0, until)]), return_inverse=True)
+            g = np.concatenate(alpha)
             for k in range(s):
-                emit[:, k] += np.bincount(cls, g[:, k], len(emit))
-    return begin, trans * model.trans, emit
+                emit[symbols, k] += np.bincount(which, g[:, k], len(symbols))
+    return begin, trans * model.trans, emit, fit
 
 
 @dataclass
 class States:
-    """What tasks need beside the counts of their words: P(s | ending) and P(s), or ratios by class as long as no words are counted."""
+    """What tasks need beside the counts of their words: P(s | ending) and P(s)."""
 
     start: np.ndarray
     trans: np.ndarray
-    endings: np.ndarray | None = None
-    share: np.ndarray | None = None
-    classes: np.ndarray | None = None
+    endings: np.ndarray
+    share: np.ndarray
 
-    def local(self, words: list[str], n: np.ndarray, counts: np.ndarray, own: dict[str, int]) -> Model:
+    def local(self, words: list[str], n: np.ndarray, counts: np.ndarray) -> Model:
         """The model whose symbols are the given words."""
-        if self.classes is not None:
-            return Model(self.start, self.trans, self.classes[[0 if w == END else own[w] if w in own else 1 + ending(w) for w in words]])
         prior = self.endings[[ending(w) for w in words]]
         return Model(self.start, self.trans, (counts + KAPPA * prior) / (n[:, None] + KAPPA) / self.share)
 
 
-def first_states(model: Model, vocab: Vocabulary) -> States:
-    return States(model.start, model.trans, classes=model.emit / vocab.mass[:, None])
+def tied_round(blocks: DataFrame, model: Model, vocab: Vocabulary) -> tuple[Model, float]:
+    """One round with emissions by class over all training texts, and the log likelihood a token before it."""
+    s, k = len(model.start), len(vocab.mass)
+    box = blocks.sparkSession.sparkContext.broadcast((model, vocab))
+
+    def run(batches):
+        model, vocab = box.value
+        total = np.zeros(s + s * s + k * s + 1)
+        for words, _, flat, off in training_blocks(batches):
+            begin, trans, emit, fit = expected_counts(vocab.classes(words)[flat], off, model)
+            total += np.concatenate([begin, trans.ravel(), emit.ravel(), [fit]])
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total)], names=["key", "value"])
+
+    total = np.zeros(s + s * s + k * s + 1)
+    for r in blocks.mapInArrow(run, "key bigint, value double").groupBy("key").agg(F.sum("value").alias("value")).collect():  # classes x states rows
+        total[r.key] = r.value
+    begin, trans, emit = total[:s] + 1 / s, total[s : s + s * s].reshape(s, s) + 1 / s, total[s + s * s : -1].reshape(k, s) + KAPPA * vocab.mass[:, None]
+    return Model(begin / begin.sum(), trans / trans.sum(1, keepdims=True), emit / emit.sum(0) / vocab.mass[:, None]), total[-1] / max(vocab.n, 1)
 
 
 def packs(s: int) -> list[str]:
-    return [f"p{i}" for i in range(-(-s // 4))]
+    return [f"p{i}" for i in range(-(-s // 8))]
 
 
 def packed(counts: np.ndarray, n: np.ndarray) -> list[np.ndarray]:
     steps = np.rint(counts / n[:, None] * STEPS).clip(0, STEPS).astype(np.uint64)
     out = []
-    for i in range(0, steps.shape[1], 4):
+    for i in range(0, steps.shape[1], 8):
         p = np.zeros(len(n), np.uint64)
-        for k, q in enumerate(steps[:, i : i + 4].T):
-            p |= q << np.uint64(16 * k)
+        for k, q in enumerate(steps[:, i : i + 8].T):
+            p |= q << np.uint64(8 * k)
         out.append(p.view(np.int64))
     return out
 
 
 def unpacked(packs: list[np.ndarray], n: np.ndarray, s: int) -> np.ndarray:
-    return np.stack([(packs[k // 4] >> 16 * (k % 4) & STEPS) * (n / STEPS) for k in range(s)], 1)
-
-
-def _block(left: pa.Table, right: pa.Table, states: States, own: dict[str, int]):
-    """Tokens, offsets, words, counts and model of one block."""
-    parts = []
-    for x, w in zip(left["seq"].to_pylist(), left["wide"].to_pylist()):
-        m = len(x) // (4 if w else 3)
-        parts.append(np.frombuffer(x, "<u2", m).astype(np.int64) | np.frombuffer(x, "<u2" if w else "u1", m, 2 * m).astype(np.int64) << 16)
-    off = np.concatenate([[0], np.cumsum([len(p) for p in parts])]).astype(np.int64)
-    flat = np.concatenate(parts)
-    order = np.argsort(right["place"].to_numpy(), kind="stable")
-    right = right.take(pa.array(order))
-    words, s = right["word"].to_pylist(), len(states.start)
-    known = "n" in right.column_names
-    n = right["n"].fill_null(0).to_numpy() if known else np.zeros(len(words), np.int64)
-    counts = unpacked([right[c].fill_null(0).to_numpy() for c in packs(s)], n, s) if known else np.zeros((len(words), s))
-    return flat, off, words, n, states.local(words, n, counts, own)
-
-
-def gathered(encoded: DataFrame, words: DataFrame, stats: DataFrame | None, left: list[str], run, out: str) -> DataFrame:
-    """run on every block: its rows, and its words with their counts."""
-    met = words if stats is None else words.join(stats, "word", "left")
-    return encoded.select("block", "wide", "seq", *left).groupBy("block").cogroup(met.groupBy("of")).applyInArrow(run, out)
-
-
-def baum_welch(train: DataFrame, words: DataFrame, stats: DataFrame | None, states: States, vocab: Vocabulary) -> tuple[DataFrame, States]:
-    """One round over all training rows: (word, n, packed expected counts by state) of every training word, and the new states."""
-    s = len(states.start)
-    box = train.sparkSession.sparkContext.broadcast((states, vocab.own))
+    """Expected counts; the shares of a word sum to one again."""
+    out = np.stack([(packs[k // 8] >> 8 * (k % 8) & STEPS).astype(float) for k in range(s)], 1)
+    return out * (n / np.maximum(out.sum(1), 1))[:, None]
+
+
+def word_round(blocks: DataFrame, model: Model, vocab: Vocabulary, rows: int) -> tuple[DataFrame, States]:
+    """The last round: (word, n, packed expected counts by state) of every training word, and the states."""
+    s = len(model.start)
+    box = blocks.sparkSession.sparkContext.broadcast((model, vocab))
     kinds = [("key", pa.int64()), ("word", pa.string()), ("n", pa.int64()), ("value", pa.float64()), *((c, pa.int64()) for c in packs(s))]
 
-    def run(left, right):
-        if not left.num_rows:
-            return pa.table({k: pa.array([], t) for k, t in kinds})
-        flat, off, words, _, model = _block(left, right, *box.value)
-        begin, trans, emit = expected_counts(flat, off, model)
-        n = np.bincount(flat, minlength=len(words))
-        at = np.flatnonzero(n)
+    def run(batches):
+        model, vocab = box.value
+        rest = np.zeros(s * (s + 1))
+        for words, n, flat, off in training_blocks(batches):
+            begin, trans, emit, _ = expected_counts(flat, off, Model(model.start, model.trans, model.emit[vocab.classes(words)]))
+            rest += np.concatenate([begin, trans.ravel()])
+            at = np.flatnonzero(n)
+            zeros = np.zeros(len(at), np.int64)
+            cols = [zeros, [words[i] for i in at], n[at], zeros.astype(float), *packed(emit[at], n[at])]
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, kinds)], names=[k for k, _ in kinds])
         # Keys: 0 a word; below it the starts, then the moves.
-        rest = np.concatenate([begin, trans.ravel()])
-        none = np.zeros(len(rest), np.int64)
-        cols = [np.concatenate([-1 - np.arange(len(rest)), np.zeros(len(at), np.int64)]), [""] * len(rest) + [words[i] for i in at], np.concatenate([none, n[at]]), np.concatenate([rest, np.zeros(len(at))]), *(np.concatenate([none, p]) for p in packed(emit[at], n[at]))]
-        return pa.Table.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, kinds)], names=[k for k, _ in kinds])
+        zeros = np.zeros(len(rest), np.int64)
+        cols = [-1 - np.arange(len(rest)), [""] * len(rest), zeros, rest, *([zeros] * len(packs(s)))]
+        yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, kinds)], names=[k for k, _ in kinds])
 
-    one = gathered(train, words, stats, [], run, "key bigint, word string, n bigint, value double, " + ", ".join(f"{c} bigint" for c in packs(s)))
-    steps = [F.shiftrightunsigned(f"p{k // 4}", 16 * (k % 4)).bitwiseAND(STEPS) for k in range(s)]
+    one = blocks.mapInArrow(run, "key bigint, word string, n bigint, value double, " + ", ".join(f"{c} bigint" for c in packs(s)))
+    steps = [F.shiftrightunsigned(f"p{k // 8}", 8 * (k % 8)).bitwiseAND(STEPS) for k in range(s)]
     # Partitioned first, as sums are wider than what they are of.
     sums = one.repartition("word", "key").groupBy("word", "key").agg(F.sum("n").alias("n"), F.sum("value").alias("value"), *(F.sum(F.col("n") * q).alias(f"s{k}") for k, q in enumerate(steps)))
     share = [F.when(F.col("n") > 0, F.round(F.col(f"s{k}") / F.col("n"))).otherwise(0).cast("bigint") for k in range(s)]
-    again = [reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(share[k], 16 * (k % 4)) for k in range(4 * i, min(4 * i + 4, s))]).alias(c) for i, c in enumerate(packs(s))]
-    both = settled(sums.select("key", "word", "n", "value", *again), "lm-expected", small=True)
+    again = [reduce(lambda a, b: a.bitwiseOR(b), [F.shiftleft(share[k], 8 * (k % 8)) for k in range(8 * i, min(8 * i + 8, s))]).alias(c) for i, c in enumerate(packs(s))]
+    both = settled(sums.select("key", "word", "n", "value", *again), "lm-expected", rows)
     rest = np.full(s * (s + 1), 1 / s)
     for r in both.filter("key < 0").select("key", "value").collect():  # states x (states + 1) rows
         rest[-1 - r.key] += r.value
     begin, trans = rest[:s], rest[s:].reshape(s, s)
     found = both.filter("key = 0").select("word", "n", *packs(s))
+    whole = F.greatest(reduce(lambda a, b: a + b, steps), F.lit(1))
+    counts = [F.col("n") * q / whole for q in steps]
     weight = (F.col("n") + ALPHA) / (F.col("n") + KAPPA)
-    sums = found.groupBy((F.crc32(F.substring("word", -3, 3).cast("binary")) % SHARED).alias("c")).agg(F.sum(weight * KAPPA).alias("b"), *(F.sum(F.col("n") * q / STEPS).alias(f"e{k}") for k, q in enumerate(steps)), *(F.sum(weight * F.col("n") * q / STEPS).alias(f"a{k}") for k, q in enumerate(steps)))
+    sums = found.groupBy((F.crc32(F.substring("word", -3, 3).cast("binary")) % SHARED).alias("c")).agg(F.sum(weight * KAPPA).alias("b"), *(F.sum(e).alias(f"e{k}") for k, e in enumerate(counts)), *(F.sum(weight * e).alias(f"a{k}") for k, e in enumerate(counts)))
     expected, own, rest = np.zeros((SHARED, s)), np.zeros(s), np.full(SHARED, ALPHA)
     for r in sums.collect():  # at most SHARED rows
         expected[r.c] = [r[f"e{k}"] for k in range(s)]
@@ -398,34 +399,47 @@ def forward(flat: np.ndarray, off: np.ndarray, model: Model) -> np.ndarray:
     return back
 
 
-def score(encoded: DataFrame, words: DataFrame, stats: DataFrame | None, states: States, vocab: Vocabulary) -> DataFrame:
+def score(blocks: DataFrame, stats: DataFrame, states: States, vocab: Vocabulary) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, base: sum of log10 unigram shares, hmm: log10 likelihood of the ratios."""
-    box = encoded.sparkSession.sparkContext.broadcast((states, vocab.own, vocab.total))
-    kind = encoded.schema["doc_id"].dataType.simpleString()
-    given = ["doc_id", "held_out", "n_tokens"]
+    box = blocks.sparkSession.sparkContext.broadcast((states, vocab.total))
+    kind = blocks.schema["ids"].dataType.elementType.simpleString()
+    s = len(states.start)
+    words = blocks.select(F.col("block").alias("of"), F.posexplode("words").alias("place", "word"))
+    met = words.join(stats, "word", "left").groupBy("of")
 
     def run(left, right):
-        states, own, total = box.value
-        flat, off, words, n, model = _block(left, right, states, own)
-        logs = np.log10((n + ALPHA) / total)
+        states, total = box.value
+        if not left.num_rows:
+            return pa.table({"doc_id": pa.array([], left.schema.field("ids").type.value_type), "held_out": pa.array([], pa.bool_()), "n_tokens": pa.array([], pa.int64()), "n_known": pa.array([], pa.int64()), "base": pa.array([], pa.float64()), "hmm": pa.array([], pa.float64())})
+        flat, off = tokens_in({"seq": left["seq"][0].as_buffer(), "sizes": left["sizes"].combine_chunks().flatten().to_numpy()})
+        order = np.argsort(right["place"].to_numpy(), kind="stable")
+        n = right["n"].fill_null(0).to_numpy()
+        counts = unpacked([right[c].fill_null(0).to_numpy() for c in packs(s)], n, s)
+        model = states.local(right["word"].to_pylist(), n, counts)
+        model.emit, n = model.emit[order], n[order]
         known = np.add.reduceat((n > 0)[flat], off[:-1], dtype=np.int64)
-        new = [pa.array(known), pa.array(np.add.reduceat(logs[flat], off[:-1])), pa.array(forward(flat, off, model) / math.log(10))]
-        return pa.Table.from_arrays([*(left[c].combine_chunks() for c in given), *new], names=[*given, "n_known", "base", "hmm"])
+        base = np.add.reduceat(np.log10((n + ALPHA) / total)[flat], off[:-1])
+        given = [left[c].combine_chunks().flatten() for c in ("ids", "held_out", "sizes")]
+        return pa.Table.from_arrays([*given, pa.array(known), pa.array(base), pa.array(forward(flat, off, model) / math.log(10))], names=["doc_id", "held_out", "n_tokens", "n_known", "base", "hmm"])
 
-    return gathered(encoded, words, stats, given, run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, base double, hmm double")
+    texts = blocks.select("block", "ids", "held_out", "sizes", "seq").groupBy("block")
+    return texts.cogroup(met).applyInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, base double, hmm double")
 
 
-def train_and_score(docs: DataFrame, held_out, states: int = 12, rounds: int = 2) -> DataFrame:
-    counts = settled(word_counts(docs.filter(~held_out)), "lm-counts", small=True)
+def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 3, gain: float = 0.002) -> DataFrame:
+    blocks = settled(encode(docs, held_out), "lm-blocks", **WRITER)
+    counts = settled(word_counts(blocks), "lm-counts")
     vocab = vocabulary(counts)
-    encoded = settled(encode(docs, vocab, held_out), "lm-encoded", small=True)
-    train, words = encoded.filter("NOT held_out"), block_words(encoded)
-    now, stats = first_states(first_model(train, vocab, states), vocab), None
+    now, before = first_model(blocks, vocab, states), -math.inf
     for _ in range(rounds):
-        stats, now = baum_welch(train, words, stats, now, vocab)
-    scored = score(encoded, words, stats, now, vocab)
+        new, fit = tied_round(blocks, now, vocab)
+        now, gained, before = new, fit - before, fit
+        if gained < gain:
+            break
+    stats, final = word_round(blocks, now, vocab, vocab.v)
+    scored = score(blocks, stats, final, vocab)
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(vocab.n).cast("bigint").alias("train_tokens"), F.col("base").alias("base_score"), (F.col("base") + F.col("hmm")).alias("score"))
 
 
 def op10(spark, sf_dir) -> DataFrame:
-    return compact(train_and_score(documents(spark, sf_dir), id_mod("doc_id", 10) == 0))
+    return train_and_score(documents(spark, sf_dir), id_mod("doc_id", 10) == 0)

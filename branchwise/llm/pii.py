@@ -11,20 +11,21 @@ validated span or pass their check as weak positives: at most CELLS rows reach t
 trees of depth two are boosted on the counts (the same as boosting on the candidates). The trees
 become one SQL expression. Each generator has its own threshold, the least score at which weak
 precision is still ``precision`` among its candidates outside validated spans, which are the ones
-that can be added; the thresholds are folded into the scores, so that zero is the bound for all.
+that can be added; the thresholds are folded into the scores, so that zero is the bound for all. A logistic map fitted on
+the same counts turns a score into the share of right ones to expect (``sureness``).
 
 Matches get their offsets from the pieces between them: ``split`` and ``regexp_extract_all``
 walk alike. Expressions are possessive and anchored at run starts, so long runs cost linear time.
 
 Defined cases: null or empty text has no spans; repeated rows each get their result; an empty
-table gives no row; without candidates nothing is added; further columns are kept by ``redact``.
+table gives no row; without candidates nothing is added; further columns are kept by ``redact``, whatever their names.
 Offsets are code points, ends exclusive.
 """
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -114,15 +115,16 @@ def _int(sql: str) -> str:
 
 
 def with_spans(docs: DataFrame) -> DataFrame:
-    """Adds base (validated spans by kind and start) and candidates (spans with their cell, hit: meets a base span, sure: passes its own check)."""
-    text = docs.withColumn("_given", F.col("text")).withColumn("text", F.coalesce("text", F.lit("")))
+    """doc (the given row), text, base (validated spans by kind and start) and candidates (spans with their cell, hit: meets a
+    base span, sure: passes its own check). The given columns stay in doc, so their names meet no other."""
+    text = docs.select(F.struct("*").alias("doc"), F.coalesce("text", F.lit("")).alias("text"))
     found = text.withColumns({f"_{k}": _spans(k, *g) for k, g in {**PATTERNS, **GENERATORS}.items()})
     valid = F.concat(*(F.expr(f"filter(_{k}, x -> {VALID[k]})") for k in BASE))
     proposed = F.concat(*(F.col(f"_{k}") for k in ADDED))
     found = found.withColumn("base", valid).withColumn("candidates", proposed)
     sure = _int("CASE x.kind " + " ".join(f"WHEN '{k}' THEN {check}" for k, check in SURE.items()) + " END")
     cells = F.expr(f"transform(candidates, x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'cell', {_cell()}, 'hit', cast(exists(base, b -> b.start < x.end AND x.start < b.end) as int), 'sure', cast({sure} as int)))")
-    return found.withColumn("candidates", cells).drop("text", *(f"_{k}" for k in KINDS)).withColumnRenamed("_given", "text")
+    return found.select("doc", "text", "base", cells.alias("candidates"))
 
 
 def _cell() -> str:
@@ -157,6 +159,7 @@ class Trees:
     bias: float
     trees: tuple
     threshold: float
+    calibration: tuple[float, float] = (1.0, 0.0)
 
     def score(self, cell: int) -> float:
         x = unpack(cell)
@@ -234,7 +237,29 @@ def boost(cells: dict[int, tuple[int, int]], free: dict[int, tuple[int, int]] |
             if hit >= precision * seen:
                 threshold = v - 1e-9
         trees.append((0, frozenset([g]), NEVER if threshold is None else -threshold, 0.0))
-    return Trees(bias, tuple(trees), 0.0)
+    model = Trees(bias, tuple(trees), 0.0)
+    levels = {model.score(c): [0, 0] for c in at}
+    for c in at:
+        levels[model.score(c)][0] += free.get(c, (0, 0))[0]
+        levels[model.score(c)][1] += free.get(c, (0, 0))[1]
+    return replace(model, calibration=_calibrate([(v, *x) for v, x in levels.items() if x[0] and v > NEVER / 2]))
+
+
+def _calibrate(levels: list[tuple[float, int, int]]) -> tuple[float, float]:
+    """Constants of a logistic map from score to the share of weak positives, by Newton steps; (score, candidates, positives)."""
+    a, b = 1.0, 0.0
+    for _ in range(50):
+        ga, gb, haa, hab, hbb = 0.1 * (1 - a), -0.1 * b, 0.1, 0.0, 0.1
+        for v, n, y in levels:
+            p = 1 / (1 + math.exp(-max(-40.0, min(40.0, a * v + b))))
+            w = n * p * (1 - p)
+            ga, gb, haa, hab, hbb = ga + v * (y - n * p), gb + y - n * p, haa + w * v * v, hab + w * v, hbb + w
+        det = haa * hbb - hab * hab
+        da, db = (hbb * ga - hab * gb) / det, (haa * gb - hab * ga) / det
+        a, b = a + max(-2.0, min(2.0, da)), b + max(-2.0, min(2.0, db))
+        if abs(da) + abs(db) < 1e-9:
+            break
+    return a, b
 
 
 def fit(docs: DataFrame, **options) -> Trees:
@@ -245,24 +270,28 @@ def fit(docs: DataFrame, **options) -> Trees:
 
 
 def detect(docs: DataFrame, model: Trees) -> DataFrame:
-    """docs with base and spans: base and the chosen candidates, by kind as in KINDS, then start. Chosen is what passes its own check or scores high enough. A candidate gives way to base spans and to better or earlier candidates."""
-    score = model.sql("x.cell")
-    chosen = f"filter(transform(filter(candidates, x -> x.hit = 0), x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'score', {score} + {SURER}D * x.sure)), x -> x.score >= {model.threshold!r}D)" if math.isfinite(model.threshold) else "cast(array() as array<struct<kind: string, start: bigint, end: bigint, score: double>>)"
+    """doc (the given row), base and spans: base and the chosen candidates, by kind as in KINDS, then start; sureness, the
+    calibrated share of right ones among candidates with the score, for each of spans (1 for validated spans and for
+    what passes its own check). Chosen is what passes its own check or scores high enough. A candidate gives way to base
+    spans and to better or earlier candidates."""
+    score = f"{model.sql('x.cell')} + {SURER}D * x.sure"
+    chosen = f"filter(transform(filter(candidates, x -> x.hit = 0), x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end, 'score', {score})), x -> x.score >= {model.threshold!r}D)" if math.isfinite(model.threshold) else "cast(array() as array<struct<kind: string, start: bigint, end: bigint, score: double>>)"
     found = with_spans(docs).withColumn("candidates", F.expr(chosen))
     better = "y.start < x.end AND x.start < y.end AND (y.score > x.score OR y.score = x.score AND (y.end - y.start > x.end - x.start OR y.end - y.start = x.end - x.start AND (y.start < x.start OR y.start = x.start AND y.kind < x.kind)))"
     plain = "transform({}, x -> named_struct('kind', x.kind, 'start', x.start, 'end', x.end))"
-    added = f"filter(candidates, x -> NOT exists(candidates, y -> {better}))"
-    return found.withColumns({"base": F.expr(plain.format("base")), "spans": F.expr(f"concat({plain.format('base')}, {plain.format(added)})")}).drop("candidates")
+    found = found.withColumn("candidates", F.expr(f"filter(candidates, x -> NOT exists(candidates, y -> {better}))"))
+    a, b = model.calibration
+    sureness = f"concat(transform(base, x -> 1D), transform(candidates, x -> CASE WHEN x.score >= {SURER / 2}D THEN 1D ELSE 1 / (1 + exp(-({a!r}D * x.score + {b!r}D))) END))"
+    return found.select("doc", F.expr(plain.format("base")).alias("base"), F.expr(f"concat({plain.format('base')}, {plain.format('candidates')})").alias("spans"), F.expr(sureness).alias("sureness"))
 
 
 def redact(docs: DataFrame, model: Trees) -> DataFrame:
     """docs with every span in text replaced by its kind in brackets; overlapping spans are one."""
-    names = docs.columns
-    found = detect(docs, model)
     walk = """aggregate(array_sort(spans, (a, b) -> CASE WHEN a.start < b.start OR a.start = b.start AND a.end > b.end THEN -1 WHEN a.start = b.start AND a.end = b.end THEN 0 ELSE 1 END),
-        named_struct('p', 0L, 's', ''), (a, x) -> CASE WHEN x.start >= a.p THEN named_struct('p', x.end, 's', concat(a.s, substring(text, cast(a.p + 1 as int), cast(x.start - a.p as int)), '[', upper(x.kind), ']'))
-        ELSE named_struct('p', greatest(a.p, x.end), 's', a.s) END, a -> concat(a.s, substring(text, cast(a.p + 1 as int))))"""
-    return found.withColumn("text", F.expr(f"CASE WHEN size(spans) > 0 THEN {walk} ELSE text END")).select(*names)
+        named_struct('p', 0L, 's', ''), (a, x) -> CASE WHEN x.start >= a.p THEN named_struct('p', x.end, 's', concat(a.s, substring(doc.text, cast(a.p + 1 as int), cast(x.start - a.p as int)), '[', upper(x.kind), ']'))
+        ELSE named_struct('p', greatest(a.p, x.end), 's', a.s) END, a -> concat(a.s, substring(doc.text, cast(a.p + 1 as int))))"""
+    clean = F.expr(f"CASE WHEN size(spans) > 0 THEN {walk} ELSE doc.text END")
+    return detect(docs, model).select(F.col("doc").withField("text", clean).alias("doc")).select("doc.*")
 
 
 def op9(spark, sf_dir) -> DataFrame:
@@ -270,4 +299,4 @@ def op9(spark, sf_dir) -> DataFrame:
     found = detect(docs.select("doc_id", "text"), fit(docs))
     joined = lambda spans: F.array_join(F.transform(spans, lambda x: F.concat_ws(":", x.kind, x.start, x.end)), ",")
     counts = [F.expr(f"cast(size(filter(base, x -> x.kind = '{k}')) as bigint)").alias(f"n_{k}") for k in BASE]
-    return found.select("doc_id", *counts, F.sha2(joined(F.col("base")).cast("binary"), 256).alias("base_sha256"), joined(F.col("spans")).alias("spans"))
+    return found.select("doc.doc_id", *counts, F.sha2(joined(F.col("base")).cast("binary"), 256).alias("base_sha256"), joined(F.col("spans")).alias("spans"), F.array_join(F.transform("sureness", lambda x: F.round(x, 3).cast("string")), ",").alias("sureness"))

@@ -16,7 +16,7 @@ the weights, with a hashed order inside the block.
 The sources themselves (name, tokens) are one array in one row; their number, not that of
 documents, bounds it. Defined cases: null or empty text has no tokens and comes with its copy;
 null source is a source; equal rows share their hash and fate; sources without tokens get
-weight 0 and run once; an empty table gives no row; further columns are kept by ``mix``.
+weight 0 and run once; an empty table gives no row; further columns are kept by ``mix``, whatever their names.
 """
 
 from __future__ import annotations
@@ -24,7 +24,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WORD, compact, documents, settled
+from .common import WORD, documents, settled
 
 STEPS = 60
 BROADCAST_SOURCES = 2_000
@@ -106,18 +106,18 @@ def cuts(rows: DataFrame, mixed: DataFrame, seed: int = 0, range_rows: int = 5_0
 
 def mix(docs: DataFrame, entropy: float = 0.95, repeats: float = 2.0, seed: int = 0) -> DataFrame:
     """docs, each row as often as the mix shows it; columns as given."""
-    rows = settled(measured(docs), "mix-rows", small=True)
-    mixed = settled(weights(rows, entropy, repeats), "mix-weights", small=True)
-    ends = settled(cuts(rows, mixed, seed), "mix-cuts", small=True).select("source_key", "repeat", "cut")
-    keyed = docs.select(*docs.columns, _key().alias("source_key"), _row_hash().alias("h0"))
+    rows = settled(measured(docs), "mix-rows")
+    mixed = settled(weights(rows, entropy, repeats), "mix-weights", 0)
+    ends = settled(cuts(rows, mixed, seed), "mix-cuts", 0).select("source_key", "repeat", "cut")
+    keyed = docs.select(F.struct("*").alias("doc"), _key().alias("source_key"), _row_hash().alias("h0"))
     shown = _copies(keyed, ends, seed).filter((F.col("copy") < F.ceil("repeat") - 1) | (F.col("h") <= F.col("cut")))
-    return shown.select(*docs.columns)
+    return shown.select("doc.*")
 
 
 def schedule(docs: DataFrame, entropy: float = 0.95, repeats: float = 2.0, seed: int = 0, block_tokens: int = 1 << 20, range_rows: int = 5_000) -> DataFrame:
     """doc_id, source, copy, n_tokens, block, block_order and the source's exponent, weight and repeat."""
-    rows = settled(measured(docs), "mix-rows", small=True)
-    mixed = settled(weights(rows, entropy, repeats), "mix-weights", small=True)
+    rows = settled(measured(docs), "mix-rows")
+    mixed = settled(weights(rows, entropy, repeats), "mix-weights", 0)
     before = _before(rows, mixed, seed, range_rows)
     blocks = max(1, -(-int(mixed.agg(F.sum(F.col("repeat") * F.col("tokens"))).first()[0] or 0) // block_tokens))
     full = _copies(rows, mixed, seed).join(before.drop("t"), ["source_key", "copy", "h"])
@@ -129,4 +129,4 @@ def schedule(docs: DataFrame, entropy: float = 0.95, repeats: float = 2.0, seed:
 
 
 def op3(spark, sf_dir) -> DataFrame:
-    return compact(schedule(documents(spark, sf_dir)))
+    return schedule(documents(spark, sf_dir))

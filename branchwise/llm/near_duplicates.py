@@ -14,7 +14,7 @@
 Bands: ``choose_bands`` takes the fewest hashes with at least ``recall`` at the threshold.
 Defined cases: a text without a word (null, empty, blank) has no shingles and is similar to
 nothing; one of fewer than five words is one shingle; equal rows are copies of each other; an
-empty table gives no row; further columns are kept by ``keep_one``. Where doc_ids repeat, rows are told apart by text.
+empty table gives no row; further columns are kept by ``keep_one``, whatever their names. Where doc_ids repeat, rows are told apart by text.
 """
 
 from __future__ import annotations
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WORD_RE, columns, compact, documents, settled, sliced, worker_cache
+from .common import WORD_RE, columns, discard, documents, hot_join, settled, sliced, worker_cache
 
 WORDS, THRESHOLD, RECALL, SIGMAS = 5, 0.8, 0.99998, 4.5
 BLOCK = 256
@@ -226,23 +226,33 @@ def verified(members: DataFrame, threshold: float) -> DataFrame:
     return members.select("key", "lo", "hi", "own", "node", "grams").mapInArrow(run, "node bigint, links bigint, root bigint")
 
 
-def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
-    """(node, root) of all nodes with an edge; root is the least node of the component. Alternating stars, settled each round."""
-    now = settled(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges", small=True)
-    state = None
-    for _ in range(rounds):
+def busy(rows: DataFrame, key: str, n: str, total: int) -> DataFrame:
+    """Keys of which ``n`` says that they hold a thousandth of total rows or more: a thousand at most."""
+    return rows.filter(F.col(n) * 1000 >= max(total, 1000)).select(key)
+
+
+def components(edges: DataFrame, total: int) -> DataFrame:
+    """(node, root) of all nodes with an edge; root is the least node of the component. Alternating stars, settled each
+    round, until a round changes nothing (the number of rounds grows with the logarithm of the size). The rows of a
+    star's centre meet its least neighbour by a broadcast of the few centres with a great share of all edges."""
+    now = settled(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).filter("a <> b").distinct(), "edges", total)
+    state, n = None, now.count()
+    while True:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-        large = both.filter("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        low = settled(both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"), F.count(F.lit(1)).alias("n")), "stars", total)
+        large = hot_join(both.filter("b > a"), low.select("a", "m"), "a", busy(low, "a", "n", n)).select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         # Each node now sees only smaller ones; its smaller ones all go to the least of them.
-        low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low.withColumnRenamed("m", "b"))
-        now = settled(small.filter("a <> b").distinct(), "edges", small=True)
-        seen = tuple(now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first())
-        if seen == state:
+        large = settled(large, "edges", total)
+        low_2 = large.groupBy("a").agg(F.min("b").alias("m"), F.count(F.lit(1)).alias("n"))
+        small = hot_join(large, low_2.select("a", "m"), "a", busy(low_2, "a", "n", n)).select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(low_2.select("a", F.col("m").alias("b")))
+        then = settled(small.filter("a <> b").distinct(), "edges", total)
+        n, seen = then.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
+        for old in (now, low, large):
+            discard(old)
+        now = then
+        if (n, seen) == state:
             return now.groupBy("a").agg(F.min("b").alias("root")).withColumnRenamed("a", "node")
-        state = seen
-    raise RuntimeError("components did not settle")
+        state = n, seen
 
 
 def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = WORDS, recall: float = RECALL, block: int = BLOCK, null_ids: bool = True) -> DataFrame:
@@ -252,16 +262,17 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
     groups apart even where doc_ids repeat."""
     bands, rows = choose_bands(threshold, recall)
     found = settled(signatures(docs, bands, rows, n), "signatures")
+    total = found.count()
     at = F.coalesce("doc_id", F.lit(LOWEST))
-    sets = settled(found.filter("n_grams > 0").groupBy("set_hash").agg(F.min("row").alias("node"), F.min(at).alias("copy_id"), F.count(F.lit(1)).alias("n_copies"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")), "sets", small=True)
+    sets = settled(found.filter("n_grams > 0").groupBy("set_hash").agg(F.min("row").alias("node"), F.min(at).alias("copy_id"), F.count(F.lit(1)).alias("n_copies"), F.first("sketch").alias("sketch"), F.first("bands").alias("bands")), "sets", total)
     keyed = sets.select(F.explode("bands").alias("key"), "node")
     full = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
     buckets = keyed.join(full, "key").join(sets.select("node", "sketch"), "node")
     cut = threshold - SIGMAS * math.sqrt(threshold * (1 - threshold) / (bands * rows))
-    clusters = components(settled(candidate_stars(dealt(buckets, "key", "node", 4 * block), cut), "candidates", small=True))
-    clusters = settled(clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct()), "clusters", small=True)
+    clusters = components(settled(candidate_stars(dealt(buckets, "key", "node", 4 * block), cut), "candidates", total), total)
+    clusters = settled(clusters.unionByName(clusters.select(F.col("root").alias("node"), "root").distinct()), "clusters", total)
     sizes = clusters.groupBy("root").agg(F.count(F.lit(1)).alias("n"))
-    members = clusters.join(sizes, "root").join(sets.select("node", "copy_id", "set_hash"), "node")
+    members = hot_join(clusters, sizes, "root", busy(sizes, "root", "n", clusters.count())).join(sets.select("node", "copy_id", "set_hash"), "node")
     texts = docs.select(at.alias("copy_id"), "text").join(members, "copy_id")
 
     def run(batches):
@@ -274,35 +285,39 @@ def similarity_classes(docs: DataFrame, threshold: float = THRESHOLD, n: int = W
             yield pa.RecordBatch.from_arrays([pa.array([c[i] for i in ok], k) for c, k in ((key, pa.int64()), (size, pa.int64()), (node, pa.int64()), (grams, pa.binary()))], names=["key", "n", "node", "grams"])
 
     full_sets = texts.select(F.col("root").alias("key"), "n", "node", "set_hash", "text").mapInArrow(run, "key bigint, n bigint, node bigint, grams binary").dropDuplicates(["node"])
-    linked = settled(verified(dealt(full_sets, "key", "node", block), threshold), "links", small=True)
-    roots = components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")))
+    linked = settled(verified(dealt(full_sets, "key", "node", block), threshold), "links", total)
+    roots = components(linked.select(F.col("node").alias("a"), F.col("root").alias("b")), total)
     roots = roots.unionByName(roots.select(F.col("root").alias("node"), "root").distinct())
     counts = linked.groupBy("node").agg(F.sum("links").alias("n_links"))
     of = sets.select("set_hash", "node", "copy_id", "n_copies").join(counts, "node", "left").join(roots, "node", "left")
-    of = settled(of.withColumn("root", F.coalesce("root", "node")), "classes", small=True)
-    least = of.filter("n_links > 0").groupBy("root").agg(F.min("copy_id").alias("class_id"))
-    of = of.join(least, "root", "left").select("set_hash", "root", "copy_id", "n_copies", F.coalesce("class_id", "copy_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    of = settled(of.withColumn("root", F.coalesce("root", "node")), "classes", total)
+    least = of.filter("n_links > 0").groupBy("root").agg(F.min("copy_id").alias("class_id"), F.count(F.lit(1)).alias("n"))
+    of = hot_join(of, least.select("root", "class_id"), "root", busy(least, "root", "n", total), "left")
+    of = settled(of.select("set_hash", "root", "copy_id", "n_copies", F.coalesce("class_id", "copy_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links")), "groups", total)
     given = F.col("doc_id") if null_ids else at
     back = lambda c: F.coalesce(F.nullif(F.col(c), F.lit(LOWEST)), given) if null_ids else F.coalesce(F.col(c), given)
-    joined = found.select("doc_id", "text_key", "n_grams", "set_hash").join(of, "set_hash", "left")
+    joined = hot_join(found.select("doc_id", "text_key", "n_grams", "set_hash"), of, "set_hash", busy(of, "set_hash", "n_copies", total), "left")
     return joined.select("doc_id", "text_key", "n_grams", back("copy_id").alias("copy_id"), F.coalesce("n_copies", F.lit(1)).alias("n_copies"), back("class_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"), *([] if null_ids else ["root"]))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """docs without all but the first row (by doc_id, then text) of each group; columns as given."""
-    found = settled(similarity_classes(docs, null_ids=False, **options), "near-classes", small=True).filter("n_grams > 0")
-    first = found.groupBy("root").agg(F.min(F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), "text_key")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
-    many = found.join(first, "root")
+    """docs without all but the first row (by doc_id, then a hash of the text) of each group; columns as given."""
+    classes = similarity_classes(docs, null_ids=False, **options)
+    found = settled(classes.filter("n_grams > 0"), "near-classes")
+    total = found.count()
     key = F.struct(F.coalesce("doc_id", F.lit(LOWEST)).alias("i"), F.col("text_key"))
-    gone = many.filter(key != F.col("first")).select(F.col("doc_id").alias("gone_id"), F.col("text_key").alias("gone_key")).distinct()
-    again = many.filter(key == F.col("first")).groupBy("doc_id", "text_key").count().filter("count > 1").select(F.col("doc_id").alias("again_id"), F.col("text_key").alias("again_key"))
-    named = docs.withColumn("_key", F.xxhash64("text"))
-    rest = named.join(gone, F.col("doc_id").eqNullSafe(F.col("gone_id")) & (F.col("_key") == F.col("gone_key")), "left_anti")
+    first = found.groupBy("root").agg(F.min(key).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
+    many = hot_join(found, first, "root", busy(first, "root", "n", total))
+    gone = many.filter(key != F.col("first")).select("doc_id", "text_key").distinct()
+    again = many.filter(key == F.col("first")).groupBy("doc_id", "text_key").count().filter("count > 1").select("doc_id", "text_key")
+    same = lambda other: F.col("named.id").eqNullSafe(F.col(f"{other}.doc_id")) & (F.col("named.key") == F.col(f"{other}.text_key"))
+    named = docs.select(F.struct("*").alias("doc"), F.col("doc_id").alias("id"), F.xxhash64("text").alias("key")).alias("named")
+    rest = named.join(gone.alias("gone"), same("gone"), "left_anti")
     if again.isEmpty():
-        return compact(rest.select(*docs.columns))
-    same = F.col("doc_id").eqNullSafe(F.col("again_id")) & (F.col("_key") == F.col("again_key"))
-    return rest.join(again, same, "left_anti").unionByName(rest.join(again, same, "left_semi").dropDuplicates(["doc_id", "_key"])).select(*docs.columns)
+        return rest.select("doc.*")
+    twice = rest.join(again.alias("again"), same("again"), "left_semi").dropDuplicates(["id", "key"])
+    return rest.join(again.alias("again"), same("again"), "left_anti").unionByName(twice).select("doc.*")
 
 
 def op1(spark, sf_dir) -> DataFrame:
-    return compact(similarity_classes(documents(spark, sf_dir)).drop("text_key"))
+    return similarity_classes(documents(spark, sf_dir)).drop("text_key")

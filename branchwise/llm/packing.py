@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import compact, documents, id_text, settled, sliced
+from .common import documents, id_text, settled, sliced
 
 PIECES = "doc_id bigint, piece int, start bigint, length bigint, ids_crc32 bigint, salt bigint"
 
@@ -140,7 +140,7 @@ def assign(found: DataFrame, cap: Capacity = Capacity(), group_rows: int = 40_00
 
 
 def pack_documents(docs: DataFrame, cap: Capacity = Capacity(), end_id: int = 2, file: str = tokens.DEFAULT_FILE, group_rows: int = 40_000) -> DataFrame:
-    return assign(settled(pieces(docs, cap.piece, end_id, file), "pieces", small=True), cap, group_rows).drop("salt")
+    return assign(settled(pieces(docs, cap.piece, end_id, file), "pieces"), cap, group_rows).drop("salt")
 
 
 def write_sequences(docs: DataFrame, path: str, cap: Capacity = Capacity(), end_id: int = 2, file: str = tokens.DEFAULT_FILE) -> None:
@@ -154,4 +154,4 @@ def write_sequences(docs: DataFrame, path: str, cap: Capacity = Capacity(), end_
 
 
 def op4(spark, sf_dir) -> DataFrame:
-    return compact(pack_documents(documents(spark, sf_dir)))
+    return pack_documents(documents(spark, sf_dir))

@@ -6,7 +6,7 @@ would overflow on ids), the other columns as well; row groups and pages are kept
 the writer adds column and offset indexes. So a range of documents, or the counts alone, can
 be read without touching the other pages.
 
-Defined cases: null or empty text gives just the end id; equal doc_ids are ordered by text;
+Defined cases: null or empty text gives just the end id; equal doc_ids are ordered by a hash of their text;
 repeated rows each get their own list; an empty table gives no row; further columns of the
 input are not written.
 """
@@ -19,9 +19,13 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import tokens
-from .common import compact, documents, fresh_path, id_text, sliced
+from .common import documents, fresh_path, id_text, sliced
 
 WRITER = {"compression": "zstd", "parquet.writer.version": "v2", "parquet.enable.dictionary": "false", "parquet.block.size": str(32 << 20), "parquet.page.size": str(256 << 10), "parquet.page.row.count.limit": "2000"}
+#: Up to this many files their totals are broadcast (some 50 bytes each), beyond it they are shuffled.
+BROADCAST_FILES = 100_000
+#: Characters of text for one file: it bounds what one task sorts, encodes and later sums.
+FILE_CHARS = 64_000_000
 SCHEMA = "doc_id bigint, n_tokens bigint, ids array<int>"
 
 
@@ -36,12 +40,18 @@ def encode_rows(docs: DataFrame, end_id: int, file: str = tokens.DEFAULT_FILE) -
     return docs.mapInArrow(run, SCHEMA)
 
 
+def files_of(docs: DataFrame) -> int:
+    """As many files as there are FILE_CHARS of text, and some per core at least."""
+    chars = docs.agg(F.sum(F.length("text"))).first()[0] or 0
+    return max(2 * docs.sparkSession.sparkContext.defaultParallelism, -(-chars // FILE_CHARS))
+
+
 def write_tokens(docs: DataFrame, path: str, end_id: int = 0, file: str = tokens.DEFAULT_FILE, partitions: int | None = None) -> None:
-    """Texts are dealt out by ranges of doc_id (and text, so that one id can't fill a range) before they are encoded."""
+    """Texts are dealt out by ranges of doc_id (and a hash of the text, so that one id can't fill a range) before they are encoded."""
     keys = [F.col("doc_id").asc_nulls_first(), F.xxhash64("text")]
     rows = id_text(docs)
-    ranged = rows.repartitionByRange(partitions, *keys) if partitions else rows.repartitionByRange(*keys)
-    encode_rows(ranged.sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text")), end_id, file).write.options(**WRITER).parquet(path)
+    ranged = rows.repartitionByRange(partitions or files_of(rows), *keys)
+    encode_rows(ranged.sortWithinPartitions(*keys), end_id, file).write.options(**WRITER).parquet(path)
 
 
 def read_metadata(spark: SparkSession, path: str) -> DataFrame:
@@ -61,13 +71,15 @@ def _place():
     return F.col("_metadata.file_name").alias("file"), F.col("_metadata.row_index").alias("row")
 
 
-def placed(rows: DataFrame) -> DataFrame:
-    """Adds start: sums inside each file, which holds a bounded range, after the totals of the files before it."""
+def placed(rows: DataFrame, sizes: DataFrame | None = None) -> DataFrame:
+    """Adds start: sums inside each file, which holds a bounded range, after the totals of the files before it (one small
+    row a file). sizes: file and n_tokens, where they are cheaper to read than rows."""
     number = F.regexp_extract("file", r"part-(\d+)", 1).cast("bigint")
-    totals = rows.groupBy("file").agg(F.sum("n_tokens").alias("total"))
+    totals = (rows if sizes is None else sizes).groupBy("file").agg(F.sum("n_tokens").alias("total"))
     before = totals.select("file", (F.sum("total").over(Window.orderBy(number)) - F.col("total")).alias("before"))
+    small = len(rows.inputFiles()) <= BROADCAST_FILES
     inside = F.sum("n_tokens").over(Window.partitionBy("file").orderBy("row")) - F.col("n_tokens")
-    return rows.withColumn("inside", inside).join(F.broadcast(before), "file").withColumn("start", F.col("before") + F.col("inside")).drop("before", "inside", "file", "row")
+    return rows.withColumn("inside", inside).join(F.broadcast(before) if small else before, "file").withColumn("start", F.col("before") + F.col("inside")).drop("before", "inside", "file", "row")
 
 
 def checksums(stored: DataFrame) -> DataFrame:
@@ -88,4 +100,5 @@ def checksums(stored: DataFrame) -> DataFrame:
 def op5(spark, sf_dir) -> DataFrame:
     path = fresh_path(spark, "tokens")
     write_tokens(documents(spark, sf_dir), path, end_id=0)
-    return placed(checksums(spark.read.schema(SCHEMA).parquet(path))).select("doc_id", "start", "n_tokens", "ids_crc32").transform(compact)
+    stored = spark.read.schema(SCHEMA).parquet(path)
+    return placed(checksums(stored), stored.select("n_tokens", _place()[0])).select("doc_id", "start", "n_tokens", "ids_crc32")

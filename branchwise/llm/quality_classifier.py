@@ -162,7 +162,7 @@ def train_rows(features_df: DataFrame, labels: DataFrame, held_out=None) -> Data
 
 def op7(spark, sf_dir) -> DataFrame:
     held = id_mod("doc_id", 4) == 2
-    found = settled(featurize(documents(spark, sf_dir)), "quality-features", small=True)
-    train = settled(train_rows(found, spark.read.parquet(f"{sf_dir}/labels.parquet"), held), "quality-train", small=True)
+    found = settled(featurize(documents(spark, sf_dir)), "quality-features")
+    train = settled(train_rows(found, spark.read.parquet(f"{sf_dir}/labels.parquet"), held), "quality-train", found.count())
     scored = score(found, fit(train))
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= 0.7).cast("int").alias("predicted"))

@@ -92,6 +92,15 @@ def _at(kind: str, raw: bytes, start: int) -> tuple[int, bool]:
     return (end + len(close) if end >= 0 else m.end()), True
 
 
+def code_points(raw: bytes, places: list[int]) -> dict[int, int]:
+    """Byte places (rising, between characters) as code points, in one walk over the text."""
+    out, before, n = {}, 0, 0
+    for p in places:
+        n += len(raw[before:p].decode("utf-8", "surrogatepass"))
+        out[p], before = n, p
+    return out
+
+
 def scan(text: str, words) -> list[tuple[str, int, int]]:
     """All spans (kind, start, end) by start, then kind as listed."""
     raw = text.encode("utf-8", "surrogatepass")
@@ -110,7 +119,8 @@ def scan(text: str, words) -> list[tuple[str, int, int]]:
                     spans.append((kind, s, end))
     spans.sort(key=lambda x: (x[1], KINDS.index(x[0])))
     if spans and len(raw) != len(text):
-        spans = [(k, len(raw[:s].decode("utf-8", "surrogatepass")), len(raw[:e].decode("utf-8", "surrogatepass"))) for k, s, e in spans]
+        at = code_points(raw, sorted({x for _, s, e in spans for x in (s, e)}))
+        spans = [(k, at[s], at[e]) for k, s, e in spans]
     return spans
 
 

@@ -17,10 +17,10 @@ Training: (1) counts of neighbouring coarse classes (frequent words and endings)
 give the first states (an EM on that bounded matrix); (2) Baum-Welch rounds in which rare words with one
 ending share their emissions, until the gain in log likelihood a token is below ``gain`` or for ``rounds``
 rounds: tasks read blocks and emit one bounded table each; (3) a last round that counts every word by state
-for itself. Scaled forward-backward runs over each uncut sequence; of long ones only every ``SEGMENT``-th
-forward row is held, and the rows between are computed again on the way back, so that counts are those of the
-whole sequence in bounded memory. Scoring meets each block's words with their counts by a join and runs the
-scaled forward recursion over each uncut sequence, in float64.
+for itself. Scaled forward-backward gives the counts of each whole sequence: a long one is worked on in pieces of
+``SEGMENT`` tokens side by side, after the products of their steps, chained over the sequence, have told what
+enters and leaves each piece. Scoring meets each block's words with their counts by a join and gives the forward
+likelihood of whole sequences by the same pieces, in float64.
 
 Defined cases: null or empty text is just the end token; repeated rows each count and each get
 a row; without training rows every word is unknown; an empty table gives no row; further columns are ignored.
@@ -221,58 +221,98 @@ def first_model(blocks: DataFrame, vocab: Vocabulary, states: int, rounds: int =
     return Model(start, joint / joint.sum(1, keepdims=True), fine / vocab.mass[:, None])
 
 
-def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024, segment: int | None = None):
-    """(start, transition, emission) counts and the log likelihood of whole sequences by scaled forward-backward,
-    up to ``rows`` sequences side by side, segment by segment."""
-    s, segment = len(model.start), segment or SEGMENT
-    size = np.diff(off)
-    order = np.argsort(-size, kind="stable")
+@dataclass
+class Pieces:
+    """Sequences cut into pieces of at most SEGMENT symbols, so that many are worked on side by side. pre: the states expected
+    before the first symbol of a piece is seen; come: the states after the last symbol of the piece before; leave: what the
+    symbols after a piece say of its last state. With these a piece gives what it gives inside its whole sequence."""
+
+    start: np.ndarray
+    size: np.ndarray
+    first: np.ndarray
+    of: np.ndarray
+    pre: np.ndarray
+    come: np.ndarray
+    leave: np.ndarray
+
+
+def _normal(x: np.ndarray) -> np.ndarray:
+    return x / x.sum(-1, keepdims=True)
+
+
+def cut(flat: np.ndarray, off: np.ndarray, model: Model, dtype, segment: int) -> Pieces:
+    """The pieces with what enters and leaves them: per piece of a longer sequence the product of its steps is one states x
+    states matrix, and these are chained over the sequence. No step waits for the piece before it."""
+    s, total = len(model.start), np.diff(off)
+    table, move = model.emit.astype(dtype), model.trans.astype(dtype)
+    many = -(-total // segment)
+    of = np.repeat(np.arange(len(total)), many)
+    at = np.arange(len(of)) - np.repeat(np.cumsum(many) - many, many)
+    start = off[of] + at * segment
+    size = np.minimum(segment, off[of + 1] - start)
+    pre = np.tile(model.start.astype(dtype), (len(of), 1))
+    out = Pieces(start, size, at == 0, of, pre, np.zeros_like(pre), np.ones_like(pre))
+    long = np.flatnonzero(many[of] > 1)
+    product = np.zeros((len(of), s, s), dtype)
+    order = long[np.argsort(-size[long], kind="stable")]
+    for p in range(0, len(order), 256):
+        rows = order[p : p + 256]
+        live = np.searchsorted(-size[rows], -np.arange(size[rows[0]]), "left")
+        x = np.tile(np.eye(s, dtype=dtype), (len(rows), 1, 1))
+        for t, m in enumerate(live):
+            y = x[:m] if t == 0 else (x[:m].reshape(-1, s) @ move).reshape(m, s, s)
+            y = y * table[flat[start[rows[:m]] + t]][:, None, :]
+            x[:m] = y / np.einsum("ijk->i", y)[:, None, None] if t % 8 == 7 else y
+        product[rows] = x / x.sum((1, 2), keepdims=True)
+    heads = np.cumsum(many) - many
+    by_length = np.argsort(-many, kind="stable")
+    longer = lambda k: heads[by_length[: np.searchsorted(-many[by_length], -k, "left")]] + k  # noqa: E731  # piece k of each sequence with more than k pieces
+    for k in range(1, int(many.max(initial=1))):
+        now = longer(k)
+        out.come[now] = _normal((out.pre[now - 1][:, None, :] @ product[now - 1])[:, 0])
+        out.pre[now] = out.come[now] @ move
+    for k in range(int(many.max(initial=1)) - 1, 0, -1):
+        now = longer(k)
+        out.leave[now - 1] = _normal((product[now] @ out.leave[now][:, :, None])[:, :, 0]) @ move.T
+    return out
+
+
+def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 2048, segment: int = SEGMENT):
+    """(start, transition, emission) counts and the log likelihood of whole sequences by scaled forward-backward, ``rows`` pieces side by side."""
+    s, parts = len(model.start), cut(flat, off, model, np.float32, segment)
+    order = np.argsort(-parts.size, kind="stable")
     begin, trans, emit, fit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape), 0.0
-    table, move, first = model.emit.astype(np.float32), model.trans.astype(np.float32), model.start.astype(np.float32)
+    table, move = model.emit.astype(np.float32), model.trans.astype(np.float32)
     for p in range(0, len(order), rows):
-        at = off[:-1][order[p : p + rows]]
-        n, length = size[order[p : p + rows]], int(size[order[p]])
-        live = np.searchsorted(-n, -np.arange(length), "left")  # sequences longer than t
-
-        def step(t, before):
-            e = table[flat[at[: live[t]] + t]]  # noqa: B023
-            a = e * (first if t == 0 else before[: live[t]] @ move)  # noqa: B023
+        which = order[p : p + rows]
+        at, n, first = parts.start[which], parts.size[which], parts.first[which]
+        live = np.searchsorted(-n, -np.arange(n[0]), "left")  # pieces longer than t
+        alpha, seen = [], []
+        for t, m in enumerate(live):
+            e = table[flat[at[:m] + t]]
+            a = e * (parts.pre[which] if t == 0 else alpha[-1][:m] @ move)
             z = a.sum(1, keepdims=True)
-            return e, a / z, z
-
-        starts = range(0, length, segment)
-        kept, a = {}, None
-        for t in range(starts[-1]):  # forward over all but the last segment: only what each segment starts from is kept
-            _, a, z = step(t, a)
             fit += float(np.log(z).sum())
-            if t + 1 in starts:
-                kept[t + 1] = a
-        beta = np.ones((len(at), s), np.float32)
-        for t0 in reversed(starts):
-            until = min(t0 + segment, length)
-            alpha, seen, a = [], [], kept.pop(t0, None)
-            before = a
-            for t in range(t0, until):
-                e, a, z = step(t, a)
-                alpha.append(a), seen.append(e)
-                if t0 == starts[-1]:
-                    fit += float(np.log(z).sum())
-            for t in range(until - 1, t0 - 1, -1):
-                m = live[t]
-                gamma = alpha[t - t0] * beta[:m]
-                gamma /= gamma.sum(1, keepdims=True)
-                if t == 0:
-                    begin += gamma.sum(0)
-                else:
-                    back, come = seen[t - t0] * beta[:m], (alpha[t - t0 - 1] if t > t0 else before)[:m]
-                    z = ((come @ move) * back).sum(1, keepdims=True)
-                    trans += (come / z).T.astype(float) @ back
-                    beta[:m] = (back / z) @ move.T
-                alpha[t - t0] = gamma
-            symbols, which = np.unique(np.concatenate([flat[at[: live[t]] + t] for t in range(t0, until)]), return_inverse=True)
-            g = np.concatenate(alpha)
-            for k in range(s):
-                emit[symbols, k] += np.bincount(which, g[:, k], len(symbols))
+            alpha.append(a / z), seen.append(e)
+        beta = parts.leave[which]
+        for t in range(len(live) - 1, -1, -1):
+            m = live[t]
+            gamma = _normal(alpha[t] * beta[:m])
+            back = seen[t] * beta[:m]
+            if t:
+                come = alpha[t - 1][:m]
+            else:
+                begin += gamma[first].sum(0)
+                come, back = parts.come[which][~first], back[~first]
+            z = ((come @ move) * back).sum(1, keepdims=True)
+            trans += (come / z).T.astype(float) @ back
+            if t:
+                beta[:m] = _normal(back @ move.T)
+            alpha[t] = gamma
+        symbols, place = np.unique(np.concatenate([flat[at[:m] + t] for t, m in enumerate(live)]), return_inverse=True)
+        g = np.concatenate(alpha)
+        for k in range(s):
+            emit[symbols, k] += np.bincount(place, g[:, k], len(symbols))
     return begin, trans * model.trans, emit, fit
 
 
@@ -381,22 +421,20 @@ def word_round(blocks: DataFrame, model: Model, vocab: Vocabulary, rows: int) ->
     return found, States(begin / begin.sum(), trans / trans.sum(1, keepdims=True), endings, share)
 
 
-def forward(flat: np.ndarray, off: np.ndarray, model: Model) -> np.ndarray:
+def forward(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 2048, segment: int = SEGMENT) -> np.ndarray:
     """Natural log likelihood of each whole sequence by the scaled forward recursion."""
-    size = np.diff(off)
-    order = np.argsort(-size, kind="stable")
-    at, n = off[:-1][order], size[order]
-    out, alpha = np.zeros(len(n)), None
-    live = np.searchsorted(-n, -np.arange(int(n[0]) if len(n) else 0), "left")
-    for t, m in enumerate(live):
-        e = model.emit[flat[at[:m] + t]]
-        a = e * (model.start if t == 0 else alpha[:m] @ model.trans)
-        z = a.sum(1)
-        out[:m] += np.log(z)
-        alpha = a / z[:, None]
-    back = np.zeros(len(n))
-    back[order] = out
-    return back
+    parts = cut(flat, off, model, np.float64, segment)
+    order, out = np.argsort(-parts.size, kind="stable"), np.zeros(len(off) - 1)
+    for p in range(0, len(order), rows):
+        which = order[p : p + rows]
+        at, n, log = parts.start[which], parts.size[which], np.zeros(len(which))
+        for t, m in enumerate(np.searchsorted(-n, -np.arange(n[0]), "left")):
+            a = model.emit[flat[at[:m] + t]] * (parts.pre[which] if t == 0 else alpha[:m] @ model.trans)  # noqa: F821
+            z = a.sum(1)
+            log[:m] += np.log(z)
+            alpha = a / z[:, None]  # noqa: F841
+        np.add.at(out, parts.of[which], log)
+    return out
 
 
 def score(blocks: DataFrame, stats: DataFrame, states: States, vocab: Vocabulary) -> DataFrame:
@@ -426,7 +464,7 @@ def score(blocks: DataFrame, stats: DataFrame, states: States, vocab: Vocabulary
     return texts.cogroup(met).applyInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, base double, hmm double")
 
 
-def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 3, gain: float = 0.002) -> DataFrame:
+def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 4, gain: float = 0.01) -> DataFrame:
     blocks = settled(encode(docs, held_out), "lm-blocks", **WRITER)
     counts = settled(word_counts(blocks), "lm-counts")
     vocab = vocabulary(counts)

@@ -6,6 +6,7 @@ Every filter may only drop a vertex that no embedding uses there.
 from __future__ import annotations
 
 from collections import Counter
+from itertools import combinations
 
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -14,6 +15,11 @@ from pyspark.sql import functions as F
 from branchwise.plans.pattern import PatternGraph
 
 from .graph import LabeledGraph
+from .storage import discard, settled
+
+
+#: Up to this many neighbours of a pattern vertex, matchings are tested by the sizes of all their sets; beyond it by augmenting paths.
+HALL = 5
 
 
 def _rows(g: LabeledGraph, rows: list[tuple], schema: str) -> DataFrame:
@@ -21,9 +27,22 @@ def _rows(g: LabeledGraph, rows: list[tuple], schema: str) -> DataFrame:
     return F.broadcast(g.vertices.sparkSession.createDataFrame(rows, schema))
 
 
-def label_domains(g: LabeledGraph, p: PatternGraph) -> DataFrame:
+def label_domains(g: LabeledGraph, p: PatternGraph, where: dict[int, str] | None = None) -> DataFrame:
+    """where: by vertex of the pattern, an SQL condition on the columns of vertices (vid, label and attributes). It drops only
+    vertices that are no image there, so every engine and what it learns stay exact."""
     labels = _rows(g, [(i, x) for i, x in enumerate(p.labels, 1)], "pos int, label string")
-    return g.vertices.join(labels, "label").select("pos", "vid")
+    met = g.vertices.join(labels, "label")
+    for u, condition in (where or {}).items():
+        met = met.filter((F.col("pos") != u) | F.expr(condition))
+    dom = met.select("pos", "vid")
+    return dom if not p.loops else _with_loops(g, p, dom)
+
+
+def _with_loops(g: LabeledGraph, p: PatternGraph, dom: DataFrame) -> DataFrame:
+    """Vertices of the pattern with an edge to themselves need an image with one."""
+    looped = F.col("pos").isin(list(p.loops))
+    kept = dom.filter(~looped)
+    return kept if g.loops is None else kept.unionByName(dom.filter(looped).join(g.loops, "vid", "left_semi").select("pos", "vid"))
 
 
 def degree_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame) -> DataFrame:
@@ -64,23 +83,25 @@ def arc_consistency(g: LabeledGraph, p: PatternGraph, dom: DataFrame, rounds: in
         for _ in range(rounds):
             dom = cut(_semi(g, dom, pairs))
         return dom
+    return _fixpoint(lambda d: _semi(g, d, pairs), dom)
+
+
+def _fixpoint(step, dom: DataFrame) -> DataFrame:
+    """Rounds of a filter until one drops nothing."""
     dom = cut(dom)
     size = dom.count()
     while True:
-        dom = cut(_semi(g, dom, pairs))
+        before, dom = dom, cut(step(dom))
         left = dom.count()
+        discard(before)
         if left == size:
             return dom
         size = left
 
 
 def cut(df: DataFrame) -> DataFrame:
-    """Ends the lineage of a loop: a checkpoint in the session's folder, or a cached copy where there is none (tests)."""
-    sc = df.sparkSession.sparkContext
-    named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
-    if named and not sc.getCheckpointDir():
-        sc.setCheckpointDir(named)
-    return df.checkpoint() if sc.getCheckpointDir() else df.cache()
+    """Ends the lineage of a loop."""
+    return settled(df, "step")
 
 
 def tree_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame, root: int = 1) -> DataFrame:
@@ -93,23 +114,37 @@ def tree_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame, root: int = 1)
     return dom
 
 
-def bipartite_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame, rounds: int = 1) -> DataFrame:
-    """The pattern neighbours can be given different data neighbours, each from its domain."""
+def bipartite_filter(g: LabeledGraph, p: PatternGraph, dom: DataFrame, rounds: int | None = None) -> DataFrame:
+    """The pattern neighbours can be given different data neighbours, each from its domain; again until nothing drops, or
+    for a number of rounds."""
+    if rounds is None:
+        return _fixpoint(lambda d: _bipartite_round(g, p, d), dom)
+    for _ in range(rounds):
+        dom = cut(_bipartite_round(g, p, dom))
+    return dom
+
+
+def _bipartite_round(g: LabeledGraph, p: PatternGraph, dom: DataFrame) -> DataFrame:
     links = [(a, b) for x, y in p.edges for a, b in ((x, y), (y, x))]
     need = {u: sorted(p.neighbors(u)) for u in range(1, p.n + 1)}
-    for _ in range(rounds):
-        reach = dom.join(_rows(g, links, "pos int, other int"), "pos").join(g.edges.select(F.col("src").alias("vid"), "dst"), "vid").join(dom.select(F.col("pos").alias("other"), F.col("vid").alias("dst")), ["other", "dst"], "left_semi")
+    free = [u for u, w in need.items() if not w]
+    reach = dom.join(_rows(g, links, "pos int, other int"), "pos").join(g.edges.select(F.col("src").alias("vid"), "dst"), "vid").join(dom.select(F.col("pos").alias("other"), F.col("vid").alias("dst")), ["other", "dst"], "left_semi")
+    if max(map(len, need.values()), default=0) <= HALL:
+        # Every set of neighbours must reach as many vertices as it has members.
+        sets = [(u, i, o) for u, w in need.items() for i, some in enumerate(s for k in range(1, len(w) + 1) for s in combinations(w, k)) for o in some]
+        size = Counter((u, i) for u, i, _ in sets)
+        reached = reach.join(_rows(g, sets, "pos int, part int, other int"), ["pos", "other"]).groupBy("pos", "vid", "part").agg(F.count_distinct("dst").alias("n"))
+        met = reached.join(_rows(g, [(u, i, n) for (u, i), n in size.items()], "pos int, part int, need int"), ["pos", "part"]).filter("n >= need").groupBy("pos", "vid").agg(F.count(F.lit(1)).alias("met"))
+        kept = met.join(_rows(g, list(Counter(u for u, _ in size).items()), "pos int, parts int"), "pos").filter("met = parts").select("pos", "vid")
+    else:
         # A vertex needs at most n distinct partners per neighbour: the n least suffice for a matching.
         few = reach.groupBy("pos", "vid", "other").agg(F.slice(F.array_sort(F.collect_set("dst")), 1, p.n).alias("partners")).groupBy("pos", "vid").agg(F.map_from_entries(F.collect_list(F.struct("other", "partners"))).alias("m"))
 
         def matched(part: pd.Series, pos: pd.Series) -> pd.Series:
             return pd.Series([_saturates(need[int(u)], dict(m)) for m, u in zip(part, pos)])
 
-        test = F.pandas_udf(matched, "boolean")
-        kept = few.filter(test("m", "pos")).select("pos", "vid")
-        free = [u for u, w in need.items() if not w]
-        dom = kept.unionByName(dom.filter(F.col("pos").isin(free)).select("pos", "vid")) if free else kept
-    return dom
+        kept = few.filter(F.pandas_udf(matched, "boolean")("m", "pos")).select("pos", "vid")
+    return kept.unionByName(dom.filter(F.col("pos").isin(free)).select("pos", "vid")) if free else kept
 
 
 def _saturates(need: list[int], partners: dict[int, list[int]]) -> bool:
@@ -139,8 +174,8 @@ def candidate_edges(g: LabeledGraph, p: PatternGraph, dom: DataFrame) -> DataFra
 FILTERS = {"degree": degree_filter, "labels": neighbor_label_filter, "arcs": lambda g, p, d: arc_consistency(g, p, d, 1), "tree": tree_filter, "bipartite": bipartite_filter}
 
 
-def build_domains(g: LabeledGraph, p: PatternGraph, filters: tuple[str, ...] = ()) -> DataFrame:
-    dom = label_domains(g, p)
+def build_domains(g: LabeledGraph, p: PatternGraph, filters: tuple[str, ...] = (), where: dict[int, str] | None = None) -> DataFrame:
+    dom = label_domains(g, p, where)
     for name in filters:
         dom = FILTERS[name](g, p, dom)
     return dom

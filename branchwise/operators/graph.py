@@ -5,27 +5,45 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .storage import settled
+
 
 class GraphSchemaError(ValueError):
     pass
 
 
 class LabeledGraph:
-    """vertices (vid, label); edges (src, dst, src_label, dst_label) in both directions, distinct, without loops."""
+    """vertices (vid, label, and attributes if there are any); edges (src, dst, src_label, dst_label) in both directions,
+    distinct, without loops; loops (vid), the vertices with an edge to themselves, or None where there are none."""
 
-    def __init__(self, vertices: DataFrame, edges: DataFrame):
-        self.vertices, self.edges = vertices, edges
+    def __init__(self, vertices: DataFrame, edges: DataFrame, loops: DataFrame | None = None):
+        self.vertices, self.edges, self.loops = vertices, edges, loops
 
     @classmethod
-    def from_edges(cls, vertices: DataFrame, pairs: DataFrame, validate: bool = False) -> LabeledGraph:
-        """pairs (a, b): one row per undirected edge or more, in any direction."""
-        vertices = vertices.select(F.col("vid").cast("bigint").alias("vid"), F.col("label").cast("string").alias("label"))
+    def from_edges(cls, vertices: DataFrame, pairs: DataFrame, validate: bool = False, loops: bool = False) -> LabeledGraph:
+        """pairs (a, b): one row per undirected edge or more, in any direction. Further columns of vertices stay as
+        attributes. loops: keep edges from a vertex to itself (in a table of their own); else they are dropped."""
+        further = [c for c in vertices.columns if c not in ("vid", "label")]
+        vertices = vertices.select(F.col("vid").cast("bigint").alias("vid"), F.col("label").cast("string").alias("label"), *further)
         once = pairs.filter("a <> b").select(F.least("a", "b").cast("bigint").alias("a"), F.greatest("a", "b").cast("bigint").alias("b")).distinct()
         both = once.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))).alias("e")).select("e.*")
         named = lambda side: vertices.select(F.col("vid").alias(side), F.col("label").alias(f"{side}_label"))
         if validate:
             cls._validate(vertices, pairs)
-        return cls(vertices, both.join(named("src"), "src").join(named("dst"), "dst").select("src", "dst", "src_label", "dst_label"))
+        selves = pairs.filter("a = b").select(F.col("a").cast("bigint").alias("vid")).distinct() if loops else None
+        return cls(vertices, both.join(named("src"), "src").join(named("dst"), "dst").select("src", "dst", "src_label", "dst_label"), selves)
+
+    def settled(self, name: str = "graph") -> LabeledGraph:
+        """The same graph from storage: labelled edges in ranges of label pair and source, so that the scan of a pattern edge
+        skips files and row groups by their statistics, and a frequent pair is several files."""
+        keys = ("src_label", "dst_label", "src")
+        edges = settled(self.edges.repartitionByRange(*keys).sortWithinPartitions(*keys, "dst"), f"{name}-edges")
+        vertices = settled(self.vertices.repartitionByRange("label", "vid").sortWithinPartitions("label", "vid"), f"{name}-vertices")
+        return LabeledGraph(vertices, edges, None if self.loops is None else settled(self.loops, f"{name}-loops"))
+
+    def write_adjacency(self, table: str, buckets: int) -> None:
+        """The edges as a table bucketed and sorted by source: joins on the source with another such table move nothing."""
+        self.edges.write.bucketBy(buckets, "src").sortBy("src", "dst").mode("overwrite").saveAsTable(table)
 
     @staticmethod
     def _validate(vertices: DataFrame, pairs: DataFrame) -> None:
@@ -39,6 +57,21 @@ class LabeledGraph:
     def degrees(self) -> DataFrame:
         return self.edges.groupBy(F.col("src").alias("vid")).agg(F.count(F.lit(1)).alias("deg"))
 
+    def statistics(self, labels: set[str]) -> tuple[dict[str, int], dict[tuple[str, str], int]]:
+        """Vertices by label and edges by label pair, for the given labels (those of a pattern, so the answer is small). Kept with the graph."""
+        held = self.__dict__.setdefault("_statistics", {})
+        new = sorted(labels - held.keys())
+        if new:
+            for x in new:
+                held[x] = (0, {})
+            for r in self.vertices.filter(F.col("label").isin(new)).groupBy("label").count().collect():
+                held[r["label"]] = (r["count"], held[r["label"]][1])
+            known = sorted(held)
+            pairs = self.edges.filter((F.col("src_label").isin(new) & F.col("dst_label").isin(known)) | (F.col("src_label").isin(known) & F.col("dst_label").isin(new)))
+            for r in pairs.groupBy("src_label", "dst_label").count().collect():
+                held[r.src_label][1][r.dst_label] = r["count"]
+        return {x: held[x][0] for x in labels}, {(x, y): held[x][1].get(y, 0) for x in labels for y in labels}
+
     def label_counts(self) -> DataFrame:
         return self.vertices.groupBy("label").agg(F.count(F.lit(1)).alias("n"))
 
@@ -57,7 +90,8 @@ class LabeledGraph:
     def induced_subgraph(self, vids: DataFrame) -> LabeledGraph:
         keep = vids.select("vid").distinct()
         ends = lambda side: keep.select(F.col("vid").alias(side))
-        return LabeledGraph(self.vertices.join(keep, "vid", "left_semi"), self.edges.join(ends("src"), "src", "left_semi").join(ends("dst"), "dst", "left_semi"))
+        loops = None if self.loops is None else self.loops.join(keep, "vid", "left_semi")
+        return LabeledGraph(self.vertices.join(keep, "vid", "left_semi"), self.edges.join(ends("src"), "src", "left_semi").join(ends("dst"), "dst", "left_semi"), loops)
 
     def ego(self, vids: DataFrame, hops: int = 1) -> LabeledGraph:
         seen = vids.select("vid").distinct()

@@ -5,21 +5,32 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from branchwise.plans.ordering import cheapest_joins
 from branchwise.plans.pattern import QUERY_SET, PatternGraph
 
 from .candidates import cut
 from .graph import LabeledGraph
+from .storage import discard
 
 
-def join_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None = None, injective: bool = True, limit: int | None = None, domains: DataFrame | None = None) -> DataFrame:
+def join_order(g: LabeledGraph, p: PatternGraph) -> tuple[int, ...]:
+    """The order of least estimated rows, from counts of the pattern's labels and label pairs."""
+    return cheapest_joins(p, *g.statistics(set(p.labels)))
+
+
+def join_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None = None, injective: bool = True, limit: int | None = None, domains: DataFrame | None = None, checks: tuple = ()) -> DataFrame:
     """m1..mn, numbered as in the pattern whatever the order. Every step is an equi-join on an anchor edge
-    with both labels pushed to the edge scan; further edges to what is mapped are semi-joins."""
-    order = order or tuple(range(1, p.n + 1))
+    with both labels pushed to the edge scan; further edges to what is mapped are semi-joins. domains (pos, vid) narrow
+    the images; checks are comparisons (u, operator, w) of two images."""
+    order = order or join_order(g, p)
     out, done = None, []
     for u in order:
         own = g.vertices.filter(F.col("label") == p.labels[u - 1]).select(F.col("vid").alias(f"m{u}"))
+        narrow = domains is not None or u in p.loops
         if domains is not None:
             own = own.join(domains.filter(F.col("pos") == u).select(F.col("vid").alias(f"m{u}")), f"m{u}", "left_semi")
+        if u in p.loops:
+            own = own.filter("false") if g.loops is None else own.join(g.loops.select(F.col("vid").alias(f"m{u}")), f"m{u}", "left_semi")
         back = [w for w in done if w in p.neighbors(u)]
         apart = [w for w in done if injective and p.labels[w - 1] == p.labels[u - 1] and w not in back]
         edge = lambda w: g.edges.filter((F.col("src_label") == p.labels[w - 1]) & (F.col("dst_label") == p.labels[u - 1])).select(F.col("src").alias(f"m{w}"), F.col("dst").alias(f"m{u}"))  # noqa: B023, E731
@@ -27,7 +38,7 @@ def join_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None =
             out = own
         elif back:
             out = out.join(edge(back[0]), f"m{back[0]}")
-            if domains is not None:
+            if narrow:
                 out = out.join(own, f"m{u}", "left_semi")
         else:
             out = out.crossJoin(own)  # a pattern in several parts asks for the product of their results
@@ -36,6 +47,9 @@ def join_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None =
         for w in apart:
             out = out.filter(F.col(f"m{w}") != F.col(f"m{u}"))
         done.append(u)
+        for a, op, b in checks:
+            if u in (a, b) and {a, b} <= set(done):
+                out = out.filter(f"m{a} {op} m{b}")
     out = out.select(*(f"m{i}" for i in range(1, p.n + 1)))
     return out if limit is None else out.orderBy(*out.columns).limit(limit)
 
@@ -62,12 +76,12 @@ def compile_levels(queries: DataFrame) -> DataFrame:
 
 def expand(g: LabeledGraph, frontier: DataFrame, steps: DataFrame) -> DataFrame:
     """One level for all queries: by the anchor edge where there is one, by the label domain otherwise; then the other edges."""
-    ready = frontier.join(F.broadcast(steps), "query_id")
+    ready = frontier.join(steps, "query_id")
     edges = g.edges.select(F.col("src").alias("anchor"), F.col("dst").alias("new"), F.col("dst_label").alias("label"))
     near = ready.filter("size(back) > 0").withColumn("anchor", F.element_at("asg", F.element_at("back", 1).cast("int") + 1)).join(edges, ["anchor", "label"]).drop("anchor")
     free = ready.filter("size(back) = 0").join(g.vertices.select(F.col("vid").alias("new"), "label"), "label")
     grown = near.unionByName(free, allowMissingColumns=True).filter(~F.array_contains("asg", F.col("new")))
-    more = grown.filter("size(back) > 1").withColumn("rest", F.slice("back", 2, 64)).withColumn("b", F.explode("rest")).withColumn("src", F.element_at("asg", F.col("b").cast("int") + 1))
+    more = grown.filter("size(back) > 1").withColumn("rest", F.slice("back", F.lit(2), F.size("back") - 1)).withColumn("b", F.explode("rest")).withColumn("src", F.element_at("asg", F.col("b").cast("int") + 1))
     closed = more.join(g.edges.select("src", F.col("dst").alias("new")), ["src", "new"], "left_semi")
     closed = closed.groupBy("query_id", "asg", "new", "n_vertices").agg(F.count(F.lit(1)).alias("met"), F.first(F.size("rest")).alias("need")).filter("met = need")
     whole = grown.filter("size(back) < 2").select("query_id", "asg", "new", "n_vertices").unionByName(closed.select("query_id", "asg", "new", "n_vertices"))
@@ -75,7 +89,7 @@ def expand(g: LabeledGraph, frontier: DataFrame, steps: DataFrame) -> DataFrame:
 
 
 def level_frontiers(g: LabeledGraph, queries: DataFrame) -> list[DataFrame]:
-    """The frontier after each level, all queries together; each is checkpointed."""
+    """The frontier after each level, all queries together; each is settled."""
     steps = cut(compile_levels(queries))
     deepest = steps.agg(F.max("k")).first()[0]
     frontier = queries.select("query_id", F.expr("cast(array() as array<bigint>)").alias("asg"))
@@ -86,6 +100,45 @@ def level_frontiers(g: LabeledGraph, queries: DataFrame) -> list[DataFrame]:
     return out
 
 
+def shared_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None = None) -> tuple[DataFrame, DataFrame]:
+    """(m1..mn, statistics): level by level, where the images of the next vertex are found once for all rows that agree on
+    its mapped neighbours, and joined back. Statistics: level, rows, distinct projections, and how many of those have no
+    image at all, which closes every row that shares them."""
+    order = order or join_order(g, p)
+    spark = g.vertices.sparkSession
+    out, stats = None, []
+    for k, u in enumerate(order):
+        own = g.vertices.filter(F.col("label") == p.labels[u - 1]).select(F.col("vid").alias(f"m{u}"))
+        if u in p.loops:
+            own = own.filter("false") if g.loops is None else own.join(g.loops.select(F.col("vid").alias(f"m{u}")), f"m{u}", "left_semi")
+        back = [w for w in order[:k] if w in p.neighbors(u)]
+        apart = [w for w in order[:k] if p.labels[w - 1] == p.labels[u - 1] and w not in back]
+        edge = lambda w: g.edges.filter((F.col("src_label") == p.labels[w - 1]) & (F.col("dst_label") == p.labels[u - 1])).select(F.col("src").alias(f"m{w}"), F.col("dst").alias(f"m{u}"))  # noqa: B023, E731
+        keys = [f"m{w}" for w in back]
+        projections = dead = 0
+        if out is None:
+            grown = own
+        elif back:
+            asked = cut(out.select(*keys).distinct())
+            images = asked.join(edge(back[0]), keys[0])
+            for w in back[1:]:
+                images = images.join(edge(w), [f"m{w}", f"m{u}"], "left_semi")
+            if u in p.loops:
+                images = images.join(own, f"m{u}", "left_semi")
+            images = cut(images.select(*keys, f"m{u}"))
+            projections, dead = asked.count(), asked.join(images, keys, "left_anti").count()
+            grown = out.join(images, keys)
+        else:
+            grown = out.crossJoin(own)  # a pattern in several parts asks for the product of their results
+        for w in apart:
+            grown = grown.filter(F.col(f"m{w}") != F.col(f"m{u}"))
+        before, out = out, cut(grown)
+        if before is not None:
+            discard(before)
+        stats.append((k + 1, out.count(), projections, dead))
+    return out.select(*(f"m{i}" for i in range(1, p.n + 1))), spark.createDataFrame(stats, "level int, rows bigint, projections bigint, dead bigint")
+
+
 def level_match(g: LabeledGraph, queries: DataFrame) -> DataFrame:
     """query_id and asg, numbered as in the pattern (position u - 1 of asg is the image of u)."""
     fronts = level_frontiers(g, queries)
@@ -95,7 +148,7 @@ def level_match(g: LabeledGraph, queries: DataFrame) -> DataFrame:
     done = fronts[0]
     for f in fronts[1:]:
         done = done.unionByName(f)
-    done = done.join(F.broadcast(plan), "query_id").filter("size(asg) = n_vertices")
+    done = done.join(plan, "query_id").filter("size(asg) = n_vertices")
     return done.select("query_id", F.expr("transform(sequence(1, n_vertices), u -> asg[cast(array_position(match_order, u) - 1 as int)])").alias("asg"))
 
 

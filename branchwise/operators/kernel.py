@@ -12,6 +12,7 @@ from __future__ import annotations
 
 import time
 from bisect import bisect_left
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 from branchwise.functions.reasons import fold_reason, prefix_length, reason_reuse, reason_wipeout
@@ -77,16 +78,44 @@ class Result:
     trace: list[tuple]
 
 
-def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict, *, mode: str = "learned", match: str = "prefix", store: str = "slots", policy: str = "last",
+#: Rows that a search holds before it hands them on.
+BATCH = 4096
+#: A condition on several mapped positions: their bits, and a test of the assignment (by position).
+Check = tuple[int, Callable[[list[int]], bool]]
+
+
+def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict, **options) -> Result:
+    """search_rows with all its rows in one list: for small results."""
+    rows: list[tuple[int, ...]] = []
+    search = search_rows(nbr_mask, domains, adjacency, **options)
+    while True:
+        try:
+            rows += next(search)
+        except StopIteration as done:
+            done.value.rows = rows
+            return done.value
+
+
+def _meet(candidates: list[int], near) -> list[int]:
+    """The candidates (sorted) among the neighbours (a set), from the smaller side."""
+    if len(near) * 8 < len(candidates):
+        return sorted(c for c in near if _has(candidates, c))
+    return [c for c in candidates if c in near]
+
+
+def search_rows(nbr_mask: list[int], domains: list[list[int]], adjacency: dict, *, mode: str = "learned", match: str = "prefix", store: str = "slots", policy: str = "last",
                 lookahead: str | None = None, wipeout_choice: str = "first", backjump: bool = False, infeasible_stop: bool = False, injective: bool = True, cap: int | None = None,
-                deadline_ns: int | None = None, trace: bool = False, drop_current: bool = False) -> Result:
-    """domains: sorted candidates by position; adjacency: vertex -> set of neighbours. drop_current reproduces a
-    known wrong reading of the reuse reason and is for tests only."""
+                deadline_ns: int | None = None, checks: tuple[Check, ...] = (), trace: bool = False, drop_current: bool = False) -> Iterator[list[tuple[int, ...]]]:
+    """Yields batches of embeddings and returns a Result without rows. domains: sorted candidates by position; adjacency:
+    vertex -> set of neighbours. A check is made when its last position is mapped; its failure is a reason of its own,
+    all the positions it reads. drop_current reproduces a known wrong reading of the reuse reason and is for tests only."""
     n, table, log = len(nbr_mask), SlotTable(match, policy, store), []
     every = (lookahead or ("next" if mode == "plain" else "all")) == "all"
     learn = mode == "learned"
     rows: list[tuple[int, ...]] = []
-    count = dict.fromkeys(("search_calls", "f_wipeout", "f_reuse", "f_known", "f_child"), 0)
+    count = dict.fromkeys(("search_calls", "f_wipeout", "f_reuse", "f_known", "f_child", "f_check"), 0)
+    due = [[(bits, test) for bits, test in checks if bits.bit_length() == i + 1] for i in range(n)]
+    n_found = 0
     asg, holder, ids = [0] * n, {}, [0] * (n + 1)
     cand, union, found, at = [list(domains)], [0] * (n + 1), [False] * (n + 1), [0] * (n + 1)
     began, capped, dnf, stop, last = time.perf_counter_ns(), False, False, False, 0
@@ -104,8 +133,12 @@ def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict,
                 break
             if level == n:
                 rows.append(tuple(asg))
+                n_found += 1
                 done = (True, 0)
-                if cap is not None and len(rows) >= cap:
+                if len(rows) >= BATCH:
+                    yield rows
+                    rows = []
+                if cap is not None and n_found >= cap:
                     capped = stop = True
             else:
                 mapped = (1 << level) - 1
@@ -113,7 +146,7 @@ def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict,
                     new, near = list(cand[level - 1]), adjacency.get(asg[level - 1], empty)
                     for i in range(level, n):
                         if nbr_mask[level - 1] >> i & 1:
-                            new[i] = [c for c in new[i] if c in near]
+                            new[i] = _meet(new[i], near)
                     del cand[level:]
                     cand.append(new)
                 if every:
@@ -141,6 +174,11 @@ def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict,
                         break
                     continue
                 asg[level] = v
+                if failed := next((bits for bits, test in due[level] if not test(asg)), 0):
+                    count["f_check"] += 1
+                    last = failed
+                    union[level] |= failed
+                    continue
                 if injective:
                     holder[v] = level
                 at[level] = i
@@ -176,8 +214,10 @@ def search_unit(nbr_mask: list[int], domains: list[list[int]], adjacency: dict,
                 count["f_child"] += 1
                 last = reason
                 union[level] |= reason
-    count |= {"n_found": len(rows), "capped": capped, "dnf": dnf, "slot_writes": table.writes, "slot_overwrites": table.overwrites, "slot_hits": table.hits, "slots_used": len(table), "elapsed_ns": time.perf_counter_ns() - began}
-    return Result(rows, count, table, log)
+    if rows:
+        yield rows
+    count |= {"n_found": n_found, "capped": capped, "dnf": dnf, "slot_writes": table.writes, "slot_overwrites": table.overwrites, "slot_hits": table.hits, "slots_used": len(table), "elapsed_ns": time.perf_counter_ns() - began}
+    return Result([], count, table, log)
 
 
 def is_fruitless(nbr_mask: list[int], domains: list[list[int]], adjacency: dict, partial: dict[int, int]) -> bool:

@@ -7,6 +7,8 @@ from __future__ import annotations
 
 from collections import Counter
 
+import numpy as np
+
 from branchwise.plans import ordering
 from branchwise.plans.pattern import PatternGraph
 
@@ -14,20 +16,33 @@ from .candidates import _saturates
 
 
 class LocalGraph:
-    def __init__(self, vids, labels, src, dst):
-        self.label = dict(zip(vids, labels))
-        self.adjacency: dict[int, set] = {}
-        for a, b in zip(src, dst):
-            self.adjacency.setdefault(a, set()).add(b)
+    """vids, labels (codes into names), src, dst, loops: arrays; names: the labels."""
+
+    def __init__(self, vids, labels, src, dst, names, loops=()):
+        named = [names[c] for c in np.asarray(labels).tolist()]
+        self.label = dict(zip(np.asarray(vids).tolist(), named))
+        src, dst = np.asarray(src), np.asarray(dst)
+        order = np.argsort(src, kind="stable")
+        starts = np.flatnonzero(np.concatenate([[True], src[order][1:] != src[order][:-1]])) if len(src) else []
+        self.adjacency: dict[int, set] = {int(src[order[s]]): set(part.tolist()) for s, part in zip(starts, np.split(dst[order], starts[1:]))} if len(src) else {}
+        self.loops = set(np.asarray(loops).tolist())
         self.by_label: dict[str, list[int]] = {}
         for v in sorted(self.label):
             self.by_label.setdefault(self.label[v], []).append(v)
         self.profile = {v: Counter(self.label[w] for w in near) for v, near in self.adjacency.items()}
-        self.pair_counts = Counter((self.label[a], self.label[b]) for a, near in self.adjacency.items() for b in near)
+        self.pair_counts = Counter()
+        for a, profile in self.profile.items():
+            for x, k in profile.items():
+                self.pair_counts[self.label[a], x] += k
 
-    def domains(self, p: PatternGraph, filters: tuple[str, ...] = ()) -> dict[int, list[int]]:
+    def domains(self, p: PatternGraph, filters: tuple[str, ...] = (), allowed: dict[int, set] | None = None) -> dict[int, list[int]]:
+        """allowed: by vertex of the pattern, the only images it may have."""
         none: set = set()
         dom = {u: list(self.by_label.get(x, ())) for u, x in enumerate(p.labels, 1)}
+        for u in p.loops:
+            dom[u] = [v for v in dom[u] if v in self.loops]
+        for u, only in (allowed or {}).items():
+            dom[u] = [v for v in dom[u] if v in only]
         near = {u: sorted(p.neighbors(u)) for u in dom}
         for name in filters:
             if name == "degree":
@@ -41,8 +56,10 @@ class LocalGraph:
                     other = set(dom[b])
                     dom[a] = [v for v in dom[a] if not other.isdisjoint(self.adjacency.get(v, none))]
             elif name == "bipartite":
-                sets = {u: set(d) for u, d in dom.items()}
-                dom = {u: [v for v in d if _saturates(near[u], {w: sorted(self.adjacency.get(v, none) & sets[w]) for w in near[u]})] for u, d in dom.items()}
+                size = None
+                while size != (size := sum(map(len, dom.values()))):  # until a round drops nothing
+                    sets = {u: set(d) for u, d in dom.items()}
+                    dom = {u: [v for v in d if _saturates(near[u], {w: sorted(self.adjacency.get(v, none) & sets[w]) for w in near[u]})] for u, d in dom.items()}
             else:
                 raise ValueError(f"no filter {name}")
         return dom

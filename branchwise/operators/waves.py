@@ -9,6 +9,8 @@ values themselves. A closed row stays as a leaf, since its parent's fold needs i
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,6 +19,8 @@ from branchwise.plans.pattern import PatternGraph
 from .candidates import cut
 from .graph import LabeledGraph
 
+#: Sets of positions a row of a wave is probed with.
+PROBES = 16
 NOGOODS = "k int, reason bigint, vals array<bigint>"
 
 
@@ -51,7 +55,8 @@ def traced_level(g, p, order, k, frontier, nogoods: DataFrame | None) -> DataFra
     if nogoods is None:
         return rows.select("asg", "new", F.when(F.col("r_reuse").isNotNull(), F.lit("REUSE")).alias("cause"), F.col("r_reuse").alias("reason"))
     known = nogoods.filter(F.col("k") == k)
-    masks = [r.reason for r in known.select("reason").distinct().collect()]  # at most 2^(k + 1) subsets of positions
+    # A row is probed once per set of positions: only with those that the most nogoods name. What is left out prunes nothing.
+    masks = [r.reason for r in known.groupBy("reason").count().orderBy(F.desc("count"), "reason").limit(PROBES).collect()]
     if not masks:
         return rows.select("asg", "new", F.when(F.col("r_reuse").isNotNull(), F.lit("REUSE")).alias("cause"), F.col("r_reuse").alias("reason"))
     full = rows.withColumn("all", F.array_append("asg", F.col("new")))
@@ -63,7 +68,7 @@ def traced_level(g, p, order, k, frontier, nogoods: DataFrame | None) -> DataFra
 
 
 def fold_up(p: PatternGraph, order, k: int, frontier: DataFrame, level: DataFrame, below: DataFrame | None) -> DataFrame:
-    """(asg, found, reason) of the frontier at k from its candidates and, for alive ones, from what was found below."""
+    """(asg, found, reason, cause) of the frontier at k from its candidates and, for alive ones, from what was found below."""
     masks = p.nbr_mask(order)
     mapped = (1 << k) - 1
     if below is None:
@@ -75,7 +80,8 @@ def fold_up(p: PatternGraph, order, k: int, frontier: DataFrame, level: DataFram
     union = settled.groupBy("asg").agg(F.bool_or("found").alias("found"), F.bit_or(F.when(~F.col("found"), F.col("reason")).otherwise(0)).alias("u"))
     wipe = masks[k] & mapped
     folded = F.when(F.col("u").isNull(), F.lit(wipe)).when(F.col("u").bitwiseAND(F.lit(1 << k)) != 0, F.col("u").bitwiseOR(F.lit(masks[k])).bitwiseAND(F.lit(mapped))).otherwise(F.col("u"))
-    return frontier.join(union, "asg", "left").select("asg", F.coalesce("found", F.lit(False)).alias("found"), folded.cast("bigint").alias("reason"))
+    cause = F.when(F.col("u").isNull() & F.col("found").isNull(), F.lit("WIPEOUT")).otherwise(F.lit("CHILD"))
+    return frontier.join(union, "asg", "left").select("asg", F.coalesce("found", F.lit(False)).alias("found"), folded.cast("bigint").alias("reason"), cause.alias("cause"))
 
 
 def nogoods_of(k: int, folded: DataFrame) -> DataFrame:
@@ -116,16 +122,18 @@ def wave_match(g: LabeledGraph, p: PatternGraph, split_level: int = 2, waves: in
 
 
 def explain_empty(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None = None) -> DataFrame:
-    """(level, cause, reason, rows): why assignments fail, over all of them (one wave, from the first position)."""
+    """(level, cause, reason, rows): why assignments fail, over all of them (one wave, from the first position). A row at a
+    level has so many positions mapped; WIPEOUT has no candidate for the next, CHILD has some and each of them fails,
+    REUSE is a candidate that is held already."""
     order = order or tuple(range(1, p.n + 1))
     spark = g.vertices.sparkSession
     fronts, levels = [spark.createDataFrame([([],)], "asg array<bigint>")], []
     for k in range(p.n):
         levels.append(cut(traced_level(g, p, order, k, fronts[-1], None)))
         fronts.append(levels[-1].filter("cause IS NULL").select(F.array_append("asg", F.col("new")).alias("asg")))
-    out, below = None, None
+    parts, below = [], None
     for k in range(p.n - 1, -1, -1):
         below = cut(fold_up(p, order, k, fronts[k], levels[k], below))
-        part = below.filter("NOT found").groupBy(F.lit(k).alias("level"), "reason").agg(F.count(F.lit(1)).alias("rows"))
-        out = part if out is None else out.unionByName(part)
-    return out
+        parts.append(below.filter("NOT found").groupBy(F.lit(k).alias("level"), "cause", "reason").agg(F.count(F.lit(1)).alias("rows")))
+        parts.append(levels[k].filter("cause = 'REUSE'").groupBy(F.lit(k + 1).alias("level"), "cause", "reason").agg(F.count(F.lit(1)).alias("rows")))
+    return reduce(DataFrame.unionByName, parts) if parts else spark.createDataFrame([], "level int, cause string, reason bigint, rows bigint")

@@ -13,20 +13,23 @@ class PatternError(ValueError):
 
 @dataclass(frozen=True)
 class PatternGraph:
-    """Vertices are numbered 1..n; edges are pairs of numbers, undirected."""
+    """Vertices are numbered 1..n; edges are pairs of numbers, undirected. An edge from a vertex to itself is kept in
+    ``loops``: it asks for a data vertex with such an edge."""
 
     labels: tuple[str, ...]
     edges: tuple[tuple[int, int], ...]
+    loops: tuple[int, ...] = ()
 
     def __post_init__(self):
         n = len(self.labels)
         seen = set()
-        for a, b in self.edges:
-            if not (1 <= a <= n and 1 <= b <= n) or a == b:
+        for a, b in (*self.edges, *((u, u) for u in self.loops)):
+            if not (1 <= a <= n and 1 <= b <= n):
                 raise PatternError(f"edge {(a, b)} does not join two of {n} vertices")
             seen.add((min(a, b), max(a, b)))
         object.__setattr__(self, "labels", tuple(map(str, self.labels)))
-        object.__setattr__(self, "edges", tuple(sorted(seen)))
+        object.__setattr__(self, "edges", tuple(sorted((a, b) for a, b in seen if a != b)))
+        object.__setattr__(self, "loops", tuple(sorted(a for a, b in seen if a == b)))
 
     @property
     def n(self) -> int:
@@ -54,7 +57,7 @@ class PatternGraph:
         return cls(tuple(v["label"] for v in sorted(row["vertices"], key=lambda v: v["u"])), tuple((e["a"], e["b"]) for e in row["edges"]))
 
     def to_row(self, query_id: int, order: tuple[int, ...] | None = None) -> tuple:
-        return query_id, self.n, [(i + 1, x) for i, x in enumerate(self.labels)], [tuple(e) for e in self.edges], list(order or range(1, self.n + 1))
+        return query_id, self.n, [(i + 1, x) for i, x in enumerate(self.labels)], [*self.edges, *((u, u) for u in self.loops)], list(order or range(1, self.n + 1))
 
     def neighbors(self, u: int) -> set[int]:
         return {b for a, b in self.edges if a == u} | {a for a, b in self.edges if b == u}
@@ -95,8 +98,8 @@ class PatternGraph:
 
     def automorphisms(self) -> list[tuple[int, ...]]:
         """Renumberings that keep labels and edges; meant for small patterns."""
-        edges = set(self.edges)
-        by_label = [tuple(i for i, x in enumerate(self.labels) if x == y) for y in self.labels]
+        edges, loops = set(self.edges), set(self.loops)
+        by_label = [tuple(i for i, x in enumerate(self.labels) if x == y and (i + 1 in loops) == (k + 1 in loops)) for k, y in enumerate(self.labels)]
         return [p for p in permutations(range(self.n)) if all(p[i] in by_label[i] for i in range(self.n)) and all((min(p[a - 1], p[b - 1]) + 1, max(p[a - 1], p[b - 1]) + 1) in edges for a, b in edges)]
 
 

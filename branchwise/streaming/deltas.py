@@ -24,14 +24,21 @@ def windowed_activity(events: DataFrame, kind: str = "tumbling", size: str = "10
     return rows.groupBy(w.alias("w"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total"))
 
 
-def edge_stream(events: DataFrame, size: str = "1 minute", late: str = "2 minutes") -> DataFrame:
-    """(a, b) of users active with one event type in one window, from a stream or a table: a watermark bounds the state."""
+def edge_stream(events: DataFrame, size: str = "1 minute", late: str = "2 minutes", salts: int = 4) -> DataFrame:
+    """(a, b) of users active with one event type in one window, from a stream or a table: a watermark bounds the state.
+    Users are told apart once per window; of a pair of sides one is dealt over salts, so that a busy window is several tasks."""
     rows = events.withColumn("at", F.col("ts").cast("timestamp"))
     if events.isStreaming:
         rows = rows.withWatermark("at", late)
-    seen = rows.groupBy(F.window("at", size).alias("w"), "event_type").agg(F.array_sort(F.collect_set("user_id")).alias("users"))
-    a = seen.select(F.posexplode("users").alias("i", "a"), "users")
-    return a.select("a", F.explode(F.slice("users", F.col("i") + 2, F.size("users"))).alias("b"))
+    seen = rows.select(F.window("at", size).alias("w"), "event_type", "user_id").select("w", "event_type", "user_id").dropDuplicates(["w", "event_type", "user_id"])
+    a = seen.select("w", "event_type", F.col("user_id").alias("a")).withColumn("salt", F.pmod(F.xxhash64("a"), F.lit(salts)).cast("int"))
+    b = seen.select("w", "event_type", F.col("user_id").alias("b")).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return a.join(b, ["w", "event_type", "salt"]).filter("a < b").select("a", "b")
+
+
+def dropped_late(query) -> int:
+    """Rows that a streaming query has dropped as too late, by its own progress reports."""
+    return sum(int(s.get("numRowsDroppedByWatermark") or 0) for p in query.recentProgress for s in p["stateOperators"])
 
 
 def delta_match(old: LabeledGraph, delta: DataFrame, p: PatternGraph) -> DataFrame:

@@ -104,7 +104,55 @@ def test_patterns_and_orders():
     assert len(p.automorphisms()) == 2
     assert PatternGraph.from_row({"vertices": [{"u": 2, "label": "b"}, {"u": 1, "label": "a"}], "edges": [{"a": 1, "b": 2}]}) == PatternGraph(("a", "b"), ((1, 2),))
     with pytest.raises(PatternError):
-        PatternGraph(("a",), ((1, 1),))
+        PatternGraph(("a",), ((1, 2),))
+    assert PatternGraph(("a",), ((1, 1),)) == PatternGraph(("a",), (), (1,))
+    order = ordering.cheapest_joins(p, {"X": 100, "Y": 2}, {("X", "Y"): 3, ("Y", "X"): 3, ("X", "X"): 800})
+    assert ordering.validate_order(p, order)[0] == 2  # the rare label first
     counts, pairs = {1: 5, 2: 1, 3: 9}, {("X", "Y"): 3, ("Y", "X"): 3, ("X", "X"): 8}
     for order in (ordering.given(p), ordering.smallest_domain_first(p, counts), ordering.join_size_greedy(p, counts, {k: v / 9 for k, v in pairs.items()}), ordering.tree_path_first(p, counts, pairs), ordering.dense_then_tree_then_leaf(p), ordering.rare_edge_spanning(p, pairs)):
         ordering.validate_order(p, order)
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_conditions_on_several_positions(seed):
+    """A failed comparison is a reason of its own: nothing is lost, and what is learnt holds under the conditions."""
+    p, label, edges = random_case(seed)
+    if p.n < 2:
+        return
+    rng = random.Random(seed)
+    a, b = rng.sample(range(p.n), 2)
+    adjacency = {}
+    for x, y in edges:
+        adjacency.setdefault(x, set()).add(y)
+        adjacency.setdefault(y, set()).add(x)
+    domains = [sorted(v for v, x in label.items() if x == y) for y in p.labels]
+    checks = ((1 << a | 1 << b, lambda asg: asg[a] < asg[b]),)
+    want = [r for r in search_unit(p.nbr_mask(), domains, adjacency, mode="plain").rows if r[a] < r[b]]
+    for o in OPTIONS:
+        assert search_unit(p.nbr_mask(), domains, adjacency, checks=checks, **o).rows == want, o
+
+
+def test_patterns_of_more_than_63_vertices():
+    """A long path in a ring: reasons are sets of more positions than a 64-bit number has."""
+    n = 70
+    ring = {i: {(i + 1) % 80, (i - 1) % 80} for i in range(80)}
+    p = PatternGraph(tuple("a" * n), tuple((i, i + 1) for i in range(1, n)))
+    r = search_unit(p.nbr_mask(), [list(range(80))] * n, ring, cap=3)
+    assert len(r.rows) == 3 and all(len(set(row)) == n for row in r.rows)
+
+
+def test_rows_come_in_batches(monkeypatch):
+    from branchwise.operators import kernel
+
+    monkeypatch.setattr(kernel, "BATCH", 5)
+    p = PatternGraph(tuple("aa"), ())
+    sizes = [len(b) for b in kernel.search_rows(p.nbr_mask(), [list(range(6))] * 2, {})]
+    assert sum(sizes) == 30 and max(sizes) == 5
+
+
+def test_refinement_from_either_side():
+    from branchwise.operators.kernel import _meet
+
+    few, many = {3, 500, 77, 9_000}, list(range(0, 10_000, 3))
+    assert _meet(many, few) == [3, 9_000] == [c for c in many if c in few]
+    assert _meet([1, 2, 3], set(range(2, 1000))) == [2, 3]

@@ -1,8 +1,13 @@
 """A corpus pipeline: quality rules, near duplicates, personal data, mixing, packing.
 
 Each stage takes (spark, docs, sf_dir) and works on all rows it is given; all but the last
-return the columns of documents. The mix repeats documents of scarce sources, so a doc_id may
-come several times to packing, once per copy.
+return the columns of documents, and further columns of theirs, with the names and types they came with. The mix repeats
+documents of scarce sources, so a doc_id may come several times to packing, once per copy.
+
+Defined cases: a null or empty text has no words, so the first stage drops it; a null lang or source is a group and a
+source of its own; a null doc_id is kept as it is and ordered first; equal rows are copies, of which the second stage keeps
+one; an empty table, or one whose rows are all dropped, gives no row in any stage; n_chars is counted anew once personal
+data is replaced.
 """
 
 from __future__ import annotations

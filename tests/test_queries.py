@@ -96,10 +96,11 @@ def test_experiment_measures(spark):
 
 def test_ratios_leave_out_unfinished_queries(spark):
     rows = [(1, 4, "a", 90, 900, 1, False), (1, 4, "b", 30, 100, 1, False), (2, 4, "a", 10, 10, 0, True), (2, 4, "b", 40, 50, 1, False), (3, 6, "a", 5, 5, 0, True), (3, 6, "b", 5, 5, 0, True)]
-    stats = spark.createDataFrame(rows, "query_id int, n_vertices int, method string, search_calls bigint, elapsed_ns bigint, n_found bigint, dnf boolean")
+    stats = spark.createDataFrame(rows, "query_id int, n_vertices int, method string, search_calls bigint, elapsed_ns bigint, n_found bigint, dnf boolean").withColumn("prep_ns", F.lit(100))
     found = {r["size"]: r for r in workloads.compare(stats, "a", "b").collect()}
     assert (found[4].queries, found[4].finished, found[4].call_ratio, found[4].speedup, found[4].dnf_base, found[4].dnf_other) == (2, 1, 3.0, 9.0, 1, 0)
     assert (found[6].finished, found[6].call_ratio, found[6].speedup) == (0, None, None)
+    assert (found[4].speedup_with_prep, found[4].best_speedup, found[4].overhead, found[4].more_calls) == (5.0, 5.0, None, 0)
 
 
 def test_wave_nogoods_are_sound(spark):

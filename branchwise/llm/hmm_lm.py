@@ -35,17 +35,18 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import WORD_RE, compact, documents, id_mod, settled, sliced
 
-OWN, SHARED, COARSE_OWN, COARSE_SHARED, SEGMENT = 4096, 1024, 256, 256, 256
+OWN, SHARED, COARSE_OWN, COARSE_SHARED, SEGMENT = 4096, 1024, 256, 256, 512
 END = "\n"  # no word has it
 ALPHA = 0.1
 KAPPA = 5.0
 #: A block ends once it has so many characters of text. Small row groups, as a block is a large row.
-BLOCK = 4_000_000
+BLOCK = 12_000_000
 WRITER = {"parquet.block.size": str(8 << 20), "compression": "zstd"}
 #: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, eight to a number.
 STEPS = 255
@@ -61,8 +62,8 @@ def ending(word: str) -> int:
 
 
 def encode(docs: DataFrame, held_out) -> DataFrame:
-    """One row a block: ids, held_out and sizes of its texts; words, the first being the end token, and n, how often the
-    training texts hold each; seq: per token the place of its word, all low two bytes before all high ones."""
+    """One row a block: ids, held_out and sizes of its texts; words, the first being the end token, endings (two bytes a word)
+    and n, how often the training texts hold each; seq: per token the place of its word, all low two bytes before all high ones."""
     kind = docs.schema["doc_id"].dataType.simpleString()
 
     def run(batches):
@@ -72,16 +73,17 @@ def encode(docs: DataFrame, held_out) -> DataFrame:
         ids, held, seqs, place, size = [], [], [], {END: 0}, 0
 
         def out(id_type, block):
+            ends = np.array([ending(w) for w in place], "<u2")
             flat = np.concatenate(seqs)
             sizes = np.array([len(x) for x in seqs], np.int64)
             n = np.bincount(flat[np.repeat(~np.array(held), sizes)], minlength=len(place))
             one = {
                 "block": pa.array([block], pa.int64()), "ids": pa.array([ids], pa.list_(id_type)), "held_out": pa.array([held], pa.list_(pa.bool_())), "sizes": pa.array([sizes], pa.list_(pa.int64())),
-                "words": pa.array([list(place)], pa.list_(pa.string())), "n": pa.array([n], pa.list_(pa.int64())), "seq": pa.array([flat.astype("<u2").tobytes() + (flat >> 16).astype("<u2").tobytes()], pa.binary()),
+                "words": pa.array([list(place)], pa.list_(pa.string())), "endings": pa.array([ends.tobytes()], pa.binary()), "n": pa.array([n], pa.list_(pa.int64())), "seq": pa.array([flat.astype("<u2").tobytes() + (flat >> 16).astype("<u2").tobytes()], pa.binary()),
             }
             return pa.RecordBatch.from_arrays(list(one.values()), names=list(one))
 
-        for b in sliced(batches, most=BLOCK):
+        for b in sliced(batches):
             id_type = b.column(0).type
             for i, h, text in zip(*(b.column(k).to_pylist() for k in range(3))):
                 words = tokens_of(text or "")
@@ -97,7 +99,7 @@ def encode(docs: DataFrame, held_out) -> DataFrame:
         if ids:
             yield out(id_type, block)
 
-    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"block bigint, ids array<{kind}>, held_out array<boolean>, sizes array<bigint>, words array<string>, n array<bigint>, seq binary")
+    return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"block bigint, ids array<{kind}>, held_out array<boolean>, sizes array<bigint>, words array<string>, endings binary, n array<bigint>, seq binary")
 
 
 def word_counts(blocks: DataFrame) -> DataFrame:
@@ -117,9 +119,9 @@ class Vocabulary:
     def total(self) -> float:
         return self.n + ALPHA * (self.v + 1)
 
-    def classes(self, words: list[str]) -> np.ndarray:
-        own = self.own
-        return np.array([own[w] if w in own else 1 + ending(w) for w in words], np.int64)
+    def classes(self, words: pa.Array, endings: np.ndarray) -> np.ndarray:
+        found = pc.index_in(words, pa.array(list(self.own), pa.string())).fill_null(-1).to_numpy()
+        return np.where(found < 0, 1 + endings.astype(np.int64), np.array([*self.own.values(), 0])[found])
 
     def coarse(self) -> np.ndarray:
         """Coarse class of each class: the most frequent own ones keep theirs, the others share by their ending."""
@@ -167,16 +169,26 @@ def tokens_in(block: dict) -> tuple[np.ndarray, np.ndarray]:
     return raw[:m] | raw[m:].astype(np.int64) << 16, np.concatenate([[0], np.cumsum(block["sizes"])]).astype(np.int64)
 
 
-def training_blocks(batches, columns=("held_out", "sizes", "words", "n", "seq")):
-    """Each block's words and counts, and the places and offsets of its training texts."""
+@dataclass
+class Training:
+    """What a block has for training: its words, their endings and counts; places and offsets of its training texts."""
+
+    words: pa.Array
+    endings: np.ndarray
+    n: np.ndarray
+    flat: np.ndarray
+    off: np.ndarray
+
+
+def training_blocks(batches):
     for b in batches:
         for i in range(b.num_rows):
-            row = {c: b.column(b.schema.get_field_index(c))[i].as_py() for c in columns}
-            flat, off = tokens_in(row)
-            keep = ~np.array(row["held_out"])
-            flat = flat[np.repeat(keep, row["sizes"])]
+            of = lambda c: b.column(b.schema.get_field_index(c))[i]  # noqa: B023, E731
+            sizes, keep = of("sizes").values.to_numpy(), ~of("held_out").values.to_numpy(zero_copy_only=False)
+            flat, _ = tokens_in({"seq": of("seq").as_buffer(), "sizes": sizes})
+            flat = flat[np.repeat(keep, sizes)]
             if len(flat):
-                yield row["words"], np.array(row["n"], np.int64), flat, np.concatenate([[0], np.cumsum(np.array(row["sizes"], np.int64)[keep])])
+                yield Training(of("words").values, np.frombuffer(of("endings").as_buffer(), "<u2"), of("n").values.to_numpy(), flat, np.concatenate([[0], np.cumsum(sizes[keep])]))
 
 
 def first_model(blocks: DataFrame, vocab: Vocabulary, states: int, rounds: int = 150, seed: int = 7) -> Model:
@@ -188,10 +200,10 @@ def first_model(blocks: DataFrame, vocab: Vocabulary, states: int, rounds: int =
     def run(batches):
         vocab, coarse = box.value
         total = np.zeros(k * k)
-        for words, _, flat, off in training_blocks(batches):
-            c = coarse[vocab.classes(words)][flat]
+        for t in training_blocks(batches):
+            c = coarse[vocab.classes(t.words, t.endings)][t.flat]
             inside = np.ones(max(len(c) - 1, 0), bool)
-            inside[off[1:-1] - 1] = False
+            inside[t.off[1:-1] - 1] = False
             total += np.bincount((c[:-1] * k + c[1:])[inside], minlength=k * k)
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], names=["pair", "n"])
@@ -282,7 +294,7 @@ def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int =
     s, parts = len(model.start), cut(flat, off, model, np.float32, segment)
     order = np.argsort(-parts.size, kind="stable")
     begin, trans, emit, fit = np.zeros(s), np.zeros((s, s)), np.zeros(model.emit.shape), 0.0
-    table, move = model.emit.astype(np.float32), model.trans.astype(np.float32)
+    table, move, one = model.emit.astype(np.float32), model.trans.astype(np.float32), np.ones((s, 1), np.float32)
     for p in range(0, len(order), rows):
         which = order[p : p + rows]
         at, n, first = parts.start[which], parts.size[which], parts.first[which]
@@ -291,28 +303,28 @@ def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int =
         for t, m in enumerate(live):
             e = table[flat[at[:m] + t]]
             a = e * (parts.pre[which] if t == 0 else alpha[-1][:m] @ move)
-            z = a.sum(1, keepdims=True)
+            z = a @ one
             fit += float(np.log(z).sum())
             alpha.append(a / z), seen.append(e)
         beta = parts.leave[which]
         for t in range(len(live) - 1, -1, -1):
             m = live[t]
-            gamma = _normal(alpha[t] * beta[:m])
+            gamma = alpha[t] * beta[:m]
+            gamma /= gamma @ one
             back = seen[t] * beta[:m]
             if t:
                 come = alpha[t - 1][:m]
             else:
                 begin += gamma[first].sum(0)
                 come, back = parts.come[which][~first], back[~first]
-            z = ((come @ move) * back).sum(1, keepdims=True)
-            trans += (come / z).T.astype(float) @ back
+            z = ((come @ move) * back) @ one
+            trans += (come / z).T @ back
             if t:
-                beta[:m] = _normal(back @ move.T)
+                beta[:m] = (back / z) @ move.T
             alpha[t] = gamma
-        symbols, place = np.unique(np.concatenate([flat[at[:m] + t] for t, m in enumerate(live)]), return_inverse=True)
-        g = np.concatenate(alpha)
-        for k in range(s):
-            emit[symbols, k] += np.bincount(place, g[:, k], len(symbols))
+        symbols = np.concatenate([flat[at[:m] + t] for t, m in enumerate(live)])
+        for k, g in enumerate(np.concatenate(alpha).T):
+            emit[:, k] += np.bincount(symbols, g, len(emit))
     return begin, trans * model.trans, emit, fit
 
 
@@ -325,9 +337,9 @@ class States:
     endings: np.ndarray
     share: np.ndarray
 
-    def local(self, words: list[str], n: np.ndarray, counts: np.ndarray) -> Model:
-        """The model whose symbols are the given words."""
-        prior = self.endings[[ending(w) for w in words]]
+    def local(self, ends: np.ndarray, n: np.ndarray, counts: np.ndarray) -> Model:
+        """The model whose symbols are words with the given endings."""
+        prior = self.endings[ends]
         return Model(self.start, self.trans, (counts + KAPPA * prior) / (n[:, None] + KAPPA) / self.share)
 
 
@@ -339,8 +351,8 @@ def tied_round(blocks: DataFrame, model: Model, vocab: Vocabulary) -> tuple[Mode
     def run(batches):
         model, vocab = box.value
         total = np.zeros(s + s * s + k * s + 1)
-        for words, _, flat, off in training_blocks(batches):
-            begin, trans, emit, fit = expected_counts(vocab.classes(words)[flat], off, model)
+        for t in training_blocks(batches):
+            begin, trans, emit, fit = expected_counts(vocab.classes(t.words, t.endings)[t.flat], t.off, model)
             total += np.concatenate([begin, trans.ravel(), emit.ravel(), [fit]])
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(total))), pa.array(total)], names=["key", "value"])
 
@@ -381,13 +393,13 @@ def word_round(blocks: DataFrame, model: Model, vocab: Vocabulary, rows: int) ->
     def run(batches):
         model, vocab = box.value
         rest = np.zeros(s * (s + 1))
-        for words, n, flat, off in training_blocks(batches):
-            begin, trans, emit, _ = expected_counts(flat, off, Model(model.start, model.trans, model.emit[vocab.classes(words)]))
+        for t in training_blocks(batches):
+            begin, trans, emit, _ = expected_counts(t.flat, t.off, Model(model.start, model.trans, model.emit[vocab.classes(t.words, t.endings)]))
             rest += np.concatenate([begin, trans.ravel()])
-            at = np.flatnonzero(n)
+            at = np.flatnonzero(t.n)
             zeros = np.zeros(len(at), np.int64)
-            cols = [zeros, [words[i] for i in at], n[at], zeros.astype(float), *packed(emit[at], n[at])]
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, (_, t) in zip(cols, kinds)], names=[k for k, _ in kinds])
+            cols = [zeros, t.words.take(pa.array(at)), t.n[at], zeros.astype(float), *packed(emit[at], t.n[at])]
+            yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, k) for c, (_, k) in zip(cols, kinds)], names=[k for k, _ in kinds])
         # Keys: 0 a word; below it the starts, then the moves.
         zeros = np.zeros(len(rest), np.int64)
         cols = [-1 - np.arange(len(rest)), [""] * len(rest), zeros, rest, *([zeros] * len(packs(s)))]
@@ -443,28 +455,30 @@ def score(blocks: DataFrame, stats: DataFrame, states: States, vocab: Vocabulary
     kind = blocks.schema["ids"].dataType.elementType.simpleString()
     s = len(states.start)
     words = blocks.select(F.col("block").alias("of"), F.posexplode("words").alias("place", "word"))
-    met = words.join(stats, "word", "left").groupBy("of")
+    # Of a word only what its block needs travels on; stats of a partition are a small hash table, so the many rows are not sorted.
+    met = words.join(stats.hint("shuffle_hash"), "word", "left").select("of", "place", "n", *packs(s)).groupBy("of")
 
     def run(left, right):
         states, total = box.value
         if not left.num_rows:
             return pa.table({"doc_id": pa.array([], left.schema.field("ids").type.value_type), "held_out": pa.array([], pa.bool_()), "n_tokens": pa.array([], pa.int64()), "n_known": pa.array([], pa.int64()), "base": pa.array([], pa.float64()), "hmm": pa.array([], pa.float64())})
         flat, off = tokens_in({"seq": left["seq"][0].as_buffer(), "sizes": left["sizes"].combine_chunks().flatten().to_numpy()})
-        order = np.argsort(right["place"].to_numpy(), kind="stable")
-        n = right["n"].fill_null(0).to_numpy()
-        counts = unpacked([right[c].fill_null(0).to_numpy() for c in packs(s)], n, s)
-        model = states.local(right["word"].to_pylist(), n, counts)
-        model.emit, n = model.emit[order], n[order]
+        place = right["place"].to_numpy()
+        n, shares = np.zeros(len(place), np.int64), [np.zeros(len(place), np.int64) for _ in packs(s)]
+        n[place] = right["n"].fill_null(0).to_numpy()
+        for c, x in zip(packs(s), shares):
+            x[place] = right[c].fill_null(0).to_numpy()
+        model = states.local(np.frombuffer(left["endings"][0].as_buffer(), "<u2"), n, unpacked(shares, n, s))
         known = np.add.reduceat((n > 0)[flat], off[:-1], dtype=np.int64)
         base = np.add.reduceat(np.log10((n + ALPHA) / total)[flat], off[:-1])
         given = [left[c].combine_chunks().flatten() for c in ("ids", "held_out", "sizes")]
         return pa.Table.from_arrays([*given, pa.array(known), pa.array(base), pa.array(forward(flat, off, model) / math.log(10))], names=["doc_id", "held_out", "n_tokens", "n_known", "base", "hmm"])
 
-    texts = blocks.select("block", "ids", "held_out", "sizes", "seq").groupBy("block")
+    texts = blocks.select("block", "ids", "held_out", "sizes", "endings", "seq").groupBy("block")
     return texts.cogroup(met).applyInArrow(run, f"doc_id {kind}, held_out boolean, n_tokens bigint, n_known bigint, base double, hmm double")
 
 
-def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 4, gain: float = 0.01) -> DataFrame:
+def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 2, gain: float = 0.01) -> DataFrame:
     blocks = settled(encode(docs, held_out), "lm-blocks", **WRITER)
     counts = settled(word_counts(blocks), "lm-counts")
     vocab = vocabulary(counts)

@@ -380,6 +380,124 @@ def test_classifier(spark):
     assert sum(a == b for a, b in known) >= 0.9 * len(known)
 
 
+def discriminant_by_numpy(x, y, pool=0.05, ridge=0.02):
+    """Scores of all rows from the definition: densities by determinant and inverse, no Cholesky, no sums by cell."""
+    parts = [x[y == k] for k in (0, 1)]
+    covs = [np.cov(p.T, bias=True) for p in parts]
+    pooled = sum(len(p) * c for p, c in zip(parts, covs)) / sum(map(len, parts))
+    out = []
+    for p, c in zip(parts, covs):
+        c = (1 - pool) * c + pool * pooled
+        c = (1 - ridge) * c + ridge * np.diag(np.diag(c)) + 1e-4 * np.eye(len(c))
+        out.append(lambda z, m=p.mean(0), i=np.linalg.inv(c), d=np.linalg.slogdet(c)[1]: -0.5 * (np.einsum("ij,jk,ik->i", z - m, i, z - m) + d))
+    return lambda z: out[1](z) - out[0](z)
+
+
+def test_classifier_by_numpy(spark, rows):
+    """Densities of held-out rows as numpy gives them from the training rows, and accuracy on rows that were never seen."""
+    labels = {r.doc_id: r.quality for r in spark.read.parquet(f"{DATA}/labels.parquet").collect() if r.quality in (0, 1)}
+    held = lambda i: zlib.crc32(str(i).encode()) % 4 == 2
+    train = [(quality_classifier.features(t), labels[i]) for i, t in rows if i in labels and not held(i)]
+    difference = discriminant_by_numpy(np.array([x for x, _ in train]), np.array([y for _, y in train]))
+    features = quality_classifier.featurize(spark.createDataFrame(rows, "doc_id bigint, text string"))
+    model = quality_classifier.fit(quality_classifier.train_rows(features, spark.read.parquet(f"{DATA}/labels.parquet"), quality_classifier.id_mod("doc_id", 4) == 2))
+    unseen = [(i, t) for i, t in rows if held(i)]
+    z = np.array([quality_classifier.features(t) for _, t in unseen])
+    assert model.difference(z) == pytest.approx(difference(z), rel=1e-6, abs=1e-6)
+    scores = {r.doc_id: r.score for r in quality_classifier.score(features, model).collect()}
+    want = 1 / (1 + np.exp(-np.clip(model.slope * np.arcsinh(difference(z) / 2) + model.shift, -60, 60)))
+    assert [scores[i] for i, _ in unseen] == pytest.approx(want)
+    right = [(scores[i] >= 0.7) == labels[i] for i, _ in unseen if i in labels]
+    assert len(right) >= 10 and sum(right) >= 0.9 * len(right)
+
+
+def test_classifier_without_labels_or_classes(spark, odd):
+    """Null labels and ids don't train; without two classes the score is the share of label 1, one half without labels."""
+    found = quality_classifier.featurize(odd)
+    for labels, share in (([], 0.5), ([(1, None), (None, 1)], 0.5), ([(1, 1), (3, 1), (4, 1)], 1.0), ([(1, 0), (3, 0)], 0.0)):
+        df = spark.createDataFrame(labels, "doc_id bigint, quality int")
+        got = quality_classifier.score(found, quality_classifier.fit(quality_classifier.train_rows(found, df))).collect()
+        assert len(got) == len(ODD) and {r.score for r in got} == {share}
+
+
+def test_near_counts_of_odd_and_empty_tables(spark, odd, empty):
+    asked = fingerprints.F.col("doc_id") % 2 == 0
+    assert fingerprints.near_counts(fingerprints.fingerprint_documents(empty), asked).count() == 0
+    fps = [(r.doc_id, r.fp) for r in fingerprints.fingerprint_documents(odd).collect()]
+    for radius in (0, 3):
+        found = {r.fp: r.n_near for r in fingerprints.near_counts(spark.createDataFrame(fps, "doc_id bigint, fp bigint"), asked, radius).collect()}
+        assert found == {f: sum(((f ^ g) % 2**64).bit_count() <= radius for _, g in fps) for i, f in fps if i is not None and i % 2 == 0}
+    with pytest.raises(ValueError):
+        fingerprints.near_counts(fingerprints.fingerprint_documents(odd), asked, 6, 6)
+
+
+def best_fit_by_brute_force(lengths, cap):
+    """Every open sequence is looked at for every piece, longest first; ties go to the oldest residual."""
+    bins, out = [], {}
+    for i in sorted(range(len(lengths)), key=lambda i: (-lengths[i], i)):
+        n = int(lengths[i])
+        shares = (1 / cap.tokens, 1 / cap.documents, 1 / cap.attention)
+        open_ = [(sum(w * ((r - d) * s) ** 2 for w, r, d, s in zip(cap.weights, left, (n, 1, n * n), shares)), b) for b, left in enumerate(bins) if all(r >= d for r, d in zip(left, (n, 1, n * n)))]
+        if open_:
+            least = min(v for v, _ in open_)
+            b = next(b for v, b in open_ if v == least)
+            bins[b] = [r - d for r, d in zip(bins[b], (n, 1, n * n))]
+        else:
+            b = len(bins)
+            bins.append([cap.tokens - n, cap.documents - 1, cap.attention - n * n])
+        out[i] = b
+    return bins, out
+
+
+def test_best_fit_chooses_as_brute_force_does():
+    rng = np.random.default_rng(5)
+    for cap in (packing.Capacity(), packing.Capacity(1024, 3, 400_000), packing.Capacity(300, 9, 20_000)):
+        lengths = rng.integers(1, cap.piece, 400)
+        seq, _ = packing.pack(lengths, cap)
+        bins, _ = best_fit_by_brute_force(lengths, cap)
+        left = lambda s: (cap.tokens - int(lengths[seq == s].sum()), cap.documents - int((seq == s).sum()), cap.attention - int((lengths[seq == s].astype(int) ** 2).sum()))  # noqa: B023, E731
+        assert sorted(left(s) for s in set(seq.tolist())) == sorted(map(tuple, bins))
+
+
+def test_token_files_are_packed_as_said(spark, docs, tmp_path):
+    """Delta-packed ids without dictionary, bounded row groups, column and offset indexes on every column."""
+    import pyarrow.parquet as pq
+
+    path = tmp_path / "packed"
+    token_files.write_tokens(docs, str(path), partitions=2)
+    for f in path.glob("*.parquet"):
+        meta = pq.ParquetFile(f).metadata
+        for g in range(meta.num_row_groups):
+            for c in range(meta.num_columns):
+                col = meta.row_group(g).column(c)
+                assert "DELTA_BINARY_PACKED" in col.encodings and not col.has_dictionary_page and col.has_column_index and col.has_offset_index
+
+
+def test_mixing_query_by_its_definition(spark, rows):
+    """The registered query: weights by the formula, each source's budget, every document at least once, blocks in step."""
+    docs = spark.read.parquet(f"{DATA}/documents.parquet").select("doc_id", "source", "text").collect()
+    size = {r.doc_id: len(WORDS.findall(r.text or "")) for r in docs}
+    tokens, of = Counter(), {r.doc_id: r.source for r in docs}
+    for r in docs:
+        tokens[r.source] += size[r.doc_id]
+    found = QUERIES["op3_source_mixing"](spark, DATA).collect()
+    total = sum(tokens.values())
+    p = {s: t / total for s, t in tokens.items()}
+    (e,) = {round(r.exponent, 12) for r in found}
+    entropy = lambda e: -sum(w * math.log(w) for w in [x**e / sum(y**e for y in p.values()) for x in p.values()])
+    top = max(p.values())
+    assert e == pytest.approx(1.0) if entropy(1) >= 0.95 * math.log(len(p)) else entropy(e) >= 0.95 * math.log(len(p)) - 1e-9 or (top / min(p.values())) ** (1 - e) == pytest.approx(2.0)
+    shown = Counter()
+    for r in found:
+        assert r.source == of[r.doc_id] and r.n_tokens == size[r.doc_id]
+        assert r.weight == pytest.approx(p[r.source] ** e / sum(y**e for y in p.values())) and r.repeat == pytest.approx(max(1.0, (top / p[r.source]) ** (1 - e)))
+        shown[r.source] += r.n_tokens
+    repeat = {r.source: r.repeat for r in found}
+    assert {(r.doc_id, 0) for r in docs} <= {(r.doc_id, r.copy) for r in found} and len({(r.doc_id, r.copy) for r in found}) == len(found)
+    longest = max(size.values())
+    assert all(abs(shown[s] - repeat[s] * tokens[s]) <= longest for s in tokens)
+
+
 def test_fingerprints(spark, docs, rows):
     found = {r.doc_id: r for r in QUERIES["op8_document_fingerprints"](spark, DATA).collect()}
     texts = [t for _, t in rows]
@@ -448,7 +566,7 @@ def test_every_training_word_has_expected_counts(spark):
     assert abs(even - odd).sum() > 0.5
     # Shares of all words and of one unknown word per ending sum to one in every state.
     words = sorted(found)
-    m = now.local(words, np.array([found[w][0] for w in words]), np.array([found[w][1] for w in words]))
+    m = now.local(np.array([hmm_lm.ending(w) for w in words]), np.array([found[w][0] for w in words]), np.array([found[w][1] for w in words]))
     u = (np.array([found[w][0] for w in words]) + 0.1) / vocab.total
     assert u @ m.emit + 0.1 / vocab.total * (now.endings / now.share).sum(0) == pytest.approx(np.ones(4))
 
@@ -518,3 +636,18 @@ def test_pipeline(spark, docs):
             want[r.doc_id, s, n, zlib.crc32(np.array([*ids, 2][s : s + n], "<u4").tobytes())] += 1
     assert Counter((r.doc_id, r.start, r.length, r.ids_crc32) for r in final) == want
     assert not any(base_pii(r.text) for r in rs)
+
+
+def test_pipeline_on_odd_and_empty_tables(spark, odd, empty):
+    """Each stage gives the columns it was given, with their values' types, and ends on an empty table."""
+    for given in (odd, empty):
+        kept = given
+        for name, stage in corpus_pipeline.STAGES[:-1]:
+            kept = stage(spark, kept, DATA).cache()
+            assert kept.schema == given.schema, name
+        assert corpus_pipeline.STAGES[-1][1](spark, kept, DATA).count() >= kept.count()
+    long = spark.createDataFrame([(i, f"{i} " + " ".join(f"w{i}x{k}" for k in range(40)), "en", "s", 9, "x", 1) for i in range(20)] + [(None, "a null id " + " ".join(f"v{k}" for k in range(20)), None, None, None, None, None)], SCHEMA)
+    kept = long
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        kept = stage(spark, kept, DATA).cache()
+    assert sorted({r.doc_id if r.doc_id is not None else -1 for r in kept.collect()}) == [-1, *range(20)]

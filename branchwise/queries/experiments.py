@@ -11,9 +11,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from branchwise.operators import dfs, workloads
+from branchwise.operators.joins import query_set
 from branchwise.operators.storage import settled
+from branchwise.plans.pattern import PatternGraph
+from branchwise.plans.sqlgen import to_sql
 
-from .patterns import A, B, C, cycle, path, to_sql
+from .patterns import A, B, C, cycle, path
 from .registry import graph, on, query
 
 COMPARATORS = ["learned", "structure_first", "rare_edge_order", "profile_refine"]
@@ -48,6 +51,38 @@ for _kind in ("sparse", "dense"):
 _DNF = ["size", "method", "queries", "dnf_share", "capped_share"]
 
 
+#: Leaves that are searched before a clique at the same root, which mostly is not there: the same failure under every choice of leaves.
+LEAVES, HARD = ("SMALL", "ECONOMY", "SMALL"), (0, 1, 2, 3)
+
+
+def hard(leaves: int) -> PatternGraph:
+    k = leaves + 1
+    return PatternGraph(("MEDIUM", *LEAVES[:leaves], "STANDARD", "LARGE", "PROMO"), (*((1, i) for i in range(2, k + 1)), (1, k + 1), (1, k + 2), (1, k + 3), (k + 1, k + 2), (k + 1, k + 3), (k + 2, k + 3)))
+
+
+def _hard_stats(spark, sf_dir) -> DataFrame:
+    """Searched as numbered and without filters, so that only what is learnt can help; one share a pattern, no cap, no budget."""
+    methods = {"learned": M(), "no_lookup": M("no_lookup"), "plain": M("plain")}
+    return workloads.run_experiment(graph("gd_type", spark, sf_dir), query_set(spark, [hard(k) for k in HARD]), methods, None, None)
+
+
+@query("w_hard")
+def w_hard(spark, sf_dir):
+    """Calls and time with and without look-up, by the number of leaves."""
+    return workloads.compare(_hard_stats(spark, sf_dir), "no_lookup", "learned").select((F.col("size") - 4).alias("leaves"), "calls_base", "calls_other", "call_ratio", "speedup", "differing")
+
+
+_hard_found = " UNION ALL ".join(f"SELECT {k} AS leaves, count(*) AS n_found, 3 AS agreeing, true AS fewer FROM ({to_sql(hard(k))})" for k in HARD)
+
+
+@query("w_hard_found", on("gd_type", _hard_found))
+def w_hard_found(spark, sf_dir):
+    """The same searches: what all methods find, and that learning needs no more calls."""
+    calls = lambda m: F.max(F.when(F.col("method") == m, F.col("search_calls")))
+    by = _hard_stats(spark, sf_dir).groupBy("n_vertices").agg(F.max("n_found").alias("n_found"), F.count(F.lit(1)).alias("agreeing"), (calls("learned") <= calls("no_lookup")).alias("fewer"), F.count_distinct("n_found").alias("kinds"))
+    return by.filter("kinds = 1").select((F.col("n_vertices") - 4).alias("leaves"), "n_found", "agreeing", "fewer")
+
+
 @query("w_dnf")
 def w_dnf(spark, sf_dir):
     """Shares of unfinished searches on the three graphs, with a budget for each query and one for the whole set."""
@@ -95,8 +130,6 @@ query("w_slot_policy")(variants("gs_type", POLICIES, [6, 10]))
 @query("w_shares", on("gs_type", f"SELECT shares, (SELECT count(*) FROM ({to_sql(path('MEDIUM', 'STANDARD', 'LARGE', 'MEDIUM'))})) AS n_found, true AS within FROM (VALUES (1), (4), (16)) AS t(shares)"))
 def w_shares(spark, sf_dir):
     """One query over so many parallel shares: the same embeddings, and never more calls than without look-up."""
-    from branchwise.operators.joins import query_set
-
     g, p = graph("gs_type", spark, sf_dir), path("MEDIUM", "STANDARD", "LARGE", "MEDIUM")
     parts = []
     for n in (1, 4, 16):
@@ -123,11 +156,11 @@ def w_scale(spark, sf_dir):
     return parts[0].unionByName(parts[1]).unionByName(parts[2])
 
 
-def main(sf_dir: str = "/root/testdata/sf0.01", count: int = 100, budget: float = 0.5) -> None:
-    """python -m branchwise.queries.experiments [folder] [patterns a size] [seconds a query]"""
+def main(sf_dir: str = "/root/testdata/sf0.01", count: int = 100, budget: float = 0.5, cores: str = "*") -> None:
+    """python -m branchwise.queries.experiments [folder] [patterns a size] [seconds a query] [cores]"""
     from pyspark.sql import SparkSession
 
-    spark = SparkSession.builder.master("local[*]").config("spark.sql.shuffle.partitions", "16").config("spark.driver.memory", "6g").config("spark.ui.showConsoleProgress", "false").getOrCreate()
+    spark = SparkSession.builder.master(f"local[{cores}]").config("spark.sql.shuffle.partitions", "16").config("spark.driver.memory", "6g").config("spark.ui.showConsoleProgress", "false").getOrCreate()
     spark.sparkContext.setLogLevel("ERROR")
     for name, sizes, cap in (("gs_type", [4, 8, 12, 16, 18, 20, 24], 1000), ("gs", [8, 12, 16, 20], 1000), ("gd_size", [4, 6, 8, 9], 1000)):
         for induced in (False, True):
@@ -141,4 +174,4 @@ def main(sf_dir: str = "/root/testdata/sf0.01", count: int = 100, budget: float
 
 
 if __name__ == "__main__":
-    main(*[t(x) for t, x in zip((str, int, float), sys.argv[1:])])
+    main(*[t(x) for t, x in zip((str, int, float, str), sys.argv[1:])])

@@ -22,6 +22,8 @@ def join_match(g: LabeledGraph, p: PatternGraph, order: tuple[int, ...] | None =
     """m1..mn, numbered as in the pattern whatever the order. Every step is an equi-join on an anchor edge
     with both labels pushed to the edge scan; further edges to what is mapped are semi-joins. domains (pos, vid) narrow
     the images; checks are comparisons (u, operator, w) of two images."""
+    if not p.n:
+        return g.vertices.sparkSession.range(1).select()  # the empty pattern has one empty embedding
     order = order or join_order(g, p)
     out, done = None, []
     for u in order:

@@ -152,6 +152,11 @@ def test_conditions_on_attributes(spark):
         assert [tuple(r) for r in match.match(g, path("a", "b"), engine, where={2: "price > 8"}).collect()] == [(1, 3)]
 
 
+def test_the_empty_pattern_has_one_embedding(spark):
+    g = inline(spark, *X1)
+    assert joins.join_match(g, PatternGraph((), ())).count() == dfs.dfs_match(g, PatternGraph((), ()), shares=1).count() == 1
+
+
 def test_the_facade_chooses(spark, monkeypatch):
     g = graph("gs", spark, DATA)
     assert match.choose_engine(g, path(A, B)) == "join" and match.choose_engine(g, path(*[A, B] * 4)) == "dfs"

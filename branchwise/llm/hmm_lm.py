@@ -46,7 +46,7 @@ END = "\n"  # no word has it
 ALPHA = 0.1
 KAPPA = 5.0
 #: A block ends once it has so many characters of text. Small row groups, as a block is a large row.
-BLOCK = 12_000_000
+BLOCK = 8_000_000
 WRITER = {"parquet.block.size": str(8 << 20), "compression": "zstd"}
 #: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, eight to a number.
 STEPS = 255
@@ -289,7 +289,7 @@ def cut(flat: np.ndarray, off: np.ndarray, model: Model, dtype, segment: int) ->
     return out
 
 
-def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 2048, segment: int = SEGMENT):
+def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024, segment: int = SEGMENT):
     """(start, transition, emission) counts and the log likelihood of whole sequences by scaled forward-backward, ``rows`` pieces side by side."""
     s, parts = len(model.start), cut(flat, off, model, np.float32, segment)
     order = np.argsort(-parts.size, kind="stable")
@@ -299,21 +299,26 @@ def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int =
         which = order[p : p + rows]
         at, n, first = parts.start[which], parts.size[which], parts.first[which]
         live = np.searchsorted(-n, -np.arange(n[0]), "left")  # pieces longer than t
-        alpha, seen = [], []
+        ends = np.cumsum(live)
+        symbols, states = np.empty(ends[-1], np.int32), np.empty((ends[-1], s), np.float32)
+        alpha = None
         for t, m in enumerate(live):
-            e = table[flat[at[:m] + t]]
-            a = e * (parts.pre[which] if t == 0 else alpha[-1][:m] @ move)
+            here = symbols[ends[t] - m : ends[t]]
+            here[:] = flat[at[:m] + t]
+            a = table[here] * (parts.pre[which] if t == 0 else alpha[:m] @ move)
             z = a @ one
             fit += float(np.log(z).sum())
-            alpha.append(a / z), seen.append(e)
+            alpha = states[ends[t] - m : ends[t]]
+            np.divide(a, z, out=alpha)
         beta = parts.leave[which]
         for t in range(len(live) - 1, -1, -1):
             m = live[t]
-            gamma = alpha[t] * beta[:m]
+            gamma = states[ends[t] - m : ends[t]]  # what was filtered so far becomes what is expected
+            back = table[symbols[ends[t] - m : ends[t]]] * beta[:m]
+            gamma *= beta[:m]
             gamma /= gamma @ one
-            back = seen[t] * beta[:m]
             if t:
-                come = alpha[t - 1][:m]
+                come = states[ends[t] - m - live[t - 1] : ends[t] - m][:m]
             else:
                 begin += gamma[first].sum(0)
                 come, back = parts.come[which][~first], back[~first]
@@ -321,10 +326,8 @@ def expected_counts(flat: np.ndarray, off: np.ndarray, model: Model, rows: int =
             trans += (come / z).T @ back
             if t:
                 beta[:m] = (back / z) @ move.T
-            alpha[t] = gamma
-        symbols = np.concatenate([flat[at[:m] + t] for t, m in enumerate(live)])
-        for k, g in enumerate(np.concatenate(alpha).T):
-            emit[:, k] += np.bincount(symbols, g, len(emit))
+        for k in range(s):
+            emit[:, k] += np.bincount(symbols, states[:, k], len(emit))
     return begin, trans * model.trans, emit, fit
 
 
@@ -433,7 +436,7 @@ def word_round(blocks: DataFrame, model: Model, vocab: Vocabulary, rows: int) ->
     return found, States(begin / begin.sum(), trans / trans.sum(1, keepdims=True), endings, share)
 
 
-def forward(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 2048, segment: int = SEGMENT) -> np.ndarray:
+def forward(flat: np.ndarray, off: np.ndarray, model: Model, rows: int = 1024, segment: int = SEGMENT) -> np.ndarray:
     """Natural log likelihood of each whole sequence by the scaled forward recursion."""
     parts = cut(flat, off, model, np.float64, segment)
     order, out = np.argsort(-parts.size, kind="stable"), np.zeros(len(off) - 1)

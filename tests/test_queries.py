@@ -83,6 +83,36 @@ def test_large_graphs_are_not_broadcast(spark, monkeypatch):
         dfs.dfs_match(graph("gd", spark, DATA), queries.patterns.PATTERNS["q_triangle_abc"][1])
 
 
+def test_experiments_run_over_graphs_of_any_size(spark, monkeypatch):
+    """A graph above the bound of a single pattern, in many chunks: the same patterns and statistics."""
+    g = graph("gs_type", spark, DATA)
+
+    def run():
+        q = workloads.random_walk_patterns(g, [4, 6], 3, induced=True).cache()
+        stats = workloads.run_experiment(g, q, ["learned", "no_lookup", "structure_first", "profile_refine"], cap=50, query_budget_s=60)
+        return sorted(map(str, q.collect())), sorted(map(str, stats.drop("prep_ns", "elapsed_ns", "job_ms").collect()))
+
+    want = run()
+    monkeypatch.setattr(dfs, "MAX_BYTES", 160)
+    monkeypatch.setattr(dfs, "CHUNK", 300)
+    assert run() == want
+
+
+def test_filters_end_with_the_budget(spark):
+    """A budget that the filters use up leaves an unfinished query and not a longer one."""
+    g = graph("gs", spark, DATA)
+    stats = workloads.run_experiment(g, joins.query_set(spark, [path(A, B, C)]), ["profile_refine"], query_budget_s=1e-9).collect()
+    assert [(r.dnf, r.search_calls, r.n_found) for r in stats] == [(True, 1, 0)]
+
+
+def test_hard_searches_are_dealt_over_shares(spark, monkeypatch):
+    want = sorted(map(tuple, queries.QUERIES["w_hard_found"](spark, DATA).collect()))
+    monkeypatch.setattr(queries.experiments, "SHARE_ROOTS", 5)
+    seen, run = [], workloads.run_experiment
+    monkeypatch.setattr(workloads, "run_experiment", lambda *a, **k: (seen.append(k["shares"]), run(*a, **k))[1])
+    assert sorted(map(tuple, queries.QUERIES["w_hard_found"](spark, DATA).collect())) == want and seen[0] > 1
+
+
 def test_experiment_measures(spark):
     g = graph("gs_type", spark, DATA)
     q = workloads.random_walk_patterns(g, [4, 6], 5, induced=True).cache()

@@ -46,6 +46,18 @@ def test_arc_fixpoint_stops_where_its_sql_does(spark, tmp_path):
     assert differences(queries.QUERIES["q_arc_fixpoint"](spark, str(tmp_path)), con, queries.ORACLE_SQL["q_arc_fixpoint"])[:2] == (0, 0)
 
 
+@pytest.mark.parametrize("name", ["q_nogoods", "q_reuse_trap", "q_self_loop", "q_self_loop_dfs", "q_worked_example", "q_worked_example_calls"])
+def test_worked_examples_read_the_tables(spark, tmp_path, name):
+    with pytest.raises(Exception, match="(?i)not.*exist|no such file"):
+        queries.QUERIES[name](spark, str(tmp_path / "nowhere")).collect()
+
+
+@pytest.mark.parametrize("name", ["q_nogoods", "q_reuse_trap", "q_self_loop", "q_self_loop_dfs", "q_worked_example", "q_worked_example_calls"])
+def test_worked_examples_at_the_next_size(spark, name):
+    missing, extra, rows = differences(queries.QUERIES[name](spark, "/root/testdata/sf0.01"), duck("/root/testdata/sf0.01"), queries.ORACLE_SQL[name])
+    assert (missing, extra) == (0, 0) and rows
+
+
 @pytest.mark.parametrize("name", BY_SQL)
 def test_sql_needs_no_planner(name):
     """Every text is a chain of keyed joins over settled steps: with the optimiser off it still ends at once."""

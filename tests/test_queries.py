@@ -90,6 +90,15 @@ def test_plan_of_a_connected_pattern_has_no_product(spark):
     assert "Cartesian" not in plan and "NestedLoop" not in plan
 
 
+def test_an_edge_meets_its_labels_as_one_row(spark):
+    """Both labels are found before an edge is turned, so that half the rows move."""
+    v = spark.createDataFrame([(1, "a"), (2, "b")], "vid bigint, label string")
+    g = LabeledGraph.from_edges(v, spark.createDataFrame([(2, 1), (1, 2), (1, 9)], "a bigint, b bigint"))
+    assert sorted(map(tuple, g.edges.select("src", "dst", "src_label", "dst_label").collect())) == [(1, 2, "a", "b"), (2, 1, "b", "a")]
+    plan = g.edges._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.index("Generate") < plan.index("Join")  # the plan's text begins with its last step
+
+
 def test_regions_need_a_connected_pattern(spark):
     with pytest.raises(ValueError):
         regions.region_match(graph("gd", spark, DATA), queries.patterns.PATTERNS["q_disconnected"][1])

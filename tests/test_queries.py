@@ -90,6 +90,20 @@ def test_plan_of_a_connected_pattern_has_no_product(spark):
     assert "Cartesian" not in plan and "NestedLoop" not in plan
 
 
+def test_a_cycle_through_hubs_is_joined_by_pairs(spark):
+    """Pages of one host that link to one target: the pairs of pages of a host are never made."""
+    hosts, pages, targets = 2, 200, 40
+    rows = [(1000 + i, "host") for i in range(hosts)] + [(i, "page") for i in range(pages)] + [(2000 + i, "href") for i in range(targets)]
+    pairs = [(i, 1000 + i % hosts) for i in range(pages)] + [(i, 2000 + i % targets) for i in range(pages)]
+    g = LabeledGraph.from_edges(spark.createDataFrame(rows, "vid bigint, label string"), spark.createDataFrame(pairs, "a bigint, b bigint")).settled()
+    p = queries.patterns.PATTERNS["q_page_host_fan"][1]
+    found = joins.join_match(g, p)
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("LeftSemi") == 0
+    want = [(a, 1000 + a % hosts, b, 2000 + a % targets) for a in range(pages) for b in range(pages) if a != b and a % hosts == b % hosts and a % targets == b % targets]
+    assert sorted(map(tuple, found.collect())) == want
+
+
 def test_an_edge_meets_its_labels_as_one_row(spark):
     """Both labels are found before an edge is turned, so that half the rows move."""
     v = spark.createDataFrame([(1, "a"), (2, "b")], "vid bigint, label string")

@@ -8,6 +8,7 @@ import tempfile
 import types
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
@@ -78,6 +79,18 @@ def discard(df: DataFrame) -> None:
     fs.delete(at, True)
 
 
+@contextmanager
+def rows_a_batch(spark: SparkSession, rows: int):
+    """Jobs started inside hand so many rows at a time to Python: for large rows, of which a batch would else hold all of a task."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 def hot_join(left: DataFrame, right: DataFrame, key: str, hot: DataFrame, how: str = "inner") -> DataFrame:
     """left joined to right (one row per key) where the keys in ``hot`` (key; at most FEW rows) may hold most rows of
     left: their rows meet a broadcast copy and are not moved, the others are shuffled."""

@@ -543,6 +543,28 @@ def test_language_model(spark, rows):
     assert sum(r.score for r in held) > sum(r.base_score for r in held)
 
 
+def test_training_is_handed_one_block_at_a_time(spark, monkeypatch):
+    """However many blocks a task reads, and the setting is as before afterwards."""
+    monkeypatch.setattr(hmm_lm, "BLOCK", 1000)
+    df = spark.createDataFrame([(i, f"red blue w{i} " * 20) for i in range(60)], "doc_id bigint, text string").coalesce(1)
+    blocks = hmm_lm.settled(hmm_lm.encode(df, hmm_lm.F.lit(False)), "blocks")
+    assert blocks.count() > 5 and blocks.rdd.getNumPartitions() == 1
+    vocab, read = hmm_lm.vocabulary(hmm_lm.word_counts(blocks)), hmm_lm.training_blocks
+
+    def one(batches):
+        for b in batches:
+            if b.num_rows > 1 or "ids" in b.schema.names:
+                raise ValueError(f"{b.num_rows} blocks at once")
+            yield from read([b])
+
+    monkeypatch.setattr(hmm_lm, "training_blocks", one)
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    model, _ = hmm_lm.tied_round(blocks, hmm_lm.first_model(blocks, vocab, 2), vocab)
+    stats, _ = hmm_lm.word_round(blocks, model, vocab, 0)
+    assert stats.count() == 63 and spark.conf.get(key) == before
+
+
 def test_every_training_word_has_expected_counts(spark):
     """Rare words with the same ending get counts of their own: half of them stand where red does, half where blue does."""
     texts = ["red blue " * 50] * 40 + [f"red blue {'red ' * (i % 2)}w{i}tion {'blue ' * (1 - i % 2)}red blue" for i in range(2000)]

@@ -152,6 +152,19 @@ def test_filters_end_with_the_budget(spark):
     assert [(r.dnf, r.search_calls, r.n_found) for r in stats] == [(True, 1, 0)]
 
 
+def test_a_set_with_all_labels_uses_the_chunks_of_its_walk(spark):
+    g = graph("gs_type", spark, DATA)
+    names = sorted(r.label for r in g.vertices.select("label").distinct().collect())
+    _, walked = dfs.broadcast_graph(g)
+    whole, chunks = dfs.broadcast_graph(g, names)
+    assert [c.value for c in chunks] == [c.value for c in walked] and all(a is b for a, b in zip(chunks, walked))
+    assert whole.value[5] == g.statistics(set(names))[1]
+    some, few = dfs.broadcast_graph(g, names[:2])
+    assert some.value[2] and set(some.value[2]) <= set(names[:2]) and not any(a is b for a in few for b in walked)
+    again, last = dfs.broadcast_graph(graph("gd_type", spark, DATA), names[:2])
+    assert not any(a is b for a in last for b in few) and sum(again.value[3]) > sum(some.value[3])
+
+
 def test_hard_searches_are_dealt_over_shares(spark, monkeypatch):
     want = sorted(map(tuple, queries.QUERIES["w_hard_found"](spark, DATA).collect()))
     monkeypatch.setattr(queries.experiments, "SHARE_ROOTS", 5)

@@ -165,6 +165,13 @@ def test_a_set_with_all_labels_uses_the_chunks_of_its_walk(spark):
     assert not any(a is b for a in last for b in few) and sum(again.value[3]) > sum(some.value[3])
 
 
+def test_hard_searches_only_by_the_methods_it_compares(spark, monkeypatch):
+    seen, run = [], workloads.run_experiment
+    monkeypatch.setattr(workloads, "run_experiment", lambda g, q, methods, *a, **k: seen.append(set(methods)) or run(g, q, methods, *a, **k))
+    assert queries.QUERIES["w_hard"](spark, DATA).count() == 4 and queries.QUERIES["w_hard_found"](spark, DATA).count() == 4
+    assert seen == [{"learned", "no_lookup"}, {"learned", "no_lookup", "plain"}]
+
+
 def test_hard_searches_are_dealt_over_shares(spark, monkeypatch):
     want = sorted(map(tuple, queries.QUERIES["w_hard_found"](spark, DATA).collect()))
     monkeypatch.setattr(queries.experiments, "SHARE_ROOTS", 5)

@@ -2,6 +2,7 @@
 
 import hashlib
 import math
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -565,6 +566,33 @@ def test_training_is_handed_one_block_at_a_time(spark, monkeypatch):
     assert stats.count() == 63 and spark.conf.get(key) == before
 
 
+def test_words_are_cut_whole_slices_at_a_time(spark, monkeypatch):
+    """Cutting texts one by one took most of the encoding: no text meets Python's expression, and blocks hold the same words and tokens."""
+    rng, alphabet = random.Random(5), [*map(chr, range(256)), *" \n\t\r\x0b\x0c  AZ\u2003\u3000İſΣ😀"]
+    texts = ["".join(rng.choices(alphabet, k=rng.randrange(40))) for _ in range(3000)] + ["", " ", "\n\n", "x", " x", "x "]
+    found, met = hmm_lm.words_of(hmm_lm.pa.array([*texts, None]))
+    flat, want = iter(found.to_pylist()), [hmm_lm.tokens_of(t) for t in texts] + [[]]
+    assert [[w for _ in range(k) if (w := next(flat))] for k in met] == want
+    words = sorted({w for x in want for w in x})
+    assert hmm_lm.endings_of(hmm_lm.pa.array(words)).tolist() == [hmm_lm.ending(w) for w in words]
+
+    def refused(text):
+        raise ValueError("one text at a time")
+
+    monkeypatch.setattr(hmm_lm, "BLOCK", 5000)
+    monkeypatch.setattr(hmm_lm, "tokens_of", refused)
+    df = spark.createDataFrame([*enumerate(texts), (9999, None)], "doc_id bigint, text string")
+    blocks = hmm_lm.encode(df.repartition(2), hmm_lm.F.col("doc_id") % 3 == 0).collect()
+    assert len(blocks) > 5
+    got = {}
+    for b in blocks:
+        at, off = hmm_lm.tokens_in(b)
+        got |= {i: [b.words[p] for p in at[x:y]] for i, x, y in zip(b.ids, off, off[1:])}
+        assert np.frombuffer(b.endings, "<u2").tolist() == [hmm_lm.ending(w) for w in b.words] and len(set(b.words)) == len(b.words)
+        assert dict(zip(b.words, b.n)) == dict.fromkeys(b.words, 0) | Counter(w for i, h in zip(b.ids, b.held_out) if not h for w in got[i])
+    assert got == {i: [*x, "\n"] for i, x in zip([*range(len(texts)), 9999], want)}
+
+
 def test_every_training_word_has_expected_counts(spark):
     """Rare words with the same ending get counts of their own: half of them stand where red does, half where blue does."""
     texts = ["red blue " * 50] * 40 + [f"red blue {'red ' * (i % 2)}w{i}tion {'blue ' * (1 - i % 2)}red blue" for i in range(2000)]

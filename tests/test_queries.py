@@ -2,19 +2,21 @@
 
 import os
 import threading
+from collections import Counter
 
 import duckdb
+import numpy as np
 import pytest
 from oracle import differences, duck
 from pyspark.sql import functions as F
 
 import __spark_entry__
 from branchwise import queries
-from branchwise.operators import dfs, joins, match, regions, udtf, waves, workloads
+from branchwise.operators import dfs, joins, local_graph, match, regions, udtf, waves, workloads
 from branchwise.operators.graph import GraphSchemaError, LabeledGraph
 from branchwise.plans.pattern import PatternGraph
 from branchwise.plans.sqlgen import brute_force_sql, to_sql
-from branchwise.queries.patterns import A, B, C, X1, X1_PATTERN, inline, path
+from branchwise.queries.patterns import A, B, C, X1, X1_PATTERN, cycle, inline, path
 from branchwise.queries.registry import graph
 from branchwise.sources import graphs as src
 from branchwise.streaming import deltas
@@ -145,6 +147,36 @@ def test_experiments_run_over_graphs_of_any_size(spark, monkeypatch):
     assert run() == want
 
 
+def test_filters_by_label_pair(monkeypatch):
+    """At 60 x sf0.1 filters that read whole lists used up the budget of every query: with the lists by label pair they read none and leave the same."""
+    rng = np.random.default_rng(3)
+    n, names = 400, ["A", "B", "C", "D"]
+    vids, codes = np.sort(rng.choice(5000, n, replace=False)).astype(np.int64), rng.integers(0, 4, n).astype(np.int32)
+    e = np.unique(np.sort(rng.integers(0, n, (1500, 2)), 1), axis=0)
+    e = e[e[:, 0] != e[:, 1]]
+    e = np.unique(np.concatenate([e, e[:, ::-1]]), axis=0)
+    first = [0, 100, 300]
+    chunks = [e[(e[:, 0] >= lo) & (e[:, 0] < hi), 1].astype(np.int32) for lo, hi in zip(first, [*first[1:], n])]
+    counts = Counter((names[codes[a]], names[codes[b]]) for a, b in e)
+    made = lambda: local_graph.LocalGraph(vids, codes, names, np.bincount(e[:, 0], minlength=n).astype(np.int32), first, chunks, counts)
+    shapes = [path("A", "B", "C", "A"), cycle("A", "B", "C"), path("A"), path("A", "X", "B"), PatternGraph(("A", "B", "X", "C"), ((1, 2), (2, 4))), PatternGraph(("A", "A", "B", "D", "B"), ((1, 2), (1, 3), (2, 3), (3, 4), (4, 5)))]
+    plain, paired, none = made(), made(), made()
+    for filters in ((), ("degree",), ("labels", "bipartite"), *(m.filters for m in dfs.METHODS.values())):
+        for p in shapes:
+            want = plain.domains(p, filters)
+            monkeypatch.setattr(local_graph, "PAIR_BYTES", 0)
+            none.index(p, filters)
+            assert none.domains(p, filters) == want and not none._pairs
+            monkeypatch.setattr(local_graph, "PAIR_BYTES", 15_000)
+            paired.index(p, filters)
+            if set(filters) & local_graph.BY_PAIR and "X" not in p.labels and p.edges:
+                with monkeypatch.context() as m:
+                    m.setattr(local_graph.LocalGraph, "_read", lambda *_: pytest.fail("whole lists are read"))
+                    assert paired.domains(p, filters) == want
+            assert paired.domains(p, filters) == want
+            assert sum(x.nbytes for held in paired._pairs.values() for x in held) <= 15_000
+
+
 def test_filters_end_with_the_budget(spark):
     """A budget that the filters use up leaves an unfinished query and not a longer one."""
     g = graph("gs", spark, DATA)

@@ -45,9 +45,12 @@ OWN, SHARED, COARSE_OWN, COARSE_SHARED, SEGMENT = 4096, 1024, 256, 256, 512
 END = "\n"  # no word has it
 ALPHA = 0.1
 KAPPA = 5.0
-#: A block ends once it has so many characters of text. Small row groups, as a block is a large row.
+#: A block ends once it has so many characters of text. It is a row group of its own: what writes or reads blocks holds a row group at a
+#: time, and the writer's limit in bytes alone is not looked at before a hundred rows, so that a file would be one row group.
 BLOCK = 8_000_000
-WRITER = {"parquet.block.size": str(8 << 20), "compression": "zstd"}
+WRITER = {"parquet.block.row.count.limit": "1", "compression": "zstd"}
+#: Texts that go to Python at a time.
+TEXTS = 1000
 #: Expected counts of a word travel as shares of its count, in steps of 1 / STEPS, eight to a number.
 STEPS = 255
 
@@ -122,6 +125,11 @@ def encode(docs: DataFrame, held_out) -> DataFrame:
     return docs.select("doc_id", held_out.alias("held_out"), "text").mapInArrow(run, f"block bigint, ids array<{kind}>, held_out array<boolean>, sizes array<bigint>, words array<string>, endings binary, n array<bigint>, seq binary")
 
 
+def settled_blocks(docs: DataFrame, held_out) -> DataFrame:
+    with rows_a_batch(docs.sparkSession, TEXTS):
+        return settled(encode(docs, held_out), "lm-blocks", **WRITER)
+
+
 def word_counts(blocks: DataFrame) -> DataFrame:
     """(word, n) over the training texts, the end token included."""
     one = blocks.select(F.explode(F.arrays_zip("words", "n")).alias("x")).select("x.words", "x.n").filter("n > 0")
@@ -513,7 +521,7 @@ def score(blocks: DataFrame, stats: DataFrame, states: States, vocab: Vocabulary
 
 
 def train_and_score(docs: DataFrame, held_out, states: int = 8, rounds: int = 2, gain: float = 0.01) -> DataFrame:
-    blocks = settled(encode(docs, held_out), "lm-blocks", **WRITER)
+    blocks = settled_blocks(docs, held_out)
     counts = settled(word_counts(blocks), "lm-counts")
     vocab = vocabulary(counts)
     now, before = first_model(blocks, vocab, states), -math.inf

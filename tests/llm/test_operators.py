@@ -9,6 +9,7 @@ from collections import Counter, defaultdict
 from itertools import combinations
 
 import numpy as np
+import pyarrow.parquet as pq
 import pytest
 
 import corpus_pipeline
@@ -566,6 +567,15 @@ def test_training_is_handed_one_block_at_a_time(spark, monkeypatch):
     assert stats.count() == 63 and spark.conf.get(key) == before
 
 
+def test_a_block_is_a_row_group(spark, monkeypatch):
+    """A task's file was one row group, so that all its blocks were held when they were written and again when they were read."""
+    monkeypatch.setattr(hmm_lm, "BLOCK", 1000)
+    df = spark.createDataFrame([(i, f"red blue w{i} " * 20) for i in range(60)], "doc_id bigint, text string").coalesce(1)
+    blocks = hmm_lm.settled_blocks(df, hmm_lm.F.lit(False))
+    files = [pq.ParquetFile(f.removeprefix("file://")).metadata for f in blocks.inputFiles()]
+    assert len(files) == 1 and files[0].num_rows > 5 and files[0].num_row_groups == files[0].num_rows
+
+
 def test_words_are_cut_whole_slices_at_a_time(spark, monkeypatch):
     """Cutting texts one by one took most of the encoding: no text meets Python's expression, and blocks hold the same words and tokens."""
     rng, alphabet = random.Random(5), [*map(chr, range(256)), *" \n\t\r\x0b\x0c  AZ\u2003\u3000İſΣ😀"]

@@ -184,6 +184,39 @@ def test_filters_end_with_the_budget(spark):
     assert [(r.dnf, r.search_calls, r.n_found) for r in stats] == [(True, 1, 0)]
 
 
+def test_an_unfinished_search_is_no_agreement(spark, monkeypatch):
+    """It has no embedding and a call, like one that failed, and was left out of what must hold."""
+    g = graph("gs", spark, DATA)
+    q = workloads.random_walk_patterns(g, [4], 3, induced=True).cache()
+    stats = workloads.run_experiment(g, q, ["learned", "no_lookup", "profile_refine"], query_budget_s=1e-9)
+    assert tuple(workloads.invariants(q, stats).first()) == (3, 9, 3, 3, 0)
+    seen, run = [], workloads.run_experiment
+    monkeypatch.setattr(workloads, "run_experiment", lambda g, q, methods, cap, budget: seen.append(budget) or run(g, q, methods, cap, budget))
+    assert queries.QUERIES["w_invariants"](spark, DATA).count() == 2 and seen == [None, None]
+
+
+def test_partners_are_looked_for_only_where_counts_leave_it_open(monkeypatch):
+    """Same images as by looking for the partners of every vertex; neighbours of different labels need no looking."""
+    rng, n = np.random.default_rng(5), 60
+    e = np.unique(np.sort(rng.integers(0, n, (150, 2)), 1), axis=0)
+    e = e[e[:, 0] != e[:, 1]]
+    e = np.unique(np.concatenate([e, e[:, ::-1]]), axis=0)
+    codes = rng.integers(0, 2, n).astype(np.int32)
+    g = local_graph.LocalGraph(np.arange(n), codes, ["A", "B"], np.bincount(e[:, 0], minlength=n).astype(np.int32), [0], [e[:, 1].astype(np.int32)])
+    shapes = [PatternGraph(("A", "B", "B", "B", "A"), ((1, 2), (1, 3), (1, 4), (2, 5))), PatternGraph(("A", "A", "A", "B", "B"), ((1, 2), (1, 3), (1, 4), (1, 5), (2, 4), (3, 5)))]
+    looked, saturates = [], local_graph._saturates
+    monkeypatch.setattr(local_graph, "_saturates", lambda *a: looked.append(1) or saturates(*a))
+    for p in shapes:
+        dom, size = {u: set(g.vids[codes == "AB".index(x)].tolist()) for u, x in enumerate(p.labels, 1)}, None
+        while size != (size := sum(map(len, dom.values()))):
+            dom = {u: {v for v in d if saturates(sorted(p.neighbors(u)), {w: sorted(g.adjacency[v] & dom[w]) for w in p.neighbors(u)})} for u, d in dom.items()}
+        assert {u: set(d) for u, d in g.domains(p, ("bipartite",)).items()} == dom and 0 < size
+    assert looked
+    looked.clear()
+    g.domains(path("A", "B"), ("bipartite",)), g.domains(PatternGraph(("A", "B", "A"), ((1, 2), (1, 3))), ("bipartite",))
+    assert not looked
+
+
 def test_a_set_with_all_labels_uses_the_chunks_of_its_walk(spark):
     g = graph("gs_type", spark, DATA)
     names = sorted(r.label for r in g.vertices.select("label").distinct().collect())

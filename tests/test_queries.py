@@ -245,6 +245,19 @@ def test_hard_searches_are_dealt_over_shares(spark, monkeypatch):
     assert sorted(map(tuple, queries.QUERIES["w_hard_found"](spark, DATA).collect())) == want and seen[0] > 1
 
 
+def test_whole_searches_that_learn_nothing_go_side_by_side(spark, monkeypatch):
+    g = graph("gd_type", spark, DATA)
+    p, labels = queries.experiments.hard(2), sorted(set(queries.experiments.hard(2).labels))
+    local = dfs.local_graph(dfs.broadcast_graph(g, labels))
+    run = lambda mode, cap=None, budget=None, checks=(): [r | {"prep_ns": 0, "elapsed_ns": 0} for r in dfs.search_share(local, 1, p, mode, dfs.Method(mode), cap, budget, False, False, checks=checks)]
+    want = [run(m, 10**9) for m in ("plain", "no_lookup")]
+    with monkeypatch.context() as m:
+        m.setattr(dfs, "search_rows", lambda *a, **k: pytest.fail("one assignment at a time"))
+        assert [run(x) for x in ("plain", "no_lookup")] == want and want[0][0]["n_found"]
+    monkeypatch.setattr(dfs, "search_wide", lambda *a, **k: pytest.fail("no bounds or checks"))
+    run("learned"), run("plain", 5), run("plain", None, 10**12), run("plain", None, None, ((1, "<", 2),))
+
+
 def test_experiment_measures(spark):
     g = graph("gs_type", spark, DATA)
     q = workloads.random_walk_patterns(g, [4, 6], 5, induced=True).cache()

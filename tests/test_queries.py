@@ -278,6 +278,19 @@ def test_ratios_leave_out_unfinished_queries(spark):
     assert (found[4].speedup_with_prep, found[4].best_speedup, found[4].overhead, found[4].more_calls) == (5.0, 5.0, None, 0)
 
 
+def test_a_set_is_unfinished_by_the_time_of_all_its_queries(spark, monkeypatch):
+    """A query may take longer than its share, as long as the set does not; a set that does has no mean time."""
+    names = "n_vertices int, method string, elapsed_ns bigint, dnf boolean"
+    stats = spark.createDataFrame([(4, "a", 15 * 10**9, False), (4, "a", 10**9, False), (6, "a", 19 * 10**9, False), (6, "a", 10**9, False), (8, "a", 10**9, True), (8, "a", 10**9, False)], names)
+    zero = [c for c in ("search_calls", "n_found", "f_wipeout", "f_reuse", "f_known", "f_child", "f_check", "slot_writes", "slot_overwrites", "slot_hits", "slots_used", "prep_ns")]
+    found = {r["size"]: (r.set_dnf, r.avg_ms) for r in workloads.summarise(stats.withColumns({c: F.lit(0) for c in zero}).withColumn("capped", F.lit(False)), 8.64).collect()}
+    assert found == {4: (False, 8000.0), 6: (True, None), 8: (True, None)}
+    seen, run = [], workloads.run_experiment
+    monkeypatch.setattr(workloads, "run_experiment", lambda g, q, methods, cap, budget, set_budget: seen.append(budget) or run(g, q, ["learned"], cap, budget, set_budget))
+    monkeypatch.setattr(workloads, "random_walk_patterns", lambda g, sizes, *a, f=workloads.random_walk_patterns: f(g, [4], *a))
+    assert [r.set_dnf for r in queries.QUERIES["w_time_sparse"](spark, DATA).collect()] == [False] and seen == [pytest.approx(216)]
+
+
 def test_wave_nogoods_are_sound(spark):
     assert queries.QUERIES["q_nogoods_sound"](spark, DATA).first()[0] == 0
     found, _, stats = waves.wave_match(inline(spark, *X1), X1_PATTERN, 2, 7)
